@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from mapforge.llm.common import fresh_path, persist_table, table
 
@@ -150,7 +151,7 @@ def _read(f, offset: int, length: int) -> bytes:
 
 
 def _ranges(places: DataFrame, columns: str, look) -> DataFrame:
-    schema = places.schema
+    schema = StructType(list(places.schema.fields))
     for c in columns.split(", "):
         schema = schema.add(*c.split(" "))
     extra = [c.split(" ")[0] for c in columns.split(", ")]
