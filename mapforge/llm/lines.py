@@ -74,19 +74,22 @@ def near_repeats(docs: DataFrame, lines: DataFrame, min_chars: int = MIN_CHARS,
     prefix_whole = F.pmod("which", F.lit(2)) == 0
     part = F.when(prefix_whole, F.expr("substring(line, half + 1, n)")).otherwise(F.expr("substring(line, 1, n - (length - half))"))
     open_ = hits.withColumn("length", length.cast("int")).withColumn("half", half).withColumn("part", part)
-    deleted = F.expr("transform(sequence(1, length(part)), i -> struct(i as place, xxhash64(key, concat(substring(part, 1, i - 1), substring(part, i + 1, length(part)))) as variant))")
-    own = F.expr("array(struct(0 as place, xxhash64(key, part) as variant))")
-    # a line in the role of the shorter partner is its own variant; in its own length it emits its deletions
-    variants = F.when(F.col("which") >= 2, own).when(F.length("part") > 0, deleted).otherwise(own)
-    keys = open_.select("h", "line", "at", "which", F.explode(variants).alias("v")).select("h", "line", "at", "which", "v.*")
-    same_length = keys.where("which < 2 and place > 0").select("h", "line", "at", F.xxhash64("variant", "place").alias("k"))
-    one_shorter = keys.select("h", "line", "at", "which", F.col("variant").alias("k"))
-    # substitution: every line of a key is one edit from the earliest of it
-    first = same_length.groupBy("k").agg(F.min(F.struct("at", "line", "h")).alias("f"), F.min("h").alias("h0"), F.max("h").alias("h1")).where("h0 <> h1").select("k", "f")
-    subs = same_length.join(first, "k").where("f.h <> h and f.at < at and levenshtein(line, f.line, 1) between 0 and 1").select("h")
+    deleted = F.expr("transform(sequence(1, length(part)), i -> struct(i as place, xxhash64(key, concat(substring(part, 1, i - 1), substring(part, i + 1, length(part)))) as k))")
+    own = F.expr("array(struct(0 as place, xxhash64(key, part) as k))")
+    # a line in the role of the shorter partner is its own variant (place 0); in its own length it emits its deletions
+    variants = F.when((F.col("which") < 2) & (F.length("part") > 0), deleted).otherwise(own)
+    keys = open_.select("h.a", "h.b", F.explode(variants).alias("v")).select("a", "b", "v.k", "v.place")
+    agreed = keys.groupBy("k").agg(F.min("a").alias("lo"), F.max("a").alias("hi")).where("lo <> hi").select("k")
+    # Only lines that agree in a variant meet their texts again
+    texts = hits.groupBy("h").agg(F.min("at").alias("at"), F.first("line").alias("line")).select("h.a", "h.b", "at", "line")
+    met = persist_table(keys.join(agreed, "k").join(texts, ["a", "b"]).select("k", "place", F.struct("a", "b").alias("h"), "at", "line"), "lines-met")
+    earliest = F.min(F.struct("at", "line", "h")).alias("f")
+    # substitution: lines of one length that agree with the same place deleted
+    first = met.where("place > 0").groupBy("k", "place").agg(earliest)
+    subs = met.join(first, ["k", "place"]).where("f.h <> h and f.at < at and levenshtein(line, f.line, 1) between 0 and 1").select("h")
     # insertion or deletion: the later of the longer and the shorter line goes
-    short = one_shorter.where("which >= 2").groupBy("k").agg(F.min(F.struct("at", "line", "h")).alias("f"))
-    pairs = one_shorter.where("which < 2").join(short, "k").where("f.h <> h and levenshtein(line, f.line, 1) between 0 and 1")
+    short = met.where("place = 0").groupBy("k").agg(earliest)
+    pairs = met.where("place > 0").join(short, "k").where("f.h <> h and levenshtein(line, f.line, 1) between 0 and 1")
     gone = pairs.select(F.when(F.col("f.at") < F.col("at"), F.col("h")).otherwise(F.col("f.h")).alias("h"))
     return subs.union(gone).distinct().select("h.a", "h.b")
 
