@@ -88,7 +88,8 @@ def test_majority_equals_iterative_removal(spark):
 
 def test_best_subset():
     tables = {"a": {("x", "1")}, "b": {("x", "2"), ("y", "1")}, "c": {("y", "1"), ("z", "1")}}
-    assert conflicts.best_subset(tables) == ({"b", "c"}, 3)
+    chosen, n = conflicts.best_subset(tables)
+    assert n == 3 and "c" in chosen  # with either of the other two
 
 
 def test_theta_bounds(spark):
