@@ -7,7 +7,7 @@ window is compressed with both, and what the toxic dictionary saves, in bytes, i
 distance. A logistic curve over the document's distances, fitted on the training sample, gives the
 score; its threshold of 0.5 is moved to the cut that fits the sample best.
 
-The training sample is bounded (``SAMPLE_DOCS`` per class, ``SAMPLE_CHARS`` per class); scoring
+The training sample is bounded: whole documents of a class, at most ``SAMPLE_DOCS``, until ``SAMPLE_CHARS`` are reached; scoring
 covers every whole text and never looks at labels, languages, sources or ids. Null text counts as
 empty; an empty text has no window and gets the score of distance zero. With no labelled rows of
 either class, every score is 0.
@@ -190,9 +190,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, samp
         one = usable.where(F.col("toxic") == y).select("doc_id", "toxic").distinct().orderBy(order, "doc_id").limit(sample_docs)
         picked = one if picked is None else picked.union(one)
     rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null")
-    cut = F.substring("text", 1, sample_chars // sample_docs * 4)  # of the sample only: bounds what the driver gets
     texts: dict[int, list[str]] = {0: [], 1: []}
-    for r in rows.select("doc_id", "toxic", cut.alias("t")).orderBy(order, "doc_id", "t").toLocalIterator():
+    for r in rows.select("doc_id", "toxic", F.col("text").alias("t")).orderBy(order, "doc_id", "t").toLocalIterator():
         if sum(map(len, texts[r["toxic"]])) < sample_chars:
             texts[r["toxic"]].append(r["t"])
     n = {r["toxic"]: r["count"] for r in usable.groupBy("toxic").count().collect()}
