@@ -29,7 +29,7 @@ from mapforge.llm.common import connected_components, persist_table, table
 from mapforge.llm.neardup import _roots
 
 THRESHOLD = 0.95
-CODES = 24
+CELL_ROWS = 64
 SAMPLE = 8000
 RECALL = 0.995
 MAX_VISITS = 64
@@ -58,7 +58,7 @@ def traverse(d1: np.ndarray, d2: np.ndarray, visits: int) -> np.ndarray:
     so only cells with (r + 1)(s + 1) <= visits can be among the first: those are merged by one sort.
     """
     o1, o2 = d1.argsort(1), d2.argsort(1)
-    ranks = np.array([(r, s) for r in range(d1.shape[1]) for s in range(d2.shape[1]) if (r + 1) * (s + 1) <= visits])
+    ranks = np.array([(r, s) for r in range(min(visits, d1.shape[1])) for s in range(min(visits // (r + 1), d2.shape[1]))])
     rows = np.arange(len(d1))[:, None]
     c1, c2 = o1[:, ranks[:, 0]], o2[:, ranks[:, 1]]
     total = d1[rows, c1] + d2[rows, c2]
@@ -66,7 +66,12 @@ def traverse(d1: np.ndarray, d2: np.ndarray, visits: int) -> np.ndarray:
     return c1[rows, best] * d2.shape[1] + c2[rows, best]
 
 
-def fit(x: np.ndarray, codes: int = CODES, threshold: float = THRESHOLD, recall: float = RECALL) -> dict:
+def codes_for(n: int, sample: int = SAMPLE) -> int:
+    """Codes of a half's codebook, so that a cell of the grid holds about ``CELL_ROWS`` of ``n`` vectors, and a code eight of the sample or more."""
+    return max(4, min(round((n / CELL_ROWS) ** 0.5), sample // 8))
+
+
+def fit(x: np.ndarray, codes: int, threshold: float = THRESHOLD, recall: float = RECALL) -> dict:
     """Codebooks for both halves of unit vectors, and the number of visits that reaches the target recall on them."""
     half = x.shape[1] // 2 or 1
     books = (_kmeans(x[:, :half], codes), _kmeans(x[:, half:], codes))
@@ -83,6 +88,8 @@ def fit(x: np.ndarray, codes: int = CODES, threshold: float = THRESHOLD, recall:
         at = lambda q, t: np.where((hit := seen[q] == seen[t, :1]).any(1), hit.argmax(1), most)
         ranks.append(np.minimum(at(r, c), at(c, r)))
     ranks = np.concatenate(ranks) if ranks else np.empty(0)
+    if len(ranks) and most == MAX_VISITS and np.quantile(ranks, recall) >= most:
+        return fit(x, codes // 2, threshold, recall)  # cells too small for the target recall
     if len(ranks):
         model["visits"] = int(min(most, max(4, 2 * (np.quantile(ranks, recall) + 1))))
     else:
@@ -91,8 +98,9 @@ def fit(x: np.ndarray, codes: int = CODES, threshold: float = THRESHOLD, recall:
 
 
 def cells(model: dict, x: np.ndarray) -> np.ndarray:
-    h = model["half"]
-    return traverse(_nearest(x[:, :h], model["books"][0]), _nearest(x[:, h:], model["books"][1]), model["visits"])
+    h, some = model["half"], 2000  # rows at a time, for bounded memory
+    parts = [x[a : a + some] for a in range(0, len(x), some)]
+    return np.concatenate([traverse(_nearest(p[:, :h], model["books"][0]), _nearest(p[:, h:], model["books"][1]), model["visits"]) for p in parts])
 
 
 def _compare(threshold: float):
@@ -144,7 +152,7 @@ def link(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE,
     if picked:
         x = np.array(picked)
         x /= np.linalg.norm(x / abs(x).max(1, keepdims=True), axis=1, keepdims=True) * abs(x).max(1, keepdims=True)
-        state = spark.sparkContext.broadcast(pickle.dumps(fit(x, threshold=threshold)))
+        state = spark.sparkContext.broadcast(pickle.dumps(fit(x, codes_for(sets.count(), sample), threshold)))
 
         def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             model = pickle.loads(state.value)
