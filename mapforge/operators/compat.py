@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mapforge.functions import text
+from mapforge.functions.near import near_values
 
 
 def sizes(pairs: DataFrame) -> DataFrame:
@@ -56,21 +57,29 @@ def positive_all_pairs(pairs: DataFrame) -> DataFrame:
     return met.select("src", "dst", (F.col("common") / F.least(F.size("s1"), F.size("s2"))).alias("w_pos"))
 
 
+def _keyed(pairs: DataFrame) -> DataFrame:
+    return pairs.select("cand_id", text.key(F.col("l")).alias("l"), text.key(F.col("r")).alias("r")).distinct()
+
+
+def _met_on_left(keyed: DataFrame, f_ed: tuple[int, int], k_ed: int, digit_guard: bool) -> DataFrame:
+    """(src, dst, l1, r1, l2, r2) of all rows of two candidates whose lefts match exactly or approximately."""
+    lefts = keyed.select(F.col("l").alias("v")).distinct()
+    alike = near_values(lefts, f_ed, k_ed, digit_guard).union(lefts.select("v", "v")).toDF("l1", "l2")
+    a = keyed.select(F.col("cand_id").alias("src"), F.col("l").alias("l1"), F.col("r").alias("r1"))
+    b = keyed.select(F.col("cand_id").alias("dst"), F.col("l").alias("l2"), F.col("r").alias("r2"))
+    return a.join(alike, "l1").join(b, "l2").where("src < dst")
+
+
 def positive_fuzzy(pairs: DataFrame, f_ed: tuple[int, int] = (1, 5), k_ed: int = 10, digit_guard: bool = True) -> DataFrame:
-    """w_pos with approximate matches; candidates meet when they share an exact pair or a left or right key prefix.
+    """w_pos with approximate matches on both sides, none missed: unequal lefts meet by shared segments.
 
-    Exact matches are settled first; edit distances are computed for the rest only.
+    Exact matches are settled first; edit distances of rights are computed for the rest only.
     """
-    keyed = pairs.select("cand_id", text.key(F.col("l")).alias("l"), text.key(F.col("r")).alias("r")).distinct()
+    keyed = _keyed(pairs)
     exact = _two_sided(keyed, ["l", "r"]).select("src", "dst", "l", "r")
     hits = exact.groupBy("src", "dst").agg(F.count("*").alias("common"))
-    # residual rows meet in blocks of their right value's or left value's first letters
-    block = lambda c: F.substring(c, 1, 3)
-    rest = keyed.withColumn("b", F.explode(F.array_distinct(F.array(F.concat(F.lit("l"), block("l")), F.concat(F.lit("r"), block("r"))))))
-    a = rest.select(F.col("cand_id").alias("src"), "b", F.col("l").alias("l1"), F.col("r").alias("r1"))
-    b = rest.select(F.col("cand_id").alias("dst"), "b", F.col("l").alias("l2"), F.col("r").alias("r2"))
-    near = a.join(b, "b").where("src < dst and not (l1 = l2 and r1 = r2)")
-    near = near.where(text.matches(F.col("l1"), F.col("l2"), f_ed, k_ed, digit_guard=digit_guard) & text.matches(F.col("r1"), F.col("r2"), f_ed, k_ed, digit_guard=digit_guard))
+    near = _met_on_left(keyed, f_ed, k_ed, digit_guard).where("not (l1 = l2 and r1 = r2)")
+    near = near.where(text.matches(F.col("r1"), F.col("r2"), f_ed, k_ed, digit_guard=digit_guard))
     near = near.join(exact.select("src", "dst", F.col("l").alias("l1"), F.col("r").alias("r1")), ["src", "dst", "l1", "r1"], "left_anti").join(exact.select("src", "dst", F.col("l").alias("l2"), F.col("r").alias("r2")), ["src", "dst", "l2", "r2"], "left_anti")
     more = near.groupBy("src", "dst").agg(F.least(F.count_distinct("l1", "r1"), F.count_distinct("l2", "r2")).alias("more"))
     both = hits.join(more, ["src", "dst"], "full").select("src", "dst", (F.coalesce("common", F.lit(0)) + F.coalesce("more", F.lit(0))).alias("common"))
@@ -91,6 +100,19 @@ def negative(pairs: DataFrame, mode: str = "literal") -> DataFrame:
     return _with_sizes(counts, pairs).select("src", "dst", (-F.col("common") / F.least("n1", "n2")).alias("w_neg"))
 
 
+def negative_fuzzy(pairs: DataFrame, f_ed: tuple[int, int] = (1, 5), k_ed: int = 10, digit_guard: bool = True) -> DataFrame:
+    """w_neg where lefts that match approximately conflict unless their rights match approximately, so spelling is no conflict."""
+    keyed = _keyed(pairs)
+    clash = _met_on_left(keyed, f_ed, k_ed, digit_guard).where(~text.matches(F.col("r1"), F.col("r2"), f_ed, k_ed, digit_guard=digit_guard))
+    counts = clash.groupBy("src", "dst").agg(F.least(F.count_distinct("l1"), F.count_distinct("l2")).alias("common"))
+    return _with_sizes(counts, keyed).select("src", "dst", (-F.col("common") / F.least("n1", "n2")).alias("w_neg"))
+
+
+def with_synonyms(pairs: DataFrame, synonyms: DataFrame) -> DataFrame:
+    """``pairs`` in terms of one name per synonym group on both sides, so all scores and resolution treat synonyms as equal."""
+    return text.canonicalise(text.canonicalise(pairs, "l", synonyms), "r", synonyms).distinct()
+
+
 def signed_graph(pairs: DataFrame, theta_overlap: int = 0, mode: str = "literal") -> DataFrame:
     """(src, dst, w_pos, w_neg), 0 where one side is missing."""
     full = positive(pairs, theta_overlap).join(negative(pairs, mode), ["src", "dst"], "full")

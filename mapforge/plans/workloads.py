@@ -8,13 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from mapforge import streaming
-from mapforge.functions import text
-from mapforge.operators import apps, baselines, candidates, compat, conflicts, exact, graph, measures
+from mapforge.functions import near, text
+from mapforge.operators import apps, baselines, candidates, compat, conflicts, exact, graph, measures, relaxed
 from mapforge.params import SynthParams
+from mapforge.plans import relational
 from mapforge.sources import corpus
 
-Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-SQL: dict[str, str] = {}
+Q: dict[str, Callable[[SparkSession, str], DataFrame]] = dict(relational.Q)
+SQL: dict[str, str] = dict(relational.SQL)
 
 
 def query(sql: str | None = None):
@@ -203,11 +204,102 @@ def signed_graph(spark, d):
     return _flat(compat.signed_graph(code_pairs(spark, d)), "w_pos", "w_neg")
 
 
-@query()
+_FUZZY = """first AS (SELECT p_name AS l, min(p_brand) AS r FROM part GROUP BY 1),
+    raw AS (SELECT 'a' AS cand_id, l, r FROM first UNION ALL SELECT 'b', l || ' (x)', r FROM first UNION ALL SELECT 'c', 'z' || substr(l, 2), CASE WHEN length(l) % 2 = 0 THEN 'other' ELSE r END FROM first),
+    pairs AS (SELECT DISTINCT cand_id, regexp_replace(lower(l), '[^a-z0-9]+', '', 'g') AS l, regexp_replace(lower(r), '[^a-z0-9]+', '', 'g') AS r FROM raw),
+    sizes AS (SELECT cand_id, count(*) AS n FROM pairs GROUP BY 1),
+    met AS (SELECT a.cand_id AS src, b.cand_id AS dst, a.l AS l1, b.l AS l2, a.r AS r1, b.r AS r2 FROM pairs a JOIN pairs b ON a.cand_id < b.cand_id AND (a.l = b.l OR (levenshtein(a.l, b.l) <= least(length(a.l) // 5, length(b.l) // 5, 10)
+      AND trim(regexp_replace(a.l, '[^0-9]+', ' ', 'g')) = trim(regexp_replace(b.l, '[^0-9]+', ' ', 'g'))))),
+    judged AS (SELECT *, r1 = r2 OR (levenshtein(r1, r2) <= least(length(r1) // 5, length(r2) // 5, 10) AND trim(regexp_replace(r1, '[^0-9]+', ' ', 'g')) = trim(regexp_replace(r2, '[^0-9]+', ' ', 'g'))) AS same FROM met),
+    hits AS (SELECT src, dst, l1, r1 FROM judged WHERE l1 = l2 AND r1 = r2),
+    more AS (SELECT src, dst, least(count(DISTINCT (l1, r1)), count(DISTINCT (l2, r2))) AS n FROM judged j WHERE same
+      AND NOT EXISTS (SELECT 1 FROM hits h WHERE h.src = j.src AND h.dst = j.dst AND h.l1 = j.l1 AND h.r1 = j.r1) AND NOT EXISTS (SELECT 1 FROM hits h WHERE h.src = j.src AND h.dst = j.dst AND h.l1 = j.l2 AND h.r1 = j.r2) GROUP BY 1, 2),
+    both_ AS (SELECT src, dst, sum(n) AS n FROM (SELECT src, dst, n FROM more UNION ALL SELECT src, dst, count(*) FROM hits GROUP BY 1, 2) GROUP BY 1, 2)"""
+
+
+def spelled(spark: SparkSession, d: str) -> DataFrame:
+    """Part names as they are, with a suffix, and with another first letter and partly other rights."""
+    first = corpus.read(spark, d, "part").groupBy(F.col("p_name").alias("l")).agg(F.min("p_brand").alias("r"))
+    rows = [("a", F.col("l"), F.col("r")), ("b", F.concat("l", F.lit(" (x)")), F.col("r")), ("c", F.concat(F.lit("z"), F.expr("substring(l, 2)")), F.when(F.length("l") % 2 == 0, "other").otherwise(F.col("r")))]
+    a, b, c = (first.select(F.lit(name).alias("cand_id"), l.alias("l"), r.alias("r")) for name, l, r in rows)
+    return a.union(b).union(c)
+
+
+@query(f"WITH {_FUZZY} SELECT src, dst, round(b.n / least(x.n, y.n), 6) AS w_pos FROM both_ b JOIN sizes x ON x.cand_id = src JOIN sizes y ON y.cand_id = dst")
 def pos_edges_fuzzy(spark, d):
-    part = corpus.read(spark, d, "part").select(F.lit("a").alias("cand_id"), F.col("p_name").alias("l"), F.col("p_brand").alias("r")).dropDuplicates(["l"])
-    other = part.select(F.lit("b").alias("cand_id"), F.concat("l", F.lit(" (x)")).alias("l"), "r")
-    return _flat(compat.positive_fuzzy(part.union(other)), "w_pos")
+    return _flat(compat.positive_fuzzy(spelled(spark, d)), "w_pos")
+
+
+@query(f"WITH {_FUZZY}, c AS (SELECT src, dst, least(count(DISTINCT l1), count(DISTINCT l2)) AS n FROM judged WHERE NOT same GROUP BY 1, 2) SELECT src, dst, round(-c.n / least(x.n, y.n), 6) AS w_neg FROM c JOIN sizes x ON x.cand_id = src JOIN sizes y ON y.cand_id = dst")
+def neg_edges_fuzzy(spark, d):
+    return _flat(compat.negative_fuzzy(spelled(spark, d)), "w_neg")
+
+
+@query("WITH v AS (SELECT DISTINCT lower(p_name) AS v FROM part) SELECT x.v AS a, y.v AS b FROM v x JOIN v y ON x.v <> y.v AND levenshtein(x.v, y.v) <= least(length(x.v) // 5, length(y.v) // 5, 10)")
+def near_names(spark, d):
+    return near.near_values(corpus.read(spark, d, "part").select(F.lower("p_name").alias("v")), digit_guard=False)
+
+
+def aliases(spark: SparkSession, d: str) -> DataFrame:
+    """Synonym feed: an alias of each nation."""
+    return corpus.read(spark, d, "nation").select(F.col("n_name").alias("a"), F.concat(F.lit("zz alias "), F.col("n_nationkey")).alias("b"))
+
+
+def aliased_pairs(spark: SparkSession, d: str) -> DataFrame:
+    """Two tables of nations and regions, the second naming odd nations by their alias."""
+    n = corpus.read(spark, d, "nation").join(corpus.read(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    other = F.when(F.pmod("n_nationkey", F.lit(2)) == 1, F.concat(F.lit("zz alias "), F.col("n_nationkey"))).otherwise(F.col("n_name"))
+    return n.select(F.lit("t1").alias("cand_id"), F.lit("d").alias("domain"), F.col("n_name").alias("l"), F.col("r_name").alias("r")).union(n.select(F.lit("t2"), F.lit("d"), other, "r_name"))
+
+
+@query("SELECT n_name AS v, n_name AS canonical FROM nation UNION ALL SELECT 'zz alias ' || n_nationkey, n_name FROM nation")
+def synonym_match(spark, d):
+    s = aliases(spark, d)
+    both = s.select(F.col("a").alias("v")).union(s.select("b"))
+    return text.canonicalise(both.withColumn("canonical", F.col("v")), "canonical", s)
+
+
+@query("SELECT 't1' AS src, 't2' AS dst, 1.0 AS w_pos, 0.0 AS w_neg")
+def synonym_edges(spark, d):
+    return _flat(compat.signed_graph(compat.with_synonyms(aliased_pairs(spark, d), aliases(spark, d))), "w_pos", "w_neg")
+
+
+@query("SELECT n_name AS l, r_name AS r, 2 AS support FROM nation JOIN region ON n_regionkey = r_regionkey")
+def resolved_synonyms(spark, d):
+    pairs = compat.with_synonyms(aliased_pairs(spark, d), aliases(spark, d))
+    one = pairs.select("cand_id").distinct().withColumn("cluster_id", F.lit("all"))
+    return conflicts.resolve(one, pairs).select("l", "r", "support")
+
+
+@query("SELECT * FROM (VALUES ('1', '1', 0.6, 0.6), ('2', '1', 0.6, 0.6), ('3', '3', 0.6, 0.6), ('4', '3', 0.6, 0.6), ('5', '3', 0.6, 0.6)) t(cand_id, cluster_id, bound, loss)")
+def relaxed_fivegraph(spark, d):
+    """Distances by linear programme, rounded by growing balls: with one negative edge the bound is met."""
+    e = five_edges(spark)
+    return _flat(relaxed.solve_components(e, graph.components(e)).drop("comp"), "bound", "loss")
+
+
+@query("SELECT 0.6 AS cut")
+def cut_one_neg(spark, d):
+    return spark.createDataFrame([(round(exact.min_cut(FIVE, {"1"}, {"3"})[0], 6),)], "cut double")
+
+
+@query("SELECT 2.1 AS by_cut, 2.1 AS enumerated")
+def cut_two_neg(spark, d):
+    two = [*FIVE[:5], ("2", "5", 0.30, -0.4), FIVE[6]]
+    two = [e for e in two if e[:2] != ("1", "2")]
+    return spark.createDataFrame([(round(exact.solve(two), 6), round(exact.enumerate_best(two)[0], 6))], "by_cut double, enumerated double")
+
+
+@query("SELECT CAST(0.0 AS DOUBLE) AS drift, 4 AS n_nodes, 6 AS n_edges")
+def graph_size(spark, d):
+    """Vertices and edges of the code graph; kept and cut weight together are all weight."""
+    pairs = code_pairs(spark, d)
+    edges = compat.signed_graph(pairs)
+    parts = graph.objective(graph.synthesize(pairs, edges, SynthParams(theta_edge=0.5)), edges)
+    whole = edges.agg(F.sum("w_pos").alias("w"), F.count("*").alias("n_edges"))
+    n = pairs.agg(F.count_distinct("cand_id").alias("n_nodes"))
+    one = parts.crossJoin(whole).crossJoin(n)  # one row each
+    return one.select(F.abs(F.round(F.col("w") - F.col("score") - F.col("loss"), 6)).alias("drift"), "n_nodes", "n_edges")
 
 
 @query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS node, 'p00' AS comp FROM (SELECT unnest(range(20)) AS f)")

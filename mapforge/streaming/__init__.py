@@ -1,10 +1,24 @@
-"""Streaming surface: event windows and repeated-pair removal with watermarks."""
+"""Streaming surface: event windows and repeated-pair removal with watermarks, and sinks that all executors share."""
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from mapforge.sources.storage import shared_dir
+
+
+def table_stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table's files as a stream."""
+    path = f"{sf_dir}/{name}.parquet"
+    return spark.readStream.schema(spark.read.parquet(path).schema).parquet(f"{path[:-1]}[t]")  # as a pattern, the path may be one file
+
+
+def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table_stream(spark, sf_dir, "events")
+
 
 def event_windows(events: DataFrame, delay: str = "10 minutes", width: str = "1 hour") -> DataFrame:
     """Events per tumbling window and type; works on a stream or a table."""
@@ -13,7 +27,15 @@ def event_windows(events: DataFrame, delay: str = "10 minutes", width: str = "1
 
 
 def run_available(spark: SparkSession, stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Drive a stream over what is there now and return the memory sink's table."""
+    """Drive a stream over what is there now and return the memory sink's table: for small results only."""
     q = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name)
+
+
+def run_to_table(spark: SparkSession, stream: DataFrame, name: str) -> DataFrame:
+    """Drive an appending stream over what is there now into Parquet files of the shared folder, and read them back."""
+    base = f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}"
+    q = stream.writeStream.outputMode("append").format("parquet").option("path", f"{base}/rows").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{base}/rows")

@@ -5,8 +5,8 @@ import random
 
 import pytest
 
-from mapforge.functions import text
-from mapforge.operators import candidates, compat, conflicts, exact, graph
+from mapforge.functions import near, text
+from mapforge.operators import candidates, compat, conflicts, exact, graph, relaxed
 from mapforge.params import SynthParams
 from mapforge.plans import workloads
 
@@ -101,3 +101,58 @@ def test_theta_bounds(spark):
 def test_flagship(spark):
     rows = workloads.flagship(spark, "/root/testdata/sf0.001").collect()
     assert rows and len({(r["cluster_id"], r["l"]) for r in rows}) == len(rows)
+
+
+def _edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1]
+
+
+def test_near_values_equal_brute_force(spark):
+    rng = random.Random(8)
+    values = {"", "a", "é" * 5}
+    for _ in range(40):
+        base = "".join(rng.choices("abc", k=rng.randint(1, 34)))
+        values.add(base)
+        for _ in range(3):
+            other = list(base)
+            for _ in range(rng.randint(1, 7)):
+                k = rng.randrange(len(other) + 1)
+                other[k : k + rng.randint(0, 1)] = rng.choice(["", "x", "b"])
+            values.add("".join(other))
+    want = {(a, b) for a in values for b in values if a != b and _edits(a, b) <= min(len(a) // 5, len(b) // 5, 10)}
+    rows = spark.createDataFrame([(v,) for v in [*values, None]], "v string")
+    got = [(r["a"], r["b"]) for r in near.near_values(rows, digit_guard=False).collect()]
+    assert len(want) > 50 and sorted(got) == sorted(want)
+    assert near.near_values(rows.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("seed", range(25))
+def test_relaxation_bounds_the_optimum(seed):
+    rng = random.Random(seed)
+    edges = [(a, b, round(rng.random(), 2), rng.choice([0, 0, -0.5])) for a, b in itertools.combinations("abcdef", 2)]
+    bound, loss, home = relaxed.rounded(edges)
+    best = sum(e[2] for e in edges) - exact.enumerate_best(edges)[0]
+    assert bound <= best + 1e-6 and loss >= best - 1e-6
+    assert all(home[a] != home[b] for a, b, _, neg in edges if neg < -0.2)
+
+
+def test_relaxation_is_exact_for_one_negative_edge():
+    bound, loss, _ = relaxed.rounded(workloads.FIVE)
+    assert abs(bound - 0.6) < 1e-6 and abs(loss - 0.6) < 1e-6
+
+
+def test_components_beyond_the_relaxation_stay_alone(spark):
+    e = spark.createDataFrame([(f"v{k:02}", f"v{k + 1:02}", 0.5, 0.0) for k in range(14)] + [("x", "y", 0.5, 0.0)], "src string, dst string, w_pos double, w_neg double")
+    rows = relaxed.solve_components(e, graph.components(e)).collect()
+    assert len(rows) == 17 and sum(r["bound"] is None and r["cand_id"] == r["cluster_id"] for r in rows) == 15
+
+
+def test_spelling_is_no_conflict(spark):
+    rows = [("a", "American Samoa", "Pago Pago"), ("b", "American Samoa (US)", "Pago-Pago"), ("a", "Tonga", "x"), ("b", "Tonga", "yyyyy")]
+    got = {(r["src"], r["dst"]): r["w_neg"] for r in compat.negative_fuzzy(spark.createDataFrame(rows, "cand_id string, l string, r string")).collect()}
+    assert got == {("a", "b"): -0.5}
