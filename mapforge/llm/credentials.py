@@ -1,10 +1,10 @@
 """Operator 10: secret scans whose false positives a random forest removes, in DataFrame functions only.
 
-Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets that hold a
-digit, or that stand after an assignment to a telling name. Features of a candidate: length, shares of
-character classes, changes between classes, distinct characters, coverage by common words of the corpus
-(dictionary), whether it looks like a path or address, whether telling words stand before it, whether it
-is assigned or quoted, and known prefixes. A random forest, trained from labelled findings, scores each
+Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets with a digit among
+their first 41 characters; a secret of letters alone is none. Features of a candidate: length, shares of
+character classes, changes between classes, distinct characters, share in runs shaped like words, share
+covered by the ``DICTIONARY`` words that most documents of the corpus hold, whether it looks like a path or
+address, whether telling words stand before it, whether it is assigned, and known prefixes. A random forest, trained from labelled findings, scores each
 candidate; those of score 0.5 or more are reported.
 
 Labelled findings: ``labelled`` may be given as rows (before, token, label). Without them, findings are
@@ -34,20 +34,35 @@ MIN_CHARS = 12
 TRAINING = 2400
 TREES = 15
 DEPTH = 6
+DICTIONARY = 5000
 #: Names that announce a secret, prefixes of known kinds, names of harmless digests.
 TELLING = "password|passwd|pwd|secret|token|api_?key|apikey|access_?key|private_?key|credential|auth"
 PREFIXES = "AKIA|ASIA|ghp_|gho_|github_pat_|xox[abp]-|sk_live_|sk-|AIza|glpat-|eyJ"
 HARMLESS = "sha1|sha256|md5|digest|checksum|commit|revision|version|build|uuid|etag|hash|id"
 _TOKEN = rf"(?<![A-Za-z0-9_/+=.@-])(?=[A-Za-z_=:\"'/+.-]{{0,40}}+[0-9])[A-Za-z0-9_/+=.@:-]{{{MIN_CHARS},}}+"
-FEATURES = ("n", "digits", "lowers", "uppers", "marks", "changes", "distinct", "hexlike", "words", "pathlike", "telling", "harmless", "assigned", "prefixed")
+FEATURES = ("n", "digits", "lowers", "uppers", "marks", "changes", "distinct", "hexlike", "words", "pathlike", "telling", "harmless", "assigned", "prefixed", "known")
 
 
 def _share(value: Column, letters: str) -> Column:
     return F.length(F.regexp_replace(value, f"[^{letters}]", "")) / F.greatest(F.length(value), F.lit(1))
 
 
-def features(token: Column, before: Column) -> list[Column]:
-    """Feature columns of a candidate and the text before it (at most 40 code points)."""
+def dictionary(docs: DataFrame, size: int = DICTIONARY) -> list[str]:
+    """The ``size`` words that most documents hold, counted over all whole texts: words of letters alone, in two documents or more."""
+    words = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(r"(?<!\S)[a-z]{3,20}(?![^\s.,;:!?])"), F.lit(0)))
+    counts = docs.select(F.explode(words).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
+    return [r["w"] for r in counts.where("n >= 2").orderBy(F.desc("n"), "w").limit(size).collect()]
+
+
+def _known(value: Column, words: list[str]) -> Column:
+    """The share of a value's characters in letter runs that are words of the dictionary, which is one string literal."""
+    listed = F.lit(f" {' '.join(words)} ")
+    runs = F.filter(F.regexp_extract_all(value, F.lit("[A-Z]?[a-z]{2,}"), F.lit(0)), lambda w: F.contains(listed, F.concat(F.lit(" "), F.lower(w), F.lit(" "))))
+    return F.length(F.array_join(runs, "")) / F.greatest(F.length(value), F.lit(1))
+
+
+def features(token: Column, before: Column, words: list[str]) -> list[Column]:
+    """Feature columns of a candidate and the text before it (at most 40 code points), given the dictionary."""
     name = F.lower(F.regexp_extract(token, r"^([A-Za-z_]+)[=:](?=.)", 1))
     value = F.regexp_replace(token, r"^[A-Za-z_]+[=:]", "")
     near = F.concat(F.lower(before), name)
@@ -67,6 +82,7 @@ def features(token: Column, before: Column) -> list[Column]:
         near.rlike(rf"\b(?:{HARMLESS})\W{{0,5}}$").cast("double").alias("harmless"),
         ((name != "") | before.rlike(r"[=:]\s{0,2}[\"']?$")).cast("double").alias("assigned"),
         value.rlike(f"^(?:{PREFIXES})").cast("double").alias("prefixed"),
+        _known(value, words).alias("known"),
     ]
 
 
@@ -79,12 +95,12 @@ def candidates(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", F.col("s").cast("long").alias("start"), F.col("e").cast("long").alias("end"), F.col("m").alias("token"), near.alias("before"))
 
 
-def generated_findings(n: int = TRAINING, seed: int = 3) -> list[tuple[str, str, float]]:
-    """Labelled findings by rule: (before, token, label), half of them secrets."""
+def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None = None) -> list[tuple[str, str, float]]:
+    """Labelled findings by rule: (before, token, label), half of them secrets; two of three words come from the dictionary, if any."""
     rng = random.Random(seed)
     pick = lambda letters, k: "".join(rng.choices(letters, k=k))
     hexa, alnum, upper = "0123456789abcdef", string.ascii_letters + string.digits, string.ascii_uppercase + string.digits
-    word = lambda: pick(string.ascii_lowercase, rng.randint(3, 9))
+    word = lambda: rng.choice(words) if words and rng.random() < 0.67 else pick(string.ascii_lowercase, rng.randint(3, 9))
     tell = lambda: rng.choice(["password", "secret", "token", "api_key", "access_key", "TOKEN", "Password"])
     safe = lambda: rng.choice(HARMLESS.split("|"))
     yes = [
@@ -110,10 +126,10 @@ def generated_findings(n: int = TRAINING, seed: int = 3) -> list[tuple[str, str,
     return [(*rng.choice(kind)(), label) for k in range(n) for kind, label in ([(yes, 1.0), (no, 0.0)][k % 2],)]
 
 
-def train(spark: SparkSession, labelled: DataFrame | None = None, trees: int = TREES, depth: int = DEPTH) -> Column:
+def train(spark: SparkSession, words: list[str], labelled: DataFrame | None = None, trees: int = TREES, depth: int = DEPTH) -> Column:
     """The forest as one expression over the feature columns: the share of votes for a secret."""
-    rows = labelled.limit(TRAINING) if labelled is not None else spark.createDataFrame(generated_findings(), "before string, token string, label double")
-    data = rows.select("label", *features(F.col("token"), F.col("before"))).coalesce(1)
+    rows = labelled.limit(TRAINING) if labelled is not None else spark.createDataFrame(generated_findings(words=words), "before string, token string, label double")
+    data = rows.select("label", *features(F.col("token"), F.col("before"), words)).coalesce(1)
     data = VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(data)
     model = RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=11, featureSubsetStrategy="sqrt").fit(data)
     votes = [_tree_sql(t.toDebugString.split("\n")[1:]) for t in model.trees]
@@ -137,8 +153,9 @@ def _tree_sql(lines: list[str]) -> str:
 
 def scan(docs: DataFrame, labelled: DataFrame | None = None, threshold: float = 0.5) -> DataFrame:
     """doc_id, start, end, secret_sha256, score of every candidate that the forest takes for a secret."""
-    score = train(docs.sparkSession, labelled)
-    scored = candidates(docs).select("doc_id", "start", "end", "token", *features(F.col("token"), F.col("before"))).withColumn("score", score)
+    words = dictionary(docs)
+    score = train(docs.sparkSession, words, labelled)
+    scored = candidates(docs).select("doc_id", "start", "end", "token", *features(F.col("token"), F.col("before"), words)).withColumn("score", score)
     return scored.where(F.col("score") >= threshold).select("doc_id", "start", "end", F.sha2(F.col("token").cast("binary"), 256).alias("secret_sha256"), F.round("score", 6).alias("score"))
 
 
