@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mapforge.llm.common import connected_components, persist_table, table
+from mapforge.llm.common import connected_components, persist_table, small_batches, table
 
 WORDS = 5
 THRESHOLD = 0.8
@@ -54,6 +54,14 @@ def prefix_length(threshold: float = THRESHOLD, trees: int = TREES, depth: int =
     return 1
 
 
+def _code(word: str) -> int:
+    """A word's hash, kept for words of usual length."""
+    code = xxhash.xxh3_64_intdigest(word) | 1
+    if len(word) <= 40:
+        _known[word] = code
+    return code
+
+
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the text's word runs."""
     found = _WORD.findall(text.lower()) if text else []
@@ -62,7 +70,7 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     if len(_known) > 500_000:
         _known.clear()
     get = _known.get
-    codes = np.array([get(w) or _known.setdefault(w, xxhash.xxh3_64_intdigest(w) | 1) for w in found], np.uint64)
+    codes = np.array([get(w) or _code(w) for w in found], np.uint64)
     n = min(words, len(codes))
     mixed = np.zeros(len(codes) - n + 1, np.uint64)
     for k in range(n):
@@ -179,7 +187,8 @@ def _verify(threshold: float):
 
 def classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, block: int = BLOCK) -> DataFrame:
     """One row per document: doc_id, class_id (least doc_id reachable by links), n_links (other documents linked directly)."""
-    rows = persist_table(signatures(docs, threshold, trees), "forest")
+    with small_batches(docs.sparkSession):
+        rows = persist_table(signatures(docs, threshold, trees), "forest")
     # ``home``: one document that has the set, to find its text again
     sets = persist_table(rows.where("node is not null").groupBy("node").agg(F.count("*").alias("copies"), F.min("doc_id").alias("home"), F.first("keys").alias("keys")), "forest-sets")
     met = sets.select("node", F.posexplode("keys").alias("tree", "key"))
@@ -200,7 +209,8 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, b
     full = full.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     units = full.select("tree", "key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "copies", "shingles", "kept")
     linked = units.groupBy("tree", "key", "i", "j").applyInPandas(_verify(threshold), "node binary, root binary, links long")
-    linked = persist_table(linked, "forest-links")
+    with small_batches(docs.sparkSession):
+        linked = persist_table(linked, "forest-links")
     parts = connected_components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")))
     links = linked.groupBy("node").agg(F.sum("links").alias("links"))
     named = sets.select("node", "copies", "home").join(parts, "node", "left").withColumn("root", F.coalesce("root", "node"))
