@@ -162,8 +162,9 @@ def train(toxic: list[str], ordinary: list[str], ordinary_weight: float = 1.0) -
     halves = [(t[::2], t[1::2] or t) for t in (toxic, ordinary)]
     (t_dict, t_fit), (o_dict, o_fit) = halves
     o_grams = _grams(o_dict)
-    common = Counter(w for t in o_dict for w in set(re.findall(r"\w+", t.lower()))).most_common(BASE_BYTES // 7)
-    base = b" ".join(w.encode() for w, _ in reversed(common))[-BASE_BYTES:]
+    counts = Counter(w for t in o_dict for w in set(re.findall(r"\w+", t.lower())))
+    common = sorted(counts, key=lambda w: (-counts[w], w))[: BASE_BYTES // 7]  # ties by word: sets have no fixed order
+    base = b" ".join(w.encode() for w in reversed(common))[-BASE_BYTES:]
     own = _typical(t_dict, o_grams, len(o_dict), OWN_BYTES)
     # Zeros of the same length keep every offset into the base equal: neutral windows cost the same twice.
     model = Model(own + base, bytes(len(own)) + base)
