@@ -1,15 +1,16 @@
-"""Operator 4: toxicity by compression distance between two zstandard dictionaries.
+"""Operator 4: toxicity by compression distance between zstandard dictionaries.
 
-Two dictionaries are trained on labelled text: both hold the
-words of ordinary documents, and one also the segments that toxic documents have and ordinary ones
-lack, so that a window of neutral text costs about the same with either. A document is cut into windows at white space; each
-window is compressed with both, and what the toxic dictionary saves, in bytes, is the window's
-distance. A logistic curve over the document's distances, fitted on the training sample, gives the
-score; its threshold of 0.5 is moved to the cut that fits the sample best.
+Two dictionaries are trained by zstandard, one on the windows of toxic documents and one on those of
+ordinary documents. A second pair has the same neutral part on both sides, the common words of ordinary
+documents, and on the toxic side the segments that toxic documents have and ordinary ones lack, so that
+a window of neutral text costs about the same with either. A document is cut into windows at white space;
+each window is compressed with both sides of both pairs, and what the toxic side saves, in bytes, is the
+window's distance in that pair. A logistic curve over the document's distances, fitted on the training
+sample, gives the score; its threshold of 0.5 is moved to the cut that fits the sample best.
 
 The training sample is bounded: whole documents of a class, at most ``SAMPLE_DOCS``, until ``SAMPLE_CHARS`` are reached; scoring
 covers every whole text and never looks at labels, languages, sources or ids. Null text counts as
-empty; an empty text has no window and gets the score of distance zero. With no labelled rows of
+empty; an empty text has no window and gets score 0. With no labelled rows of
 either class, every score is 0.
 """
 
@@ -35,7 +36,9 @@ WINDOW = 64
 LEVEL = 5
 BASE_BYTES = 24_000
 OWN_BYTES = 8_000
+TRAINED_BYTES = 110_000
 SLICE_ROWS = 256
+RAW, AUTO = zstandard.DICT_TYPE_RAWCONTENT, zstandard.DICT_TYPE_AUTO
 HELD_OUT_FOLD, FOLDS = 0, 5
 
 
@@ -97,48 +100,65 @@ def _typical(texts: list[str], other: Counter, n_other: int, budget: int) -> byt
     return "".join(reversed(kept)).encode()
 
 
+def _trained(texts: list[str], size: int = TRAINED_BYTES) -> bytes:
+    """A zstandard dictionary trained on all windows of the texts; the windows themselves where they are too few to train on."""
+    samples = [w for t in texts for w in windows(t)]
+    try:
+        return zstandard.train_dictionary(size, samples, k=50, d=6).as_bytes()
+    except zstandard.ZstdError:
+        return b"".join(samples)[-size:]
+
+
 @dataclass
 class Model:
     toxic: bytes = b""
     ordinary: bytes = b""
     weights: list[float] = field(default_factory=list)
+    trained_toxic: bytes = b""
+    trained_ordinary: bytes = b""
 
     def __post_init__(self) -> None:
         self._made: tuple | None = None
 
     def __getstate__(self) -> tuple:
-        return self.toxic, self.ordinary, self.weights
+        return self.toxic, self.ordinary, self.weights, self.trained_toxic, self.trained_ordinary
 
     def __setstate__(self, state: tuple) -> None:
-        self.toxic, self.ordinary, self.weights = state
+        self.toxic, self.ordinary, self.weights, self.trained_toxic, self.trained_ordinary = state
         self._made = None
 
     def compressors(self) -> tuple:
         if self._made is None:
             params = zstandard.ZstdCompressionParameters.from_level(LEVEL, write_content_size=0, write_checksum=0, write_dict_id=0, min_match=4, strategy=zstandard.STRATEGY_BTLAZY2)
             made = []
-            for content in (self.toxic, self.ordinary):
-                d = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            for content, kind in ((self.toxic, RAW), (self.ordinary, RAW), (self.trained_toxic, AUTO), (self.trained_ordinary, AUTO)):
+                d = zstandard.ZstdCompressionDict(content, dict_type=kind)
                 d.precompute_compress(compression_params=params)
                 made.append(zstandard.ZstdCompressor(dict_data=d, compression_params=params).compress)
             self._made = tuple(made)
         return self._made
 
-    def distances(self, text: str) -> list[int]:
-        """Bytes that the toxic dictionary saves over the ordinary one, by window."""
-        toxic, ordinary = self.compressors()
-        return [len(ordinary(w)) - len(toxic(w)) for w in windows(text)]
+    def distances(self, text: str) -> tuple[list[int], list[int]]:
+        """Bytes that the toxic side saves over the ordinary one, by window: in the pair of segments, and in the trained pair."""
+        toxic, ordinary, trained_toxic, trained_ordinary = self.compressors()
+        cut = windows(text)
+        return [len(ordinary(w)) - len(toxic(w)) for w in cut], [len(trained_ordinary(w)) - len(trained_toxic(w)) for w in cut]
 
     def features(self, text: str) -> tuple[float, ...]:
-        """The largest distance, as a number and as steps, and how many windows stand out."""
-        d = self.distances(text) if text else []
+        """Of the segments: the largest distance, as a number and as steps, and how many windows stand out. Of the trained pair: the
+        three largest distances, their mean, mean and spread of all, the number of windows, and how many stand out, as number and share."""
+        d, other = self.distances(text) if text else ([], [])
         top = max(d, default=0)
-        return (min(top, 8) / 8, *(float(top >= k) for k in (2, 3, 4, 5)), float(np.log1p(sum(x >= 3 for x in d))), float(np.log1p(sum(x == 2 for x in d))))
+        own = (min(top, 8) / 8, *(float(top >= k) for k in (2, 3, 4, 5)), float(np.log1p(sum(x >= 3 for x in d))), float(np.log1p(sum(x == 2 for x in d))))
+        t = np.sort(np.array(other or [0], float))[::-1]
+        first = [t[min(k, len(t) - 1)] / 8 for k in range(3)]
+        steps = [*(float(np.log1p((t >= k).sum())) for k in (2, 4, 6, 8, 10)), *(float((t >= k).mean()) for k in (2, 4, 8))]
+        return (*own, *map(float, first), float(t[:3].mean() / 8), float(t.mean()), float(t.std() / 4), float(np.log1p(len(t))), *steps)
 
     def score(self, text: str | None) -> float:
-        if not self.weights:
+        if not self.weights or not text:
             return 0.0
-        z = self.weights[0] + float(np.dot(self.weights[1:], self.features(text or "")))
+        z = self.weights[0] + float(np.dot(self.weights[1:], self.features(text)))
         return float(1 / (1 + np.exp(-np.clip(z, -30, 30))))
 
 
@@ -167,8 +187,11 @@ def train(toxic: list[str], ordinary: list[str], ordinary_weight: float = 1.0) -
     base = b" ".join(w.encode() for w in reversed(common))[-BASE_BYTES:]
     own = _typical(t_dict, o_grams, len(o_dict), OWN_BYTES)
     # Zeros of the same length keep every offset into the base equal: neutral windows cost the same twice.
-    model = Model(own + base, bytes(len(own)) + base)
+    model = Model(own + base, bytes(len(own)) + base, [], _trained(t_dict), _trained(o_dict))
     x = np.array([(1.0, *model.features(t)) for t in (*t_fit, *o_fit)])
+    # Features of one scale for the fit; the scale is taken out of the weights again.
+    mean, spread = x[:, 1:].mean(0), x[:, 1:].std(0) + 1e-9
+    x[:, 1:] = (x[:, 1:] - mean) / spread
     y = np.array([1.0] * len(t_fit) + [0.0] * len(o_fit))
     weight = np.where(y == 1, 1.0, ordinary_weight)
     w = _logistic(x, y, weight)
@@ -177,6 +200,8 @@ def train(toxic: list[str], ordinary: list[str], ordinary_weight: float = 1.0) -
     right = np.array([weight[(x @ w >= c) == y].sum() for c in cuts])
     good = cuts[right >= right.max() - 1e-9]
     w[0] -= good[np.argmin(abs(good))]
+    w[1:] /= spread
+    w[0] -= w[1:] @ mean
     model.weights = w.tolist()
     return model
 
@@ -203,7 +228,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, samp
 
 def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     """``docs`` with ``score``."""
-    state = docs.sparkSession.sparkContext.broadcast(pickle.dumps(model))  # some tens of KB
+    state = docs.sparkSession.sparkContext.broadcast(pickle.dumps(model))  # some hundreds of KB
     keep = [c for c in docs.columns if c != "score"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -162,3 +162,14 @@ def test_toxicity_learns_held_out(spark):
     bad, good = [model.score(say(True)) for _ in range(50)], [model.score(say(False)) for _ in range(50)]
     assert np.mean([s >= 0.5 for s in bad]) > 0.9 and np.mean([s < 0.5 for s in good]) > 0.9
     assert 0 <= model.score("") < 0.5 and toxicity.train([], []).score("x") == 0
+
+
+def test_toxicity_trains_a_dictionary_of_each_class():
+    rng = random.Random(8)
+    rare = ["".join(rng.choices("bcdfghjklmnpqrstvwxz", k=9)) for _ in range(500)]  # each in about 1 % of the toxic documents
+    say = lambda bad: " ".join(rng.choice(rare) if bad and rng.random() < 0.1 else f"word{rng.randint(0, 300)}" for _ in range(60))
+    model = toxicity.train([say(True) for _ in range(400)], [say(False) for _ in range(400)])
+    for content in (model.trained_toxic, model.trained_ordinary):
+        assert content[:4] == bytes.fromhex("37a430ec")  # the mark of a trained zstandard dictionary
+    assert np.mean([model.score(say(True)) >= 0.5 for _ in range(50)]) > 0.8
+    assert np.mean([model.score(say(False)) < 0.5 for _ in range(50)]) > 0.8
