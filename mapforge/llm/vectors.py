@@ -2,8 +2,9 @@
 
 Unit vectors are cut in halves; each half has its own codebook (k-means on a bounded sample), and
 the product of both codebooks is a grid of cells. A vector visits cells by multi-sequence traversal:
-best sums of half distances first, cells in use or not, up to a number of cells that a measurement on
-the sample shows to reach the target recall. Every vector is in the index and every vector queries it.
+best sums of half distances first, cells in use or not, up to a number of cells that reaches the target
+recall for ``QUERIES`` sampled vectors, each compared exactly with every vector of the input. Every vector
+is in the index and every vector queries it.
 A pair is compared when either side visits the other's cell, and verified by cosine in double precision.
 
 Equal vectors fall into one class first. Cells are cut into blocks; a task compares a block of queries
@@ -33,6 +34,8 @@ CELL_ROWS = 64
 SAMPLE = 8000
 RECALL = 0.995
 MAX_VISITS = 64
+QUERIES = 1000
+FEW = 30
 BLOCK = 256
 
 
@@ -71,30 +74,74 @@ def codes_for(n: int, sample: int = SAMPLE) -> int:
     return max(4, min(round((n / CELL_ROWS) ** 0.5), sample // 8))
 
 
-def fit(x: np.ndarray, codes: int, threshold: float = THRESHOLD, recall: float = RECALL) -> dict:
-    """Codebooks for both halves of unit vectors, and the number of visits that reaches the target recall on them."""
+def fit(x: np.ndarray, codes: int) -> dict:
+    """Codebooks for both halves of unit vectors, with the largest number of visits."""
     half = x.shape[1] // 2 or 1
     books = (_kmeans(x[:, :half], codes), _kmeans(x[:, half:], codes))
-    model = {"half": half, "books": books, "visits": 1, "dim": x.shape[1]}
-    d = [_nearest(p, b) for p, b in zip((x[:, :half], x[:, half:]), books)]
-    most = min(MAX_VISITS, len(books[0]) * len(books[1]))
-    seen = traverse(*d, most)
-    ranks = []
-    for a in range(0, len(x), 500):
-        r, c = np.nonzero(x[a : a + 500] @ x.T >= threshold)
-        r, c = r[r + a < c] + a, c[r + a < c]
-        if len(r) > 200_000:
-            r, c = r[:: len(r) // 100_000], c[:: len(r) // 100_000]
-        at = lambda q, t: np.where((hit := seen[q] == seen[t, :1]).any(1), hit.argmax(1), most)
-        ranks.append(np.minimum(at(r, c), at(c, r)))
-    ranks = np.concatenate(ranks) if ranks else np.empty(0)
-    if len(ranks) and most == MAX_VISITS and np.quantile(ranks, recall) >= most:
-        return fit(x, codes // 2, threshold, recall)  # cells too small for the target recall
-    if len(ranks):
-        model["visits"] = int(min(most, max(4, 2 * (np.quantile(ranks, recall) + 1))))
-    else:
-        model["visits"] = min(most, 8)
-    return model
+    return {"half": half, "books": books, "visits": min(MAX_VISITS, len(books[0]) * len(books[1])), "dim": x.shape[1]}
+
+
+def _units(y: np.ndarray) -> np.ndarray:
+    y = y / abs(y).max(1, keepdims=True)
+    return y / np.linalg.norm(y, axis=1, keepdims=True)
+
+
+def _ranks(state, threshold: float):
+    """Per task: how many links of each query first meet at each number of visits, and each query's nearest vector with its rank."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model, q_nodes, qx = pickle.loads(state.value)
+        most, q_seen = model["visits"], cells(model, qx)
+        counts = np.zeros((len(qx), most + 1), np.int64)
+        near, near_rank = np.full(len(qx), -2.0), np.full(len(qx), most)
+
+        def meet(r: np.ndarray, c: np.ndarray, seen: np.ndarray) -> np.ndarray:
+            at = lambda hit: np.where(hit.any(1), hit.argmax(1), most)
+            return np.minimum(at(q_seen[r] == seen[c, :1]), at(seen[c] == q_seen[r, :1]))
+
+        for whole in batches:
+            for i in range(0, whole.num_rows, 500):
+                part = whole.slice(i, 500)
+                y = _units(np.array(part.column("v").to_pylist()))
+                seen = cells(model, y)
+                cos = np.where(q_nodes[:, None] == np.array(part.column("node").to_pylist(), dtype=object)[None, :], -2.0, qx @ y.T)
+                r, c = np.nonzero(cos >= threshold)
+                for a in range(0, len(r), 20_000):  # for bounded memory
+                    np.add.at(counts, (r[a : a + 20_000], meet(r[a : a + 20_000], c[a : a + 20_000], seen)), 1)
+                best = cos.argmax(1)
+                new = np.flatnonzero(cos[np.arange(len(qx)), best] > near)
+                near[new], near_rank[new] = cos[new, best[new]], meet(new, best[new], seen)
+        q, k = np.nonzero(counts)
+        found = np.flatnonzero(near > -2)
+        cols = [np.concatenate([q, found]), np.concatenate([k, near_rank[found]]), np.concatenate([counts[q, k], np.zeros(len(found), np.int64)]), np.concatenate([np.full(len(q), -2.0), near[found]])]
+        yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(cols, (pa.int32(), pa.int32(), pa.int64(), pa.float64()))], names=["query", "rank", "n", "cos"])
+
+    return run
+
+
+def calibrate(sets: DataFrame, model: dict, nodes: np.ndarray, x: np.ndarray, threshold: float, recall: float = RECALL) -> int | None:
+    """The number of visits with which the queries ``x`` reach the recall; None if their links need more than the most there are.
+
+    Each query counts once, by the visits that bring in the target share of its own links, so that no large group decides.
+    With links at fewer than ``FEW`` queries, the others count by their nearest vector.
+    """
+    most = model["visits"]
+    state = sets.sparkSession.sparkContext.broadcast(pickle.dumps((model, nodes, x)))
+    rows = persist_table(sets.select("node", "v").mapInArrow(_ranks(state, threshold), "query int, rank int, n long, cos double"), "vector-ranks")
+    counts = np.zeros((len(x), most + 1), np.int64)
+    for r in rows.where("n > 0").groupBy("query", "rank").agg(F.sum("n").alias("n")).collect():
+        counts[r["query"], r["rank"]] = r["n"]
+    linked = np.flatnonzero(counts.sum(1))
+    share = counts[linked].cumsum(1) / counts[linked].sum(1, keepdims=True)
+    needed = (share >= recall).argmax(1)
+    if len(linked) and np.quantile(needed, recall) >= most and most == MAX_VISITS:
+        return None
+    if len(linked) < FEW:
+        nearest = rows.where("n = 0").groupBy("query").agg(F.max_by("rank", "cos").alias("rank")).collect()
+        needed = np.concatenate([needed, [r["rank"] for r in nearest if r["query"] not in set(linked.tolist())]])
+    if not len(needed):
+        return most
+    return int(min(most, max(4, 2 * (np.quantile(needed, recall) + 1))))
 
 
 def cells(model: dict, x: np.ndarray) -> np.ndarray:
@@ -144,25 +191,28 @@ def link(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE,
     rows = persist_table(clean.select("vec_id", F.when(usable, F.transform("v", lambda x: x + F.lit(0.0))).alias("v")), "vectors")
     # a class of equal vectors is named by its least id
     sets = persist_table(rows.where("v is not null").groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "vector-classes")
-    picked = [r["v"] for r in sets.orderBy(F.xxhash64("v"), "v").limit(sample).select("v").collect()]
+    picked = [(r["node"], r["v"]) for r in sets.orderBy(F.xxhash64("v"), "v").limit(max(sample, QUERIES)).select("node", "v").collect()]
     empty = spark.createDataFrame([], "node long, root long, links long")
     linked = empty
-    dim = len(picked[0]) if picked else 0
-    picked = [v for v in picked if len(v) == dim]
+    dim = len(picked[0][1]) if picked else 0
+    picked = [(k, v) for k, v in picked if len(v) == dim]
     if picked:
-        x = np.array(picked)
-        x /= np.linalg.norm(x / abs(x).max(1, keepdims=True), axis=1, keepdims=True) * abs(x).max(1, keepdims=True)
-        state = spark.sparkContext.broadcast(pickle.dumps(fit(x, codes_for(sets.count(), sample), threshold)))
+        x, codes, same = _units(np.array([v for _, v in picked])), codes_for(sets.count(), sample), sets.where(F.size("v") == dim)
+        asking = np.array([k for k, _ in picked[:QUERIES]], dtype=object)
+        while True:
+            model = fit(x[:sample], codes)
+            visits = calibrate(same, model, asking, x[:QUERIES], threshold)
+            if visits is not None or codes < 4:
+                break
+            codes //= 2  # cells too small for the target recall
+        state = spark.sparkContext.broadcast(pickle.dumps({**model, "visits": visits or model["visits"]}))
 
         def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             model = pickle.loads(state.value)
             for b in batches:
-                y = np.array(b.column("v").to_pylist())
-                if not len(y):
+                if not b.num_rows:
                     continue
-                top = abs(y).max(1, keepdims=True)
-                y = y / top
-                y /= np.linalg.norm(y, axis=1, keepdims=True)
+                y = _units(np.array(b.column("v").to_pylist()))
                 seen = cells(model, y)
                 yield pa.RecordBatch.from_arrays([b.column("node"), b.column("copies"), pa.array([v.astype("<f8").tobytes() for v in y], pa.binary()), pa.array(seen[:, 0].astype("i4")), pa.array(seen.astype("i4").tolist(), pa.list_(pa.int32()))], names=["node", "copies", "unit", "home", "visits"])
 

@@ -173,3 +173,15 @@ def test_toxicity_trains_a_dictionary_of_each_class():
         assert content[:4] == bytes.fromhex("37a430ec")  # the mark of a trained zstandard dictionary
     assert np.mean([model.score(say(True)) >= 0.5 for _ in range(50)]) > 0.8
     assert np.mean([model.score(say(False)) < 0.5 for _ in range(50)]) > 0.8
+
+
+def test_vectors_reach_links_that_the_sample_does_not_hold(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(2800, 32))
+    x = np.concatenate([x, x[:200] + rng.normal(scale=0.9, size=(200, 32))])
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    near = u @ u.T >= 0.65
+    np.fill_diagonal(near, False)
+    got = sum(r["n_links"] for r in vectors.link(df, threshold=0.65, sample=56).collect())
+    assert near.sum() > 200 and got >= 0.99 * near.sum()
