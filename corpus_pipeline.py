@@ -26,10 +26,10 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeated lines leave their documents. A document all of whose lines are repeated keeps its text: it is a copy, for the next stage."""
+    """Repeated lines leave their documents; a document all of whose lines are repeated goes. Null and blank texts stay."""
     done = lines.dedup(docs.withColumn("__text", F.col("text")))
-    text = F.when((F.col("removed") > 0) & ~F.col("text").rlike(r"\S"), F.col("__text")).otherwise(F.col("text"))
-    return _sized(done.withColumn("text", text)).select(*docs.columns)
+    emptied = (F.col("removed") > 0) & ~F.col("text").rlike(r"\S")
+    return _sized(done.where(~F.coalesce(emptied, F.lit(False)))).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

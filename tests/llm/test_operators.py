@@ -185,3 +185,12 @@ def test_vectors_reach_links_that_the_sample_does_not_hold(spark):
     np.fill_diagonal(near, False)
     got = sum(r["n_links"] for r in vectors.link(df, threshold=0.65, sample=56).collect())
     assert near.sum() > 200 and got >= 0.99 * near.sum()
+
+
+def test_pipeline_drops_documents_of_repeated_lines_only(spark):
+    import corpus_pipeline
+
+    one, two, both = "the first line of some length", "another line that is long too", "a line of the third document"
+    rows = [(1, f"{one}\n{both}"), (2, two), (3, f"{one}\n{two}"), (4, f"{one}\nsomething that only this one says"), (5, None), (6, ""), (7, " \n")]
+    got = corpus_pipeline.drop_repeated_lines(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
+    assert {r["doc_id"]: r["text"] for r in got} == {1: f"{one}\n{both}", 2: two, 4: "something that only this one says", 5: None, 6: "", 7: " \n"}
