@@ -1,10 +1,11 @@
 """Operator 1: license scans by winnowed fingerprints and banded alignment.
 
 Templates are turned into winnowed fingerprints (least hash of every window of word runs) held in an
-inverted index fingerprint -> (template, position). The index grows with the templates, which are a
+inverted index fingerprint -> (template, position); every run of a template counts where the coverage does
+not ensure a common run that fills a window. The index grows with the templates, which are a
 parameter of bounded size, never with the corpus; it travels to the tasks as a broadcast variable.
 A document's word runs are looked up in the index; a hit proposes a template and a diagonal. For each
-cluster of diagonals a banded alignment (longest common word sequence within ``BAND`` words of the
+diagonal with a hit outside the template's matches so far, a banded alignment (longest common word sequence within ``BAND`` words of the
 diagonal) gives the share of the template's words that are matched and the span in the text, in code
 points with exclusive end. Overlapping matches keep the one with most matched words.
 
@@ -13,6 +14,7 @@ Null and empty texts give no rows; every match in whole texts is reported, repea
 
 from __future__ import annotations
 
+import math
 import pickle
 import re
 import zlib
@@ -96,7 +98,9 @@ def build_index(templates: dict[str, list[str]] | None = None, run: int = RUN, w
     postings: dict[int, list[tuple[int, int]]] = defaultdict(list)
     words: dict[str, int] = {}
     for k, (_, ws) in enumerate(listed):
-        for h, at in winnow([_hash(tuple(ws[i : i + run])) for i in range(len(ws) - run + 1)], window):
+        matched = math.ceil(MIN_COVERAGE * len(ws))
+        sure = math.ceil(matched / (len(ws) - matched + 1))  # longest run that is left at least when words are taken out
+        for h, at in winnow([_hash(tuple(ws[i : i + run])) for i in range(len(ws) - run + 1)], window if sure >= run + window - 1 else 1):
             postings[h].append((k, at))
             for w in ws[at : at + run]:
                 words.setdefault(w, len(words) + 1)
@@ -116,21 +120,21 @@ def find(text: str, index: Index, min_coverage: float = MIN_COVERAGE, run: int =
     whole = known[: len(words) - run + 1].copy()
     for s in range(1, run):
         whole &= known[s : len(words) - run + 1 + s]
-    proposed: dict[int, set[int]] = defaultdict(set)
+    proposed: dict[int, dict[int, list[int]]] = defaultdict(lambda: defaultdict(list))
     for i in np.flatnonzero(whole).tolist():
         for k, at in index.postings.get(_hash(tuple(words[i : i + run])), ()):
-            proposed[k].add(i - at)
+            proposed[k][i - at].append(i)
     for k, diagonals in proposed.items():
         name, template = index.templates[k]
-        last = None
+        done: list[tuple[int, int]] = []
         for d in sorted(diagonals):
-            if last is not None and d - last <= band:
+            if all(any(a <= i and i + run - 1 <= b for a, b in done) for i in diagonals[d]):
                 continue
-            last = d
             base = max(0, d - band // 2)
             pairs = banded_match(template, words[base : d + len(template) + band], band + d - base)
             if len(pairs) >= min_coverage * len(template):
                 a, b = base + pairs[0][1], base + pairs[-1][1]
+                done.append((a, b))
                 found.append((name, spans[a][0], spans[b][1], len(pairs) / len(template), len(pairs)))
     kept: list[tuple[str, int, int, float, int]] = []
     for f in sorted(found, key=lambda f: (-f[4], -f[3], f[1], f[0])):

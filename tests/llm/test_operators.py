@@ -194,3 +194,11 @@ def test_pipeline_drops_documents_of_repeated_lines_only(spark):
     rows = [(1, f"{one}\n{both}"), (2, two), (3, f"{one}\n{two}"), (4, f"{one}\nsomething that only this one says"), (5, None), (6, ""), (7, " \n")]
     got = corpus_pipeline.drop_repeated_lines(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
     assert {r["doc_id"]: r["text"] for r in got} == {1: f"{one}\n{both}", 2: two, 4: "something that only this one says", 5: None, 6: "", 7: " \n"}
+
+
+def test_licenses_repeated_close_together():
+    index = licenses.build_index()
+    cc = "; ".join(f"{w}: Licensed under CC BY 4.0" for w in ("foo", "bar", "baz", "qux"))
+    assert [cc[a:b] for _, a, b, _, _ in licenses.find(cc, index)] == ["Licensed under CC BY 4.0"] * 4
+    mit = "Released under the MIT License\n" * 5
+    assert len(licenses.find(mit, index)) == 5
