@@ -1,7 +1,7 @@
 """Operator 10: secret scans whose false positives a random forest removes, in DataFrame functions only.
 
-Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets with a digit among
-their first 41 characters; a secret of letters alone is none. Features of a candidate: length, shares of
+Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets that have a digit
+anywhere, follow a telling name or have a known prefix. Features of a candidate: length, shares of
 character classes, changes between classes, distinct characters, share in runs shaped like words, share
 covered by the ``DICTIONARY`` words that most documents of the corpus hold, whether it looks like a path or
 address, whether telling words stand before it, whether it is assigned, and known prefixes. A random forest, trained from labelled findings, scores each
@@ -39,7 +39,7 @@ DICTIONARY = 5000
 TELLING = "password|passwd|pwd|secret|token|api_?key|apikey|access_?key|private_?key|credential|auth"
 PREFIXES = "AKIA|ASIA|ghp_|gho_|github_pat_|xox[abp]-|sk_live_|sk-|AIza|glpat-|eyJ"
 HARMLESS = "sha1|sha256|md5|digest|checksum|commit|revision|version|build|uuid|etag|hash|id"
-_TOKEN = rf"(?<![A-Za-z0-9_/+=.@-])(?=[A-Za-z_=:\"'/+.-]{{0,40}}+[0-9])[A-Za-z0-9_/+=.@:-]{{{MIN_CHARS},}}+"
+_TOKEN = rf"(?<![A-Za-z0-9_/+=.@-])[A-Za-z0-9_/+=.@:-]{{{MIN_CHARS},}}+"
 FEATURES = ("n", "digits", "lowers", "uppers", "marks", "changes", "distinct", "hexlike", "words", "pathlike", "telling", "harmless", "assigned", "prefixed", "known")
 
 
@@ -61,11 +61,15 @@ def _known(value: Column, words: list[str]) -> Column:
     return F.length(F.array_join(runs, "")) / F.greatest(F.length(value), F.lit(1))
 
 
+def _parts(token: Column, before: Column) -> tuple[Column, Column, Column]:
+    """An assigned name within the token, the value after it, and the lower-case text before the value."""
+    name = F.lower(F.regexp_extract(token, r"^([A-Za-z_]+)[=:](?=.)", 1))
+    return name, F.regexp_replace(token, r"^[A-Za-z_]+[=:]", ""), F.concat(F.lower(before), name)
+
+
 def features(token: Column, before: Column, words: list[str]) -> list[Column]:
     """Feature columns of a candidate and the text before it (at most 40 code points), given the dictionary."""
-    name = F.lower(F.regexp_extract(token, r"^([A-Za-z_]+)[=:](?=.)", 1))
-    value = F.regexp_replace(token, r"^[A-Za-z_]+[=:]", "")
-    near = F.concat(F.lower(before), name)
+    name, value, near = _parts(token, before)
     classes = F.regexp_replace(F.regexp_replace(F.regexp_replace(F.regexp_replace(value, "[0-9]+", "0"), "[a-z]+", "1"), "[A-Z]+", "2"), "[^0-2]+", "3")
     return [
         F.length(value).cast("double").alias("n"),
@@ -89,10 +93,12 @@ def features(token: Column, before: Column, words: list[str]) -> list[Column]:
 def candidates(docs: DataFrame) -> DataFrame:
     """(doc_id, start, end, token, before) of every candidate."""
     text = F.col("text")
-    rows = docs.select(F.col("doc_id").cast("long"), "text").where(text.rlike(r"[0-9]"))
+    rows = docs.select(F.col("doc_id").cast("long"), "text").where(text.rlike(r"\S"))
     found = rows.select("doc_id", "text", F.inline(_located(text, _TOKEN)))
     near = F.expr("substring(text, greatest(1, s - 39), least(s, 40))")
-    return found.select("doc_id", F.col("s").cast("long").alias("start"), F.col("e").cast("long").alias("end"), F.col("m").alias("token"), near.alias("before"))
+    found = found.select("doc_id", F.col("s").cast("long").alias("start"), F.col("e").cast("long").alias("end"), F.col("m").alias("token"), near.alias("before"))
+    _, value, ahead = _parts(F.col("token"), F.col("before"))
+    return found.where(F.col("token").rlike("[0-9]") | ahead.rlike(rf"(?:{TELLING})\W{{0,5}}$") | value.rlike(f"^(?:{PREFIXES})"))
 
 
 def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None = None) -> list[tuple[str, str, float]]:
@@ -110,6 +116,8 @@ def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None
         lambda: (f"{word()} {tell()}: ", pick(alnum, rng.randint(16, 48))),
         lambda: (f"{word()} ", rng.choice(["ghp_", "sk_live_", "glpat-"]) + pick(alnum, rng.randint(20, 36))),
         lambda: (f"{word()} {tell().upper()} = \"", pick(hexa, 40).upper()),
+        lambda: (f"{word()} {tell()} = \"", pick(string.ascii_letters, rng.randint(16, 40))),
+        lambda: (f"{word()} ", f"{word().upper()}_{word().upper()}_{tell().upper()}={pick(alnum, rng.randint(16, 40))}"),
     ]
     no = [
         lambda: (f"{word()} {safe()}: ", pick(hexa, rng.choice([32, 40, 64]))),
@@ -121,6 +129,7 @@ def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None
         lambda: (f"{word()} ", f"{word()}-{word()}-{rng.randint(1, 99)}-{word()}"),
         lambda: (f"{word()} {safe()} ", "-".join(pick(hexa, k) for k in (8, 4, 4, 4, 12))),
         lambda: (f"{word()} ", f"{word()}{word()}{rng.randint(0, 9)}"),
+        lambda: (f"{word()} {tell()} ", word() + word() + word()),
         lambda: (f"{word()} version ", ".".join(pick(string.digits, rng.randint(1, 4)) for _ in range(5))),
     ]
     return [(*rng.choice(kind)(), label) for k in range(n) for kind, label in ([(yes, 1.0), (no, 0.0)][k % 2],)]

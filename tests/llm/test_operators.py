@@ -202,3 +202,10 @@ def test_licenses_repeated_close_together():
     assert [cc[a:b] for _, a, b, _, _ in licenses.find(cc, index)] == ["Licensed under CC BY 4.0"] * 4
     mit = "Released under the MIT License\n" * 5
     assert len(licenses.find(mit, index)) == 5
+
+
+def test_secrets_after_long_names_and_of_letters(spark):
+    rows = [(1, "set GITHUB_PERSONAL_ACCESS_TOKEN_FOR_DEPLOYMENT=ghp_A1b2C3d4E5f6G7h8I9j0K1l2M3n4 now"), (2, "PRODUCTION_DATABASE_MASTER_PASSWORD=kQzWpLxTrVb9sDf8Gh"), (3, 'password = "kQzWpLxTrVbYsDfGhJmNcRtB"'), (4, "a long internationalization and harmless text")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r["doc_id"] for r in credentials.candidates(df).collect()} == {1, 2, 3}
+    assert {r["doc_id"] for r in credentials.scan(df).collect()} == {1, 2, 3}
