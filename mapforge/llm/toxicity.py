@@ -5,13 +5,15 @@ ordinary documents. A second pair has the same neutral part on both sides, the c
 documents, and on the toxic side the segments that toxic documents have and ordinary ones lack, so that
 a window of neutral text costs about the same with either. A document is cut into windows at white space;
 each window is compressed with both sides of both pairs, and what the toxic side saves, in bytes, is the
-window's distance in that pair. A logistic curve over the document's distances, fitted on the training
-sample, gives the score; its threshold of 0.5 is moved to the cut that fits the sample best.
+window's distance in that pair. A logistic curve over the document's distances gives the score. It is
+fitted on distances that each half of the training sample has in dictionaries of the other half, so no
+text is judged by a dictionary it is part of; the score's 0.5 lies where the shares of missed toxic and of
+``FALSE_COST`` times the rejected clean documents are least.
 
 The training sample is bounded: whole documents of a class, at most ``SAMPLE_DOCS``, until ``SAMPLE_CHARS`` are reached; scoring
 covers every whole text and never looks at labels, languages, sources or ids. Null text counts as
-empty; an empty text has no window and gets score 0. With no labelled rows of
-either class, every score is 0.
+empty; an empty text has no window and gets score 0. Rows that repeat are scored alike, very long texts window
+by window. With no labelled rows of either class, or an empty table, every score is 0. Columns other than ``score`` stay.
 """
 
 from __future__ import annotations
@@ -31,7 +33,9 @@ from pyspark.sql import functions as F
 from mapforge.llm.common import table
 
 SAMPLE_DOCS = 2000
-SAMPLE_CHARS = 4_000_000
+SAMPLE_CHARS = 2_500_000
+#: How much worse than a missed share of toxic documents an equal share of rejected clean ones is.
+FALSE_COST = 4.0
 WINDOW = 64
 LEVEL = 5
 BASE_BYTES = 24_000
@@ -162,7 +166,7 @@ class Model:
         return float(1 / (1 + np.exp(-np.clip(z, -30, 30))))
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
+def _logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1.0) -> np.ndarray:
     w = np.zeros(x.shape[1])
     for _ in range(40):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
@@ -171,37 +175,47 @@ def _logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1
     return w
 
 
+def _dictionaries(toxic: list[str], ordinary: list[str]) -> Model:
+    """Both pairs of dictionaries from these texts, without a curve."""
+    grams = _grams(ordinary)
+    counts = Counter(w for t in ordinary for w in set(re.findall(r"\w+", t.lower())))
+    common = sorted(counts, key=lambda w: (-counts[w], w))[: BASE_BYTES // 7]  # ties by word: sets have no fixed order
+    base = b" ".join(w.encode() for w in reversed(common))[-BASE_BYTES:]
+    own = _typical(toxic, grams, len(ordinary), OWN_BYTES)
+    # Zeros of the same length keep every offset into the base equal: neutral windows cost the same twice.
+    return Model(own + base, bytes(len(own)) + base, [], _trained(toxic), _trained(ordinary))
+
+
 def train(toxic: list[str], ordinary: list[str], ordinary_weight: float = 1.0) -> Model:
-    """Dictionaries from one half of each class, curve and threshold from the other half.
+    """Curve and threshold from distances that each half of the texts has in dictionaries of the other half; the model's
+    dictionaries then come from all texts.
 
     ``ordinary_weight``: how many ordinary documents of the corpus a sampled one stands for, in
     units of what a sampled toxic one stands for.
     """
     if not toxic or not ordinary:
         return Model()
-    halves = [(t[::2], t[1::2] or t) for t in (toxic, ordinary)]
-    (t_dict, t_fit), (o_dict, o_fit) = halves
-    o_grams = _grams(o_dict)
-    counts = Counter(w for t in o_dict for w in set(re.findall(r"\w+", t.lower())))
-    common = sorted(counts, key=lambda w: (-counts[w], w))[: BASE_BYTES // 7]  # ties by word: sets have no fixed order
-    base = b" ".join(w.encode() for w in reversed(common))[-BASE_BYTES:]
-    own = _typical(t_dict, o_grams, len(o_dict), OWN_BYTES)
-    # Zeros of the same length keep every offset into the base equal: neutral windows cost the same twice.
-    model = Model(own + base, bytes(len(own)) + base, [], _trained(t_dict), _trained(o_dict))
-    x = np.array([(1.0, *model.features(t)) for t in (*t_fit, *o_fit)])
+    rows, y = [], []
+    for k in (0, 1):
+        model = _dictionaries(toxic[1 - k :: 2] or toxic, ordinary[1 - k :: 2] or ordinary)
+        for label, texts in ((1.0, toxic[k::2]), (0.0, ordinary[k::2])):
+            rows += [(1.0, *model.features(t)) for t in texts]
+            y += [label] * len(texts)
+    x, y = np.array(rows), np.array(y)
     # Features of one scale for the fit; the scale is taken out of the weights again.
     mean, spread = x[:, 1:].mean(0), x[:, 1:].std(0) + 1e-9
     x[:, 1:] = (x[:, 1:] - mean) / spread
-    y = np.array([1.0] * len(t_fit) + [0.0] * len(o_fit))
     weight = np.where(y == 1, 1.0, ordinary_weight)
     w = _logistic(x, y, weight)
     z = np.sort(x @ w)
     cuts = np.concatenate([[z[0] - 1], (z[1:] + z[:-1]) / 2, [z[-1] + 1]])
-    right = np.array([weight[(x @ w >= c) == y].sum() for c in cuts])
-    good = cuts[right >= right.max() - 1e-9]
+    said = x @ w
+    loss = np.array([(said[y == 1] < c).mean() + FALSE_COST * (said[y == 0] >= c).mean() for c in cuts])
+    good = cuts[loss <= loss.min() + 1e-9]
     w[0] -= good[np.argmin(abs(good))]
     w[1:] /= spread
     w[0] -= w[1:] @ mean
+    model = _dictionaries(toxic, ordinary)
     model.weights = w.tolist()
     return model
 
@@ -217,9 +231,13 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, samp
         picked = one if picked is None else picked.union(one)
     rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null")
     texts: dict[int, list[str]] = {0: [], 1: []}
+    held = {0: 0, 1: 0}
     for r in rows.select("doc_id", "toxic", F.col("text").alias("t")).orderBy(order, "doc_id", "t").toLocalIterator():
-        if sum(map(len, texts[r["toxic"]])) < sample_chars:
+        if held[r["toxic"]] < sample_chars:
             texts[r["toxic"]].append(r["t"])
+            held[r["toxic"]] += len(r["t"])
+        elif min(held.values()) >= sample_chars:
+            break
     n = {r["toxic"]: r["count"] for r in usable.groupBy("toxic").count().collect()}
     if not texts[1] or not texts[0]:
         return Model()
