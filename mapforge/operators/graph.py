@@ -9,24 +9,81 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mapforge.params import SynthParams
-from mapforge.sources.storage import stage
+from mapforge.sources.storage import drop, stage
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, comp) over undirected (src, dst); comp is the least node. Star contraction, two joins a round."""
-    cur = stage(edges.select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).where("u <> v").distinct(), "comp")
-    mark = None
+#: Edge lists up to this length are solved in one task; longer ones in distributed rounds. Both give the same rows.
+LOCAL_EDGES = 10_000
+#: Nodes with more edges than this (and than a 500th of all) are looked up by broadcast, so none makes a hot join key.
+HOT_EDGES = 200
+
+
+def _least_reachable(pdf: pd.DataFrame) -> pd.DataFrame:
+    parent: dict = {}
+
+    def top(x):
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    for a, b in zip(pdf["u"], pdf["v"]):
+        parent.setdefault(a, a)
+        parent.setdefault(b, b)
+        a, b = top(a), top(b)
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+    nodes = list(parent)
+    return pd.DataFrame({"node": pd.Series(nodes, dtype=object), "comp": pd.Series([top(x) for x in nodes], dtype=object)})
+
+
+def _with_least(rows: DataFrame, low: DataFrame, n_edges: int, hot_edges: int) -> DataFrame:
+    """``rows`` (u, v) with the ``m`` of their u from ``low`` (u, m, n): one row per u with its number n of edges.
+
+    At most 1,000 nodes can have more than a 500th of the edges, so the broadcast side is bounded.
+    """
+    limit = max(hot_edges, n_edges // 500)
+    hot = low.where(F.col("n") > limit).select("u", F.col("m").alias("hot_m"))
+    marked = rows.join(F.broadcast(hot), "u", "left")
+    few = marked.where("hot_m is null").select("u", "v").join(low.where(F.col("n") <= limit).select("u", "m"), "u")
+    return few.union(marked.where("hot_m is not null").select("u", "v", F.col("hot_m").alias("m")))
+
+
+def components(edges: DataFrame, max_rounds: int = 100, local_edges: int = LOCAL_EDGES, hot_edges: int = HOT_EDGES) -> DataFrame:
+    """(node, comp) for each node of the undirected (src, dst); comp is the least node that can be reached.
+
+    Short edge lists are solved in one task. Longer ones by alternating large-star and small-star contraction:
+    each round is two aggregations and two joins on the edge list, whose length never grows, so no component is
+    gathered in one task, and star centres never make a hot join key. A round that changes nothing ends it; its end
+    is seen through a count and a hash sum only. Raises where ``max_rounds`` do not suffice. Edges with a null end
+    and loops are left out; no edges give no rows.
+    """
+    spark = edges.sparkSession
+    cur = stage(edges.where("src is not null and dst is not null").select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).where("u <> v").distinct(), "comp")
+    kind = dict(cur.dtypes)["u"]
+
+    def stamp(df: DataFrame) -> tuple:
+        return tuple(df.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
+
+    mark = stamp(cur)
+    if mark[0] <= local_edges:
+        return cur.groupBy(F.lit(0).alias("all")).applyInPandas(_least_reachable, f"node {kind}, comp {kind}")
     for _ in range(max_rounds):
-        new = cur.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if new == mark or not new[0]:
+        both = cur.union(cur.select(F.col("v"), F.col("u")))
+        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = _with_least(both, low, mark[0], hot_edges).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        large = stage(large.where("u <> v").distinct(), "comp")
+        low = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        small = _with_least(large, low, mark[0], hot_edges).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        nxt = stage(small.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct(), "comp")
+        drop(large)
+        drop(cur)
+        cur, new = nxt, stamp(nxt)
+        if new == mark:
             break
         mark = new
-        both = cur.union(cur.select(F.col("v"), F.col("u")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = stage(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct(), "comp")
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        cur = stage(small.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct(), "comp")
+    else:
+        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return cur.select(F.col("u").alias("node"), F.col("v").alias("comp")).union(cur.select(F.col("v"), F.col("v")).distinct())
 
 
@@ -75,6 +132,7 @@ def merge_greedily(edges: list[tuple[str, str, float, float]], p: SynthParams) -
 def synthesize(nodes: DataFrame, edges: DataFrame, p: SynthParams | None = None) -> DataFrame:
     """(cand_id, cluster_id): divide by positive components, then partition each one in a task of its own."""
     p = p or SynthParams()
+    edges = stage(edges, "edges")
     comp = stage(components(edges.where((F.col("w_pos") >= p.theta_edge) & (F.col("w_pos") > 0))), "parts")
     inside = edges.join(comp.select(F.col("node").alias("src"), "comp"), "src").join(comp.select(F.col("node").alias("dst"), F.col("comp").alias("comp2")), "dst").where("comp = comp2")
 

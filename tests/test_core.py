@@ -156,3 +156,26 @@ def test_spelling_is_no_conflict(spark):
     rows = [("a", "American Samoa", "Pago Pago"), ("b", "American Samoa (US)", "Pago-Pago"), ("a", "Tonga", "x"), ("b", "Tonga", "yyyyy")]
     got = {(r["src"], r["dst"]): r["w_neg"] for r in compat.negative_fuzzy(spark.createDataFrame(rows, "cand_id string, l string, r string")).collect()}
     assert got == {("a", "b"): -0.5}
+
+
+@pytest.mark.parametrize("local_edges", [0, 10_000])
+def test_components_equal_brute_force(spark, local_edges):
+    rng = random.Random(3)
+    names = [f"v{k:03}" for k in range(120)]
+    pairs = [(rng.choice(names), rng.choice(names)) for _ in range(70)] + [("v050", f"w{k}") for k in range(40)] + [(None, "v001"), ("v002", "v002")]
+    left = {v: v for p in pairs for v in p}
+    for _ in left:
+        for a, b in pairs:
+            if a and b:
+                left[a] = left[b] = min(left[a], left[b])
+    ends = {v for a, b in pairs if a and b and a != b for v in (a, b)}
+    df = spark.createDataFrame(pairs, "src string, dst string")
+    got = {r["node"]: r["comp"] for r in graph.components(df, local_edges=local_edges, hot_edges=5).collect()}
+    assert got == {v: left[v] for v in ends}
+    assert graph.components(df.limit(0), local_edges=local_edges).count() == 0
+
+
+def test_components_that_do_not_settle_raise(spark):
+    chain = spark.range(400).selectExpr("format_string('%04d', id) as src", "format_string('%04d', id + 1) as dst")
+    with pytest.raises(RuntimeError):
+        graph.components(chain, max_rounds=1, local_edges=0)
