@@ -6,8 +6,6 @@ executor can read them, so a lost executor costs a re-read and never a recomputa
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
@@ -15,29 +13,18 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from mapforge.operators.graph import components
+from mapforge.sources.storage import drop as drop_table
+from mapforge.sources.storage import shared_dir
+from mapforge.sources.storage import stage as persist_table
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share; a local one is made up only where none is configured."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base.rstrip("/")
-    if not spark.sparkContext.master.startswith("local["):
-        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-    return "file://" + os.path.join(tempfile.gettempdir(), "mapforge-shared")
+__all__ = ["connected_components", "drop_table", "fresh_path", "persist_table", "shared_dir", "small_batches", "table"]
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def persist_table(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` once as Parquet in the shared folder and read it back: lineage ends here."""
-    spark = df.sparkSession
-    path = fresh_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 @contextmanager
 def small_batches(spark: SparkSession, rows: int = 500) -> Iterator[None]:
     """Arrow batches of at most ``rows`` rows for what runs inside: batches of long texts are held on both sides at once."""
@@ -50,53 +37,11 @@ def small_batches(spark: SparkSession, rows: int = 500) -> Iterator[None]:
         spark.conf.set(key, before)
 
 
-def drop_table(spark: SparkSession, df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`persist_table` that is needed no more."""
-    for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()[:1]}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(file)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
 
 
-def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
-    """``(node, root)`` for each node of the undirected ``edges``; ``root`` is its component's least node.
-
-    Alternating large-star and small-star contraction: every round is two aggregations and two
-    joins on the edge list, whose length never grows, so no component is gathered in one task.
-    Star centres make hot join keys, which adaptive execution splits. Ends when a round changes
-    nothing (compared through count and hash sums only). Empty input gives an empty result.
-    """
-    spark = edges.sparkSession
-    cur = persist_table(
-        edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct(), "cc"
-    )
-
-    def stamp(df: DataFrame) -> tuple:
-        return tuple(df.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
-
-    mark = stamp(cur)
-    for _ in range(max_rounds):
-        if not mark[0]:
-            break
-        both = cur.union(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = persist_table(large.where("u <> v").distinct(), "cc")
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        nxt = persist_table(small.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct(), "cc")
-        drop_table(spark, large)
-        drop_table(spark, cur)
-        cur, new = nxt, stamp(nxt)
-        if new == mark:
-            break
-        mark = new
-    else:
-        raise RuntimeError("components did not settle")
-    return cur.select(F.col("u").alias("node"), F.col("v").alias("root")).union(
-        cur.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
-    )
+def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+    """``(node, root)`` for each node of the undirected ``edges``; ``root`` is its component's least node."""
+    return components(edges.select(F.col(a).alias("src"), F.col(b).alias("dst"))).withColumnsRenamed({"comp": "root"})
