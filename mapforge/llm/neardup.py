@@ -2,20 +2,26 @@
 
 Texts become sets of hashed runs of five words (lower case; shorter texts with any word: one run of
 all of them). Equal sets form one class. A class has a label of ``DEPTH`` minhashes in each of
-``TREES`` prefix trees; classes that share a prefix meet in one bucket. The common prefix is shortened
-from ``DEPTH`` until pairs at the threshold meet somewhere with probability ``RECALL`` or more. Within
-buckets every pair is verified exactly.
-
-No pair is ever a row: buckets are cut into blocks of at most ``BLOCK`` classes, a task counts a pair
-of blocks by matrix products and returns, for each class, its number of links and one root of those
-it is linked to there. Buckets with the same members are verified once, and a pair that meets in
-several buckets counts only in the first of them, so all link counts are exact for the pairs met.
-
-Null and empty texts have no set and link with nothing. Rows that repeat a text share its class.
+``TREES`` prefix trees, kept as a sortable string of two bytes a minhash, so that the sets below a node
+of a tree are those whose labels share a prefix. The matched prefix starts at the full depth and is shortened until
+two things hold: pairs at the threshold meet below some node with probability ``RECALL`` or more, and so
+did the share ``RECALL`` of the links of ``QUERIES`` sampled sets, each compared exactly with every set of
+the input. Below the nodes of that depth every pair is verified exactly.
+
+No pair is ever a row: the sets below a node are cut into blocks of at most ``BLOCK`` sets, a task counts a pair
+of blocks by matrix products and returns, for each set, its number of links and one root of those
+it is linked to there. Nodes with the same sets are verified once, and a pair that meets below
+several nodes counts only in the first of their trees, so all link counts are exact for the pairs met. Counting the
+links of a node with N sets exactly takes N / BLOCK copies of each set in the shuffle.
+
+Null and empty texts have no set and link with nothing. Rows that repeat a text share its class. A class
+is named by its least doc_id; rows with a null doc_id link as others do and name a class only where
+no other row is in it. Very long texts are cut and hashed whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import pickle
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -35,10 +41,15 @@ THRESHOLD = 0.8
 TREES = 20
 DEPTH = 8
 RECALL = 0.999
-BLOCK = 128
+QUERIES = 500
+QUERY_RUNS = 200_000
+BLOCK = 512
 SLICE_ROWS = 256
+#: Bytes of a minhash in a label.
+STEP = 2
+#: Words whose hashes a task keeps, of 40 letters at most: some 10 MB. A full table is emptied, which changes no result.
+KNOWN_WORDS = 60_000
 _WORD = re.compile(r"\w+")
-_known: dict[str, int] = {}
 
 
 def meeting_chance(jaccard: float, prefix: int, trees: int = TREES) -> float:
@@ -46,31 +57,42 @@ def meeting_chance(jaccard: float, prefix: int, trees: int = TREES) -> float:
     return 1 - (1 - jaccard**prefix) ** trees
 
 
-def prefix_length(threshold: float = THRESHOLD, trees: int = TREES, depth: int = DEPTH, recall: float = RECALL) -> int:
-    """Shorten the prefix from the full depth until pairs at the threshold meet often enough."""
+def prefix_length(threshold: float = THRESHOLD, trees: int = TREES, depth: int = DEPTH, recall: float = RECALL, met: list[int] | None = None) -> int:
+    """Shorten the prefix from the full depth until pairs at the threshold meet often enough.
+
+    ``met[k]``: how many sampled links share a prefix of exactly ``k`` at best, in their best tree.
+    """
+    links = sum(met or [])
     for prefix in range(depth, 1, -1):
-        if meeting_chance(threshold, prefix, trees) >= recall:
+        seen = not links or sum(met[prefix:]) >= recall * links
+        if seen and meeting_chance(threshold, prefix, trees) >= recall:
             return prefix
     return 1
 
 
-def _code(word: str) -> int:
-    """A word's hash, kept for words of usual length."""
-    code = xxhash.xxh3_64_intdigest(word) | 1
-    if len(word) <= 40:
-        _known[word] = code
-    return code
+class Words:
+    """Hashes of words; a task keeps those it has met, up to a bound."""
+
+    def __init__(self) -> None:
+        self.known: dict[str, int] = {}
 
+    def code(self, word: str) -> int:
+        code = xxhash.xxh3_64_intdigest(word) | 1
+        if len(word) <= 40:
+            if len(self.known) >= KNOWN_WORDS:
+                self.known.clear()
+            self.known[word] = code
+        return code
 
-def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
+
+def shingles(text: str | None, words: int = WORDS, table_: Words | None = None) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the text's word runs."""
     found = _WORD.findall(text.lower()) if text else []
     if not found:
         return np.empty(0, np.uint64)
-    if len(_known) > 500_000:
-        _known.clear()
-    get = _known.get
-    codes = np.array([get(w) or _code(w) for w in found], np.uint64)
+    own = table_ or Words()
+    get, code = own.known.get, own.code
+    codes = np.array([get(w) or code(w) for w in found], np.uint64)
     n = min(words, len(codes))
     mixed = np.zeros(len(codes) - n + 1, np.uint64)
     for k in range(n):
@@ -85,33 +107,88 @@ def _coefficients(count: int) -> tuple[np.ndarray, np.ndarray]:
     return rng.integers(1, 2**63, count, np.uint64) | np.uint64(1), rng.integers(0, 2**63, count, np.uint64)
 
 
-def tree_keys(hashes: np.ndarray, trees: int, prefix: int) -> np.ndarray:
-    """One 64-bit key per tree: the prefix of its label."""
-    a, b = _coefficients(trees * prefix)
-    low = np.full(trees * prefix, np.iinfo(np.uint32).max, np.uint32)
-    for i in range(0, len(hashes), 2048):
-        low = np.minimum(low, ((hashes[i : i + 2048, None] * a + b) >> np.uint64(32)).astype(np.uint32).min(axis=0))
-    label = low.reshape(trees, prefix)
-    return np.array([xxhash.xxh3_64_intdigest(label[t].tobytes(), seed=t) for t in range(trees)], np.uint64).view(np.int64)
-
-
-def signatures(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, with_keys: bool = True) -> DataFrame:
-    """(doc_id, node, keys or shingles): ``node`` is a 128-bit name of the shingle set, null for an empty one."""
-    prefix = prefix_length(threshold, trees)
-    schema = "doc_id long, node binary, " + ("keys array<long>" if with_keys else "shingles binary")
+def labels(hashes: np.ndarray, trees: int = TREES, depth: int = DEPTH) -> np.ndarray:
+    """The set's label in each tree: ``depth`` minhashes of two bytes."""
+    a, b = _coefficients(trees * depth)
+    low = np.full(trees * depth, np.iinfo(np.uint32).max, np.uint32)
+    for i in range(0, len(hashes), 1024):
+        low = np.minimum(low, ((hashes[i : i + 1024, None] * a + b) >> np.uint64(32)).astype(np.uint32).min(axis=0))
+    return (low & np.uint32(0xFFFF)).astype(">u2").reshape(trees, depth)
+
+
+def common_prefix(a: np.ndarray, b: np.ndarray) -> int:
+    """The longest prefix that two sets' labels share in any tree."""
+    same = a == b
+    return int(np.cumprod(same, axis=1).sum(1).max())
+
+
+def _name(hashes: np.ndarray) -> bytes:
+    return blake2b(hashes.tobytes(), digest_size=16).digest()
+
+
+def _sampled(docs: DataFrame, queries: int, runs: int) -> dict:
+    """Sets of at most ``queries`` texts, of at most ``runs`` runs together, in the order of a hash of the texts, indexed by run."""
+    keys = docs.select(F.xxhash64("text").alias("mark")).where("text is not null").distinct().orderBy(F.xxhash64(F.lit(17), "mark")).limit(queries)
+    texts = docs.select(F.xxhash64("text").alias("mark"), "text").join(F.broadcast(keys), "mark").groupBy("mark").agg(F.first("text").alias("text"))
+    sets: list[np.ndarray] = []
+    total = 0
+    for r in texts.orderBy(F.xxhash64(F.lit(17), "mark")).select("text").toLocalIterator():
+        s = shingles(r["text"])
+        if total + len(s) > runs:
+            continue
+        total += len(s)
+        if len(s):
+            sets.append(s)
+    sets = list({_name(s): s for s in sets}.values())
+    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    every = np.concatenate(sets) if sets else np.empty(0, np.uint64)
+    order = np.argsort(every, kind="stable")
+    return {"runs": every[order], "owner": owner[order], "size": np.array([len(s) for s in sets]), "labels": [labels(s) for s in sets]}
+
+
+def _links_of_sample(sample: dict, hashes: np.ndarray, own: np.ndarray, threshold: float) -> list[int]:
+    """For each sampled set that this one links with, itself excepted, the longest prefix they share."""
+    if not len(sample["runs"]):
+        return []
+    lo, hi = np.searchsorted(sample["runs"], hashes), np.searchsorted(sample["runs"], hashes, "right")
+    hit = np.flatnonzero(hi > lo)
+    if not len(hit):
+        return []
+    n = (hi - lo)[hit]
+    at = np.repeat(lo[hit] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+    common = np.bincount(sample["owner"][at], minlength=len(sample["size"]))
+    near = np.flatnonzero((common >= threshold * (sample["size"] + len(hashes) - common) - 1e-9) & ((common < sample["size"]) | (len(hashes) > common)))
+    return [common_prefix(sample["labels"][k], own) for k in near.tolist()]
+
+
+def signatures(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, with_labels: bool = True, sample: dict | None = None) -> DataFrame:
+    """(doc_id, mark, node, labels and met, or shingles): ``node`` is a 128-bit name of the shingle set, null for an empty one.
+
+    ``mark`` is a hash of the text; ``met`` tells of links with sampled sets, as prefixes.
+    """
+    schema = "doc_id long, mark long, node binary, " + ("labels binary, met array<int>" if with_labels else "shingles binary")
+    names = [x.split(" ")[0] for x in schema.split(", ")]
+    state = docs.sparkSession.sparkContext.broadcast(pickle.dumps(sample or {"runs": []}))  # of bounded size, see QUERY_RUNS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words, asked = Words(), pickle.loads(state.value)
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
-                nodes, values = [], []
-                for t in part.column(1).to_pylist():
-                    s = shingles(t)
-                    nodes.append(blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-                    values.append(None if not len(s) else tree_keys(s, trees, prefix).tolist() if with_keys else s.tobytes())
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(nodes, pa.binary()), pa.array(values, pa.list_(pa.int64()) if with_keys else pa.binary())], names=["doc_id", "node", "keys" if with_keys else "shingles"])
-
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
+                nodes, values, met = [], [], []
+                for t in part.column(2).to_pylist():
+                    s = shingles(t, table_=words)
+                    nodes.append(_name(s) if len(s) else None)
+                    if with_labels:
+                        own = labels(s, trees) if len(s) else None
+                        values.append(own.tobytes() if len(s) else None)
+                        met.append(_links_of_sample(asked, s, own, threshold) if len(s) else [])
+                    else:
+                        values.append(s.tobytes() if len(s) else None)
+                arrays = [part.column(0), part.column(1), pa.array(nodes, pa.binary()), pa.array(values, pa.binary())]
+                yield pa.RecordBatch.from_arrays([*arrays, pa.array(met, pa.list_(pa.int32()))] if with_labels else arrays, names=names)
+
+    return docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("mark"), "text").mapInArrow(run, schema)
 
 
 def _intersections(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
@@ -157,7 +234,7 @@ def _verify(threshold: float):
         unit = unit.drop_duplicates("node").sort_values("node", ignore_index=True)
         i, j, tree = unit["i"][0], unit["j"][0], int(unit["tree"][0])
         sets = [np.frombuffer(x, np.uint64) for x in unit["shingles"]]
-        keys = np.array(unit["kept"].tolist(), np.int64)
+        keys = unit["kept"].tolist()
         block = unit["block"].to_numpy()
         rows, cols = np.flatnonzero(block == i), np.flatnonzero(block == j)
         none = pd.DataFrame({"node": [], "root": [], "links": []}).astype({"links": "int64"})
@@ -167,8 +244,8 @@ def _verify(threshold: float):
         size = np.array([len(s) for s in sets], np.float64)
         near = inter >= threshold * (size[rows][:, None] + size[cols][None, :] - inter) - 1e-9
         for t in range(tree):  # a pair that already met in an earlier tree's bucket was counted there
-            a, b = keys[rows, t], keys[cols, t]
-            near &= ~((a[:, None] == b[None, :]) & (a[:, None] != 0))
+            code = pd.factorize(np.array([k[t] or None for k in keys], object))[0]  # -1 for none
+            near &= ~((code[rows][:, None] == code[cols][None, :]) & (code[rows][:, None] >= 0))
         near &= rows[:, None] < cols[None, :] if i == j else True
         r, c = np.nonzero(near)
         if not len(r):
@@ -185,25 +262,43 @@ def _verify(threshold: float):
     return run
 
 
-def classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, block: int = BLOCK) -> DataFrame:
-    """One row per document: doc_id, class_id (least doc_id reachable by links), n_links (other documents linked directly)."""
+def forest(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES) -> tuple[DataFrame, int]:
+    """Labels of all rows (doc_id, mark, node, labels), and the prefix at which links are looked for."""
     with small_batches(docs.sparkSession):
-        rows = persist_table(signatures(docs, threshold, trees), "forest")
-    # ``home``: one document that has the set, to find its text again
-    sets = persist_table(rows.where("node is not null").groupBy("node").agg(F.count("*").alias("copies"), F.min("doc_id").alias("home"), F.first("keys").alias("keys")), "forest-sets")
-    met = sets.select("node", F.posexplode("keys").alias("tree", "key"))
+        sample = _sampled(docs, QUERIES, QUERY_RUNS) if trees == TREES else None
+        rows = persist_table(signatures(docs, threshold, trees, sample=sample), "forest")
+    met = [0] * (DEPTH + 1)
+    for r in rows.where("size(met) > 0").select(F.explode("met").alias("p")).groupBy("p").count().collect():  # at most DEPTH + 1 rows
+        met[r["p"]] = r["count"]
+    return rows.drop("met"), prefix_length(threshold, trees, met=met)
+
+
+def members(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, block: int = BLOCK) -> DataFrame:
+    """One row per document: doc_id, mark (a hash of its text), first (doc_id and mark of its class's first row), n_links.
+
+    ``first`` is the least (doc_id, mark) of the rows whose doc_id is not null, if any.
+    """
+    rows, prefix = forest(docs, threshold, trees)
+    place = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
+    # ``home``: one row that has the set, to find its text again
+    sets = persist_table(rows.where("node is not null").groupBy("node").agg(F.count("*").alias("copies"), F.min(place).alias("home"), F.first("labels").alias("labels")), "forest-sets")
+    nodes = F.transform(F.sequence(F.lit(0), F.lit(trees - 1)), lambda t: F.substring("labels", t * (DEPTH * STEP) + 1, F.lit(prefix * STEP)))
+    met = sets.select("node", F.posexplode(nodes).alias("tree", "key"))
     mark = [F.sum(F.xxhash64("node").cast("decimal(38,0)")), F.bit_xor(F.xxhash64(F.lit(3), "node"))]
-    buckets = met.groupBy("tree", "key").agg(F.count("*").alias("n"), mark[0].alias("m0"), mark[1].alias("m1")).where("n > 1")
-    buckets = buckets.groupBy("n", "m0", "m1").agg(F.min(F.struct("tree", "key")).alias("b")).select("b.*", "n")
-    members = met.join(persist_table(buckets, "forest-buckets"), ["tree", "key"])
-    kept = persist_table(members.groupBy("node").agg(F.collect_list(F.struct("tree", "key", "n")).alias("in_")), "forest-kept")
-    cand = sets.join(kept, "node").select("node", "copies", "home", "in_")
-    cand = persist_table(cand, "forest-candidates")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(cand.select(F.col("home").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    found = signatures(texts, threshold, trees, with_keys=False).drop("doc_id")
-    # rows repeating a doc_id bring a set twice; the verifier drops the second
+    shared = met.groupBy("tree", "key").agg(F.count("*").alias("n"), mark[0].alias("m0"), mark[1].alias("m1")).where("n > 1")
+    shared = shared.groupBy("n", "m0", "m1").agg(F.min(F.struct("tree", "key")).alias("b")).select("b.*", "n")
+    below = met.join(persist_table(shared, "forest-nodes"), ["tree", "key"])
+    kept = persist_table(below.groupBy("node").agg(F.collect_list(F.struct("tree", "key", "n")).alias("in_")), "forest-kept")
+    cand = persist_table(sets.join(kept, "node").select("node", "copies", "home", "in_"), "forest-candidates")
+    # The text of each candidate's home row; rows that repeat id and text bring a set twice, the verifier drops the second.
+    homes = cand.select(F.col("home.doc_id").alias("home_id"), F.col("home.mark").alias("home_mark"), F.col("home.no_id").alias("no_id")).distinct()
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    texts = own.join(homes.where("not no_id"), (F.col("doc_id") == F.col("home_id")) & (F.xxhash64("text") == F.col("home_mark")), "left_semi")
+    nameless = own.where("doc_id is null").join(homes.where("no_id"), F.xxhash64("text") == F.col("home_mark"), "left_semi")
+    nameless = nameless.groupBy(F.xxhash64("text").alias("m")).agg(F.first("text").alias("text")).select(F.lit(None).cast("long").alias("doc_id"), "text")
+    found = signatures(texts.union(nameless), threshold, trees, with_labels=False).select("node", "shingles")
     full = found.join(cand.drop("home"), "node")
-    by_tree = F.transform(F.sequence(F.lit(0), F.lit(trees - 1)), lambda t: F.coalesce(F.get(F.filter("in_", lambda x: x["tree"] == t), F.lit(0))["key"], F.lit(0)))
+    by_tree = F.transform(F.sequence(F.lit(0), F.lit(trees - 1)), lambda t: F.coalesce(F.get(F.filter("in_", lambda x: x["tree"] == t), F.lit(0))["key"], F.lit(b"")))
     full = full.select("node", "copies", "shingles", by_tree.alias("kept"), F.explode("in_").alias("b")).select("*", "b.*").drop("b")
     full = full.withColumn("blocks", F.ceil(F.col("n") / block).cast("int")).withColumn("block", F.pmod(F.xxhash64(F.lit(11), "node"), F.col("blocks")).cast("int"))
     full = full.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -214,10 +309,16 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, b
     parts = connected_components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")))
     links = linked.groupBy("node").agg(F.sum("links").alias("links"))
     named = sets.select("node", "copies", "home").join(parts, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least = named.groupBy("root").agg(F.min("home").alias("class_id"))
-    each = persist_table(named.join(least, "root").join(links, "node", "left").select("node", "class_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "forest-classes")
-    with_set = rows.where("node is not null").select("doc_id", "node").join(each, "node").select("doc_id", "class_id", "n_links")
-    return with_set.union(rows.where("node is null").select("doc_id", F.col("doc_id").alias("class_id"), F.lit(0).cast("long")))
+    least = named.groupBy("root").agg(F.min("home").alias("first"))
+    each = persist_table(named.join(least, "root").join(links, "node", "left").select("node", "first", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "forest-classes")
+    out = ["doc_id", "mark", F.struct("first.doc_id", "first.mark").alias("first"), "n_links"]
+    with_set = rows.where("node is not null").select("doc_id", "mark", "node").join(each, "node").select(*out)
+    return with_set.union(rows.where("node is null").select("doc_id", "mark", F.struct("doc_id", "mark"), F.lit(0).cast("long")))
+
+
+def classes(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, block: int = BLOCK) -> DataFrame:
+    """One row per document: doc_id, class_id (least doc_id reachable by links), n_links (other documents linked directly)."""
+    return members(docs, threshold, trees, block).select("doc_id", F.col("first.doc_id").alias("class_id"), "n_links")
 
 
 def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
