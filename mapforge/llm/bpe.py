@@ -1,40 +1,60 @@
 """Operator 8: BPE encoding and decoding over a table of distinct words.
 
-Texts are cut into words inside Spark tasks. Each task keeps a table of the distinct words it has
-met: a word is encoded once when it enters that table and afterwards its ids are joined back by
-position. Decoding joins ids to pieces through the id-to-piece table, whose size is the vocabulary's
-and so does not grow with the corpus. Nothing is shuffled, and a lost task starts over by itself.
+1. Texts are cut into words. Documents go in blocks; a block numbers its distinct words, and its documents
+   keep word numbers in place of words. What is written is packed: one row for some documents of a block, one
+   row for the words of a block that fall into one of the buckets of the corpus-wide word table.
+2. The word table is dealt by bucket; a task that holds a bucket sees each of its words in every block that has it,
+   encodes each distinct word once and hands its ids back to the blocks.
+3. Ids meet documents by block; each document's ids are gathered by word number, that is, by position.
 
-A corpus-wide table would need one row per word position in a shuffle (about 150 million rows for
-0.5 GB of Parquet); per-task tables give the same ids without it.
+So what is shuffled is words per block and numbers, never a row per word position, and a task holds the words
+of one bucket or of one block. Decoding gathers pieces by id through the id-to-piece table, whose size is the
+vocabulary's and so does not grow with the corpus.
 
 Results are those of the tokenizers library for ``encode(text, add_special_tokens=False)`` and
-``decode(ids, skip_special_tokens=False)``. Null text counts as empty; an empty text has no ids.
+``decode(ids, skip_special_tokens=False)``. Words are cut by the rules of the lower-casing word vocabulary named
+below; vocabulary files with other rules are refused. Null text counts as empty; an empty text has no ids; rows that
+repeat are encoded alike; an empty table gives no rows. Columns other than the text stay, whatever their names.
 """
 
 from __future__ import annotations
 
 import json
 import re
+import zlib
+from collections import defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
+from uuid import uuid4
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mapforge.llm.common import table
+from mapforge.llm.common import persist_table, table
 
 VOCABULARY = "word_bpe_49k.json"
-#: Words a task keeps at most; a full table is emptied, which costs time and never changes a result.
-TABLE_WORDS = 600_000
+#: A block of documents is closed once it has this many distinct words or word positions.
+BLOCK_WORDS = 100_000
+BLOCK_POSITIONS = 1_500_000
+#: Bytes of input for each bucket of the word table.
+BUCKET_BYTES = 16_000_000
+#: Bytes of words and ids that a task's own table (see ``WordTable``) may hold.
+TABLE_BYTES = 8_000_000
 SLICE_ROWS = 256
 
 # Texts of these characters only are cut by the pattern below, which for them equals the library's
 # own normaliser and splitter; all other texts go through the library's.
 _PLAIN = re.compile("[^\t\n\x0b\x0c\r -~À-ÖØ-öø-ÿ]")
 _WORDS = re.compile("[a-zß-öø-ÿ]+|[0-9]|'(?:s|t|re|ve|m|ll|d)|[^\\sa-z0-9ß-öø-ÿ]+")
+#: The rules that a vocabulary file must have for the above to hold.
+_RULES = {
+    "normalizer": ["NFC", "Replace", "Lowercase"],
+    "pre_tokenizer": ["Split", "ByteLevel"],
+    "split": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+",
+}
 
 
 def vocabulary_path(name_or_path: str = VOCABULARY) -> str:
@@ -53,113 +73,233 @@ def _byte_letters() -> list[str]:
     return [chr(b) if b in shown else chr(next(rest)) for b in range(256)]
 
 
-class WordTable:
-    """Distinct words and their ids (little-endian unsigned 32-bit), filled as words turn up."""
+def _refuse_other_rules(spec: dict) -> None:
+    steps = lambda key, inner: [x["type"] for x in (spec.get(key) or {}).get(inner, [])]
+    cut = (spec.get("pre_tokenizer") or {}).get("pretokenizers", [{}])[0].get("pattern", {}).get("Regex")
+    plain = all(not t[k] for t in spec["added_tokens"] for k in ("single_word", "lstrip", "rstrip", "normalized"))
+    same = steps("normalizer", "normalizers") == _RULES["normalizer"] and steps("pre_tokenizer", "pretokenizers") == _RULES["pre_tokenizer"] and cut == _RULES["split"]
+    if not same or not plain or spec.get("decoder") is not None or spec["model"]["type"] != "BPE":
+        raise ValueError("this vocabulary cuts words by other rules")
+
+
+class Vocabulary:
+    """A vocabulary file: cuts texts into words, encodes a word, names the piece of an id."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        _refuse_other_rules(spec)
         self.tokenizer = Tokenizer.from_str(json.dumps(spec))
         self.letters = _byte_letters()
         self.specials = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.split = re.compile("(" + "|".join(map(re.escape, self.specials)) + ")")
-        self.words: dict[str, bytes] = {}
-        pieces = self.tokenizer.get_vocab(with_added_tokens=True)
-        self.pieces = [""] * (max(pieces.values()) + 1)
-        for piece, k in pieces.items():
-            self.pieces[k] = piece
-
-    def cut(self, text: str) -> list[str]:
-        """Normalised chunks of a text without special tokens: no token crosses from one into the next."""
+        named = self.tokenizer.get_vocab(with_added_tokens=True)
+        pieces = [""] * (max(named.values()) + 1)
+        for piece, k in named.items():
+            pieces[k] = piece
+        self.pieces = pa.array(pieces, pa.large_string())
+
+    def _cut(self, text: str) -> list[str]:
         if not _PLAIN.search(text):
             return text.lower().split()
         norm = self.tokenizer.normalizer.normalize_str(text)
         return [norm[a:b] for _, (a, b) in self.tokenizer.pre_tokenizer.pre_tokenize_str(norm)]
 
-    def _word(self, word: str) -> bytes:
-        found = self.words.get(word)
-        if found is None:
-            piece = "".join([self.letters[b] for b in word.encode()])
-            found = np.array([t.id for t in self.tokenizer.model.tokenize(piece)], "<u4").tobytes()
-            self.words[word] = found
-        return found
+    def cut(self, text: str | None) -> list[str]:
+        """Normalised words of a text, special tokens as they are: no token crosses from one into the next."""
+        if not text:
+            return []
+        parts = self.split.split(text)
+        if len(parts) == 1:
+            return self._cut(text)
+        return [w for part in parts if part for w in ([part] if part in self.specials else self._cut(part))]
+
+    def word_ids(self, word: str) -> bytes:
+        """Ids of a word as little-endian unsigned 32-bit integers."""
+        if word in self.specials:
+            return np.array([self.specials[word]], "<u4").tobytes()
+        ids: list[int] = []
+        for w in [word] if _PLAIN.search(word) else _WORDS.findall(word):
+            piece = "".join([self.letters[b] for b in w.encode()])
+            ids += [t.id for t in self.tokenizer.model.tokenize(piece)]
+        return np.array(ids, "<u4").tobytes()
 
-    def learn(self, chunks: set[str]) -> None:
-        """Enter chunks that the table lacks: each of their words is encoded once."""
-        if len(self.words) > TABLE_WORDS:
-            self.words.clear()
-        for c in chunks:
-            words = [c] if _PLAIN.search(c) else _WORDS.findall(c)
-            self.words[c] = b"".join([self._word(w) for w in words]) if len(words) != 1 else self._word(words[0])
-
-    def _join(self, chunks: list[str]) -> bytes:
-        known = self.words
-        try:
-            return b"".join([known[c] for c in chunks])
-        except KeyError:
-            self.learn({c for c in chunks if c not in known})
-        try:
-            return b"".join([known[c] for c in chunks])
-        except KeyError:  # the table was emptied meanwhile
-            self.learn({c for c in chunks if c not in known})
-            return b"".join([known[c] for c in chunks])
+
+@lru_cache(maxsize=1)
+def vocabulary_of(path: str) -> Vocabulary:
+    return Vocabulary(path)
+
+
+class WordTable(dict):
+    """The words that one task has met lately, with their ids; emptied when it holds ``TABLE_BYTES``, which changes no result."""
+
+    def __init__(self, path: str):
+        self.vocabulary, self.held = vocabulary_of(path), 0
+
+    def __missing__(self, word: str) -> bytes:
+        found = self.vocabulary.word_ids(word)
+        self.held += 250 + 2 * len(word) + len(found)  # with what Python keeps beside them
+        if self.held > TABLE_BYTES:
+            self.clear()
+            self.held = 0
+        self[word] = found
+        return found
 
     def encode(self, text: str | None) -> bytes:
-        if not text:
-            return b""
-        if "<|" not in text:
-            return self._join(self.cut(text))
-        return b"".join(
-            np.array([self.specials[part]], "<u4").tobytes() if part in self.specials else self._join(self.cut(part))
-            for part in self.split.split(text)
-            if part
-        )
+        return b"".join([self[w] for w in self.vocabulary.cut(text)])
 
-    def decode(self, ids: bytes) -> str:
-        return " ".join(map(self.pieces.__getitem__, np.frombuffer(ids, "<u4").tolist()))
 
+def _packed(arrays: list, names: list[str]) -> bytes:
+    batch = pa.RecordBatch.from_arrays(arrays, names=names)
+    out = pa.BufferOutputStream()
+    with pa.ipc.new_stream(out, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as w:
+        w.write_batch(batch)
+    return out.getvalue().to_pybytes()
 
-@lru_cache(maxsize=2)
-def word_table(path: str) -> WordTable:
-    return WordTable(path)
 
+def _unpacked(payload: bytes) -> pa.RecordBatch:
+    return pa.ipc.open_stream(payload).read_next_batch()
+
+
+def _buckets(docs: DataFrame) -> int:
+    """Buckets of the word table by the size of the input files, by the number of rows where that is not known."""
+    size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    n = size // BUCKET_BYTES if size < 2**50 else docs.count() // 4000
+    return int(max(8, min(16_384, n)))
+
+
+_ROW = "block string, bucket int, payload binary"
 
-def encode(docs: DataFrame, text: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:
-    """``docs`` without its text column and with ``ids``, the token ids as little-endian unsigned 32-bit binary."""
-    path = vocabulary_path(vocabulary)
-    keep = [c for c in docs.columns if c not in (text, "ids")]
-    schema = docs.select(*keep, F.lit(b"").alias("ids")).schema
+
+def _rows(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.string(), pa.int32(), pa.binary()))], names=["block", "bucket", "payload"])
+
+
+def _to_blocks(path: str, keep: list[str], text: str, buckets: int):
+    """Step 1: rows of documents (bucket -1) and of words by block."""
+
+    def words_of(block: str, numbers: dict[str, int]) -> Iterator[pa.RecordBatch]:
+        words = pa.array(numbers, pa.large_string())
+        home = np.fromiter((zlib.crc32(w.encode()) % buckets for w in numbers), np.int64, len(numbers))
+        order = np.argsort(home, kind="stable")
+        ends = np.searchsorted(home[order], np.arange(buckets + 1))
+        for b in np.flatnonzero(np.diff(ends)).tolist():
+            at = pa.array(order[ends[b] : ends[b + 1]].astype("u4"))
+            yield _rows([(block, b, _packed([at, words.take(at)], ["n", "word"]))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = word_table(path)
+        vocabulary = vocabulary_of(path)
+
+        def fresh() -> tuple[str, defaultdict]:
+            numbers: defaultdict = defaultdict()
+            numbers.default_factory = numbers.__len__
+            return uuid4().hex, numbers
+
+        (block, numbers), positions = fresh(), 0
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
-                ids = [words.encode(t) for t in part.column(text).to_pylist()]
-                yield pa.RecordBatch.from_arrays(
-                    [*(part.column(c) for c in keep), pa.array(ids, pa.binary())], names=[*keep, "ids"]
-                )
+                found = [[numbers[w] for w in vocabulary.cut(t)] for t in part.column(text).to_pylist()]
+                positions += sum(map(len, found))
+                yield _rows([(block, -1, _packed([*(part.column(c) for c in keep), pa.array(found, pa.large_list(pa.uint32()))], [*map(str, range(len(keep))), "words"]))])
+                if len(numbers) >= BLOCK_WORDS or positions >= BLOCK_POSITIONS:
+                    yield from words_of(block, numbers)
+                    (block, numbers), positions = fresh(), 0
+        yield from words_of(block, numbers)
 
-    return docs.select(*keep, text).mapInArrow(run, schema)
+    return run
+
+
+def _encode_words(path: str):
+    """Step 2: words in the order of their buckets in, ids out; each distinct word of a bucket is encoded once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vocabulary, last, known = vocabulary_of(path), None, {}
+        for whole in batches:
+            for block, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
+                if bucket != last:
+                    last, known = bucket, {}
+                pack = _unpacked(payload)
+                words = pack.column(1).to_pylist()
+                for w in words:
+                    if w not in known:
+                        known[w] = vocabulary.word_ids(w)
+                yield _rows([(block, bucket, _packed([pack.column(0), pa.array([known[w] for w in words], pa.large_binary())], ["n", "ids"]))])
+
+    return run
+
+
+def _to_documents(keep: list[str]):
+    """Step 3: rows in the order of blocks, ids of words before documents; documents with their ids out."""
+
+    def joined(packs: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """All ids of a block's words, and where those of word ``n`` begin and how many they are."""
+        if not packs:
+            return np.empty(0, "<u4"), np.empty(0, np.int64), np.empty(0, np.int64)
+        numbers = np.concatenate([p.column(0).to_numpy() for p in packs])
+        ids = pa.chunked_array([p.column(1) for p in packs]).combine_chunks()
+        sizes = pc.binary_length(ids).to_numpy(zero_copy_only=False).astype(np.int64) // 4
+        begin, size = np.empty(len(numbers), np.int64), np.empty(len(numbers), np.int64)
+        begin[numbers], size[numbers] = np.cumsum(sizes) - sizes, sizes
+        return np.frombuffer(ids.buffers()[2] or b"", "<u4", count=int(sizes.sum())), begin, size
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, packs, known = None, [], None
+        for whole in batches:
+            for block, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
+                if block != last:
+                    last, packs, known = block, [], None
+                pack = _unpacked(payload)
+                if bucket >= 0:
+                    packs.append(pack)
+                    continue
+                if known is None:
+                    known, packs = joined(packs), []
+                data, begin, size = known
+                lists = pack.column(pack.num_columns - 1)
+                ends = lists.offsets.to_numpy()
+                at = lists.flatten().to_numpy().astype(np.int64)
+                n = size[at] if len(at) else np.empty(0, np.int64)
+                total = np.concatenate([[0], np.cumsum(n)])
+                ids = data[np.repeat(begin[at] - total[:-1], n) + np.arange(total[-1])] if len(at) else data[:0]
+                bounds = (4 * total[ends - ends[0]]).astype("<i8")
+                out = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(bounds.tobytes()), pa.py_buffer(ids.astype("<u4").tobytes())])
+                yield pa.RecordBatch.from_arrays([*(pack.column(k) for k in range(len(keep))), out.cast(pa.binary())], names=[*keep, "ids"])
+
+    return run
+
+
+def encode(docs: DataFrame, text: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:
+    """``docs`` without its text column and with ``ids``, the token ids as little-endian unsigned 32-bit binary."""
+    path = vocabulary_path(vocabulary)
+    keep = [c for c in docs.columns if c not in (text, "ids")]
+    schema = docs.select(*keep, F.lit(b"").alias("ids")).schema
+    docs = docs.select(*keep, text)
+    buckets = _buckets(docs)
+    blocks = persist_table(docs.mapInArrow(_to_blocks(path, keep, text, buckets), _ROW), "bpe-blocks")
+    words = blocks.where("bucket >= 0").repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_encode_words(path), _ROW)
+    both = words.union(blocks.where("bucket < 0")).repartition("block").sortWithinPartitions("block", F.desc("bucket"))
+    return both.mapInArrow(_to_documents(keep), schema)
 
 
 def decode(encoded: DataFrame, ids: str = "ids", vocabulary: str = VOCABULARY) -> DataFrame:
-    """``encoded`` with ``decoded``, the pieces of its ids joined by the id-to-piece table."""
+    """``encoded`` with ``decoded``, the pieces of its ids taken from the id-to-piece table."""
     path = vocabulary_path(vocabulary)
     keep = [c for c in encoded.columns if c != "decoded"]
     schema = encoded.select(*keep, F.lit("").alias("decoded")).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = word_table(path)
+        pieces = vocabulary_of(path).pieces
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
-                texts = [words.decode(x or b"") for x in part.column(ids).to_pylist()]
-                yield pa.RecordBatch.from_arrays(
-                    [*(part.column(c) for c in keep), pa.array(texts, pa.string())], names=[*keep, "decoded"]
-                )
+                each = [x or b"" for x in part.column(ids).to_pylist()]
+                ends = np.concatenate([[0], np.cumsum([len(x) // 4 for x in each])])
+                taken = pieces.take(pa.array(np.frombuffer(b"".join(each), "<u4")))
+                texts = pc.binary_join(pa.ListArray.from_arrays(pa.array(ends, pa.int32()), taken), pa.scalar(" ", pa.large_string()))
+                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in keep), texts.cast(pa.string())], names=[*keep, "decoded"])
 
     return encoded.select(*keep).mapInArrow(run, schema)
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from mapforge.llm.bpe import SLICE_ROWS, VOCABULARY, vocabulary_path, word_table
+from mapforge.llm.bpe import SLICE_ROWS, VOCABULARY, WordTable, vocabulary_path
 from mapforge.llm.common import persist_table, table
 
 SEQUENCE = 4096
@@ -37,7 +37,7 @@ def pieces(docs: DataFrame, limit: int = SEQUENCE, text: str = "text", vocabular
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = word_table(path)
+        words = WordTable(path)
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
