@@ -1,13 +1,14 @@
 """Operator 8: BPE encoding and decoding over a table of distinct words.
 
-1. Texts are cut into words. Documents go in blocks; a block numbers its distinct words, and its documents
-   keep word numbers in place of words. What is written is packed: one row for some documents of a block, one
-   row for the words of a block that fall into one of the buckets of the corpus-wide word table.
+1. Texts are cut into words. Documents go in blocks; a block numbers its distinct words, and its documents are
+   written to a file of the shared folder with word numbers in place of words. The words of a block become one row
+   for each bucket of the corpus-wide word table that they fall into.
 2. The word table is dealt by bucket; a task that holds a bucket sees each of its words in every block that has it,
    encodes each distinct word once and hands its ids back to the blocks.
-3. Ids meet documents by block; each document's ids are gathered by word number, that is, by position.
+3. Ids are dealt by block; a task reads the block's documents from their place and gathers each document's ids by
+   word number, that is, by position.
 
-So what is shuffled is words per block and numbers, never a row per word position, and a task holds the words
+So what is shuffled is words per block and their ids, neither texts nor a row per word position, and a task holds the words
 of one bucket or of one block. Decoding gathers pieces by id through the id-to-piece table, whose size is the
 vocabulary's and so does not grow with the corpus.
 
@@ -30,10 +31,12 @@ from uuid import uuid4
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
+from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mapforge.llm.common import persist_table, table
+from mapforge.llm.common import fresh_path, persist_table, table
 
 VOCABULARY = "word_bpe_49k.json"
 #: A block of documents is closed once it has this many distinct words or word positions.
@@ -151,8 +154,7 @@ class WordTable(dict):
         return b"".join([self[w] for w in self.vocabulary.cut(text)])
 
 
-def _packed(arrays: list, names: list[str]) -> bytes:
-    batch = pa.RecordBatch.from_arrays(arrays, names=names)
+def _packed(batch: pa.RecordBatch) -> bytes:
     out = pa.BufferOutputStream()
     with pa.ipc.new_stream(out, batch.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as w:
         w.write_batch(batch)
@@ -170,44 +172,69 @@ def _buckets(docs: DataFrame) -> int:
     return int(max(8, min(16_384, n)))
 
 
-_ROW = "block string, bucket int, payload binary"
+#: A block's words of one bucket, or their ids: where the block's documents are, the bucket, and the packed words or ids.
+_ROW = "file string, at long, size long, bucket int, payload binary"
+_KINDS = (pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.string(), pa.int32(), pa.binary()))], names=["block", "bucket", "payload"])
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _KINDS)], names=[x.split(" ")[0] for x in _ROW.split(", ")])
 
 
-def _to_blocks(path: str, keep: list[str], text: str, buckets: int):
-    """Step 1: rows of documents (bucket -1) and of words by block."""
-
-    def words_of(block: str, numbers: dict[str, int]) -> Iterator[pa.RecordBatch]:
-        words = pa.array(numbers, pa.large_string())
-        home = np.fromiter((zlib.crc32(w.encode()) % buckets for w in numbers), np.int64, len(numbers))
-        order = np.argsort(home, kind="stable")
-        ends = np.searchsorted(home[order], np.arange(buckets + 1))
-        for b in np.flatnonzero(np.diff(ends)).tolist():
-            at = pa.array(order[ends[b] : ends[b + 1]].astype("u4"))
-            yield _rows([(block, b, _packed([at, words.take(at)], ["n", "word"]))])
+def _to_blocks(path: str, folder: str, keep: list[str], text: str, buckets: int):
+    """Step 1: documents of each block to the task's file, words of each block by bucket out (bucket 0 always)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary = vocabulary_of(path)
+        vocabulary, name, out, at = vocabulary_of(path), f"{uuid4().hex}.blocks", None, 0
+        store, root = fs.FileSystem.from_uri(folder)
 
-        def fresh() -> tuple[str, defaultdict]:
+        def fresh() -> defaultdict:
             numbers: defaultdict = defaultdict()
             numbers.default_factory = numbers.__len__
-            return uuid4().hex, numbers
-
-        (block, numbers), positions = fresh(), 0
+            return numbers
+
+        def closed(numbers: dict[str, int], docs: list[tuple[pa.RecordBatch, list[list[int]]]]) -> Iterator[pa.RecordBatch]:
+            nonlocal out, at
+            words = list(numbers)
+            home = [zlib.crc32(w.encode()) % buckets for w in words]
+            # Numbers in the order of buckets and words: the packs then need not carry them
+            order = sorted(range(len(words)), key=lambda k: (home[k], words[k]))
+            rank = np.empty(len(words), "u4")
+            rank[order] = np.arange(len(words), dtype="u4")
+            body = []
+            for part, found in docs:
+                ends = np.concatenate([[0], np.cumsum([len(x) for x in found])])
+                flat = rank[np.fromiter((n for x in found for n in x), np.int64, int(ends[-1]))]
+                lists = pa.LargeListArray.from_arrays(pa.array(ends, pa.int64()), pa.array(flat))
+                packed = _packed(pa.RecordBatch.from_arrays([*part.columns, lists], names=[str(k) for k in range(len(part.columns) + 1)]))
+                body += [len(packed).to_bytes(8, "little"), packed]
+            body = b"".join(body)
+            if out is None:
+                store.create_dir(root, recursive=True)
+                out = store.open_output_stream(f"{root}/{name}")
+            out.write(body)
+            place = (f"{folder}/{name}", at, len(body))
+            at += len(body)
+            by_bucket: dict[int, list[str]] = {0: []}
+            for k in order:
+                by_bucket.setdefault(home[k], []).append(words[k])
+            for b, own in by_bucket.items():
+                yield _rows([(*place, b, zstandard.compress("\n".join(own).encode()))])
+
+        numbers, docs, positions = fresh(), [], 0
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
                 found = [[numbers[w] for w in vocabulary.cut(t)] for t in part.column(text).to_pylist()]
+                docs.append((part.select(keep), found))
                 positions += sum(map(len, found))
-                yield _rows([(block, -1, _packed([*(part.column(c) for c in keep), pa.array(found, pa.large_list(pa.uint32()))], [*map(str, range(len(keep))), "words"]))])
                 if len(numbers) >= BLOCK_WORDS or positions >= BLOCK_POSITIONS:
-                    yield from words_of(block, numbers)
-                    (block, numbers), positions = fresh(), 0
-        yield from words_of(block, numbers)
+                    yield from closed(numbers, docs)
+                    numbers, docs, positions = fresh(), [], 0
+        if docs:
+            yield from closed(numbers, docs)
+        if out is not None:
+            out.close()
 
     return run
 
@@ -218,55 +245,62 @@ def _encode_words(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, last, known = vocabulary_of(path), None, {}
         for whole in batches:
-            for block, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
+            for *place, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
                 if bucket != last:
                     last, known = bucket, {}
-                pack = _unpacked(payload)
-                words = pack.column(1).to_pylist()
+                words = zstandard.decompress(payload).decode()
+                words = words.split("\n") if words else []
                 for w in words:
                     if w not in known:
                         known[w] = vocabulary.word_ids(w)
-                yield _rows([(block, bucket, _packed([pack.column(0), pa.array([known[w] for w in words], pa.large_binary())], ["n", "ids"]))])
+                ids = [known[w] for w in words]
+                sizes = np.array([len(x) // 4 for x in ids], "<u4")
+                yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids)))])
 
     return run
 
 
 def _to_documents(keep: list[str]):
-    """Step 3: rows in the order of blocks, ids of words before documents; documents with their ids out."""
-
-    def joined(packs: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """All ids of a block's words, and where those of word ``n`` begin and how many they are."""
-        if not packs:
-            return np.empty(0, "<u4"), np.empty(0, np.int64), np.empty(0, np.int64)
-        numbers = np.concatenate([p.column(0).to_numpy() for p in packs])
-        ids = pa.chunked_array([p.column(1) for p in packs]).combine_chunks()
-        sizes = pc.binary_length(ids).to_numpy(zero_copy_only=False).astype(np.int64) // 4
-        begin, size = np.empty(len(numbers), np.int64), np.empty(len(numbers), np.int64)
-        begin[numbers], size[numbers] = np.cumsum(sizes) - sizes, sizes
-        return np.frombuffer(ids.buffers()[2] or b"", "<u4", count=int(sizes.sum())), begin, size
+    """Step 3: ids of words in the order of blocks and buckets in; documents with their ids out."""
+
+    def documents(place: tuple[str, int, int], packs: list[bytes]) -> Iterator[pa.RecordBatch]:
+        sizes, parts = [], []
+        for p in map(zstandard.decompress, packs):
+            n = int.from_bytes(p[:8], "little")
+            sizes.append(np.frombuffer(p, "<u4", n, 8))
+            parts.append(np.frombuffer(p, "<u4", -1, 8 + 4 * n) if len(p) > 8 + 4 * n else np.empty(0, "<u4"))
+        size, data = np.concatenate(sizes).astype(np.int64), np.concatenate(parts)
+        begin = np.cumsum(size) - size
+        file, at, length = place
+        store, path = fs.FileSystem.from_uri(file)
+        with store.open_input_file(path) as f:
+            f.seek(at)
+            body = f.read(length)
+        k = 0
+        while k < length:
+            n = int.from_bytes(body[k : k + 8], "little")
+            pack = _unpacked(body[k + 8 : k + 8 + n])
+            k += 8 + n
+            lists = pack.column(pack.num_columns - 1)
+            where = lists.flatten().to_numpy().astype(np.int64)
+            each = size[where] if len(where) else np.empty(0, np.int64)
+            total = np.concatenate([[0], np.cumsum(each)])
+            ids = data[np.repeat(begin[where] - total[:-1], each) + np.arange(total[-1])] if len(where) else data[:0]
+            bounds = (4 * total[lists.offsets.to_numpy()]).astype("<i8")
+            out = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(bounds.tobytes()), pa.py_buffer(ids.astype("<u4").tobytes())])
+            yield pa.RecordBatch.from_arrays([*(pack.column(c) for c in range(len(keep))), out.cast(pa.binary())], names=[*keep, "ids"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, packs, known = None, [], None
+        last, packs = None, []
         for whole in batches:
-            for block, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
-                if block != last:
-                    last, packs, known = block, [], None
-                pack = _unpacked(payload)
-                if bucket >= 0:
-                    packs.append(pack)
-                    continue
-                if known is None:
-                    known, packs = joined(packs), []
-                data, begin, size = known
-                lists = pack.column(pack.num_columns - 1)
-                ends = lists.offsets.to_numpy()
-                at = lists.flatten().to_numpy().astype(np.int64)
-                n = size[at] if len(at) else np.empty(0, np.int64)
-                total = np.concatenate([[0], np.cumsum(n)])
-                ids = data[np.repeat(begin[at] - total[:-1], n) + np.arange(total[-1])] if len(at) else data[:0]
-                bounds = (4 * total[ends - ends[0]]).astype("<i8")
-                out = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(bounds.tobytes()), pa.py_buffer(ids.astype("<u4").tobytes())])
-                yield pa.RecordBatch.from_arrays([*(pack.column(k) for k in range(len(keep))), out.cast(pa.binary())], names=[*keep, "ids"])
+            for *place, _, payload in zip(*(c.to_pylist() for c in whole.columns)):
+                if place != last:
+                    if last:
+                        yield from documents(last, packs)
+                    last, packs = place, []
+                packs.append(payload)
+        if last:
+            yield from documents(last, packs)
 
     return run
 
@@ -278,10 +312,9 @@ def encode(docs: DataFrame, text: str = "text", vocabulary: str = VOCABULARY) ->
     schema = docs.select(*keep, F.lit(b"").alias("ids")).schema
     docs = docs.select(*keep, text)
     buckets = _buckets(docs)
-    blocks = persist_table(docs.mapInArrow(_to_blocks(path, keep, text, buckets), _ROW), "bpe-blocks")
-    words = blocks.where("bucket >= 0").repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_encode_words(path), _ROW)
-    both = words.union(blocks.where("bucket < 0")).repartition("block").sortWithinPartitions("block", F.desc("bucket"))
-    return both.mapInArrow(_to_documents(keep), schema)
+    blocks = persist_table(docs.mapInArrow(_to_blocks(path, fresh_path(docs.sparkSession, "bpe-documents"), keep, text, buckets), _ROW), "bpe-words")
+    words = blocks.repartitionByRange(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_encode_words(path), _ROW)
+    return words.repartition(buckets, "file", "at").sortWithinPartitions("file", "at", "bucket").mapInArrow(_to_documents(keep), schema)
 
 
 def decode(encoded: DataFrame, ids: str = "ids", vocabulary: str = VOCABULARY) -> DataFrame:
