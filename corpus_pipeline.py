@@ -2,51 +2,75 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept; its decisions
 take effect on what it returns. All but the last return the columns of ``documents`` and keep any
-others that came in.
+others that came in, whatever their names: a row travels as one struct beside what an operator adds.
+Null and empty texts stay until packing, where each is one piece; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from mapforge.llm import lines, neardup, packing, pii, toxicity
 from mapforge.llm.common import persist_table, table
 
 
-def _sized(docs: DataFrame) -> DataFrame:
-    return docs.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else docs
+def _carried(docs: DataFrame) -> DataFrame:
+    """(row, doc_id, text): the whole row as one struct, so that no column an operator adds meets one of its names."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "doc_id", "text")
+
+
+def _with_text(docs: DataFrame, text: Column) -> Column:
+    """The row with another text, and its number of code points where it has that column."""
+    row = F.col("row").withField("text", text)
+    return row.withField("n_chars", F.length(text).cast(dict(docs.dtypes)["n_chars"])) if "n_chars" in docs.columns else row
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored 0.5 or more are dropped; null and empty texts stay."""
     model = toxicity.fit(docs.select("doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
-    held = docs.select(F.struct(*docs.columns).alias("row"), "text")
-    return toxicity.score(held, model).where("score < 0.5").select("row.*")
+    return toxicity.score(_carried(docs).select("row", "text"), model).where("score < 0.5").select("row.*")
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeated lines leave their documents; a document all of whose lines are repeated goes. Null and blank texts stay."""
-    done = lines.dedup(docs.withColumn("__text", F.col("text")))
+    done = lines.dedup(_carried(docs))
     emptied = (F.col("removed") > 0) & ~F.col("text").rlike(r"\S")
-    return _sized(done.where(~F.coalesce(emptied, F.lit(False)))).select(*docs.columns)
+    done = done.where(~F.coalesce(emptied, F.lit(False)))
+    return done.select(F.when(F.col("removed") > 0, _with_text(docs, F.col("text"))).otherwise(F.col("row")).alias("row")).select("row.*")
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class stays, the one of least doc_id; of rows repeating a doc_id, all or none."""
-    found = neardup.classes(docs.select("doc_id", "text"))
-    gone = persist_table(found.where("doc_id <> class_id").select("doc_id").distinct(), "copies")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each class stays: the one of least doc_id, and of rows with that id and text the least one.
+
+    Rows are told apart by doc_id and text, so a doc_id that two texts share loses only the text that is a copy. Null
+    ids count as the largest. Texts without any word are in no class: they all stay.
+    """
+    found = neardup.members(docs.select("doc_id", "text"))
+    same = (F.col("doc_id").eqNullSafe(F.col("first.doc_id"))) & (F.col("mark") == F.col("first.mark"))
+    gone = found.where(~same).select("doc_id", "mark")
+    twice = found.where(same & (F.col("n_links") > 0)).groupBy("doc_id", "mark").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "mark")
+    # gone: other rows of a class; twice: rows that repeat both id and text of a class's first row
+    marks = persist_table(gone.withColumn("twice", F.lit(False)).union(twice.withColumn("twice", F.lit(True))).distinct(), "copies")
+    rows = _carried(docs).withColumn("mark", F.xxhash64("text"))
+    other = marks.select(F.col("doc_id").alias("m_id"), F.col("mark").alias("m_mark"), "twice")
+    met = rows.join(other, (F.col("mark") == F.col("m_mark")) & F.col("doc_id").eqNullSafe(F.col("m_id")), "left")
+    once = met.where("twice is null").select("row.*")
+    sortable = [F.col(f"row.`{c}`") for c, kind in docs.dtypes if "map<" not in kind and "variant" not in kind]
+    first = met.where("twice").groupBy("m_id", "m_mark").agg(F.min_by("row", F.struct(*sortable)).alias("row")).select("row.*")
+    return once.union(first)
 
 
 def redact_pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every identifier is replaced by its kind in brackets."""
-    spans = persist_table(pii.extract(docs), "pii-spans")
-    marked = pii.attach(docs, spans)
-    return _sized(marked.withColumn("text", pii.redact(F.col("text"), F.col("spans")))).select(*docs.columns)
+    spans = persist_table(pii.extract(docs.select("doc_id", "text")), "pii-spans")
+    marked = pii.attach(_carried(docs), spans)
+    row = F.when(F.size("spans") > 0, _with_text(docs, pii.redact(F.col("text"), F.col("spans")))).otherwise(F.col("row"))
+    return marked.select(row.alias("row")).select("row.*")
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents that are left, with their places in the sequences."""
     return packing.pack(docs.select("doc_id", "text"))
 
 
