@@ -11,8 +11,10 @@ Equal vectors fall into one class first. Cells are cut into blocks; a task compa
 with a block of a cell by one matrix product and returns, per class, its number of links and a root,
 never pairs. A pair both of whose sides visit each other is counted once.
 
-Vectors that are null, zero, or hold null or non-finite components, or whose length differs from the
-first usable one's, link with nothing and stand alone.
+Vectors meet others of their own length only; each length that more than ``FEW_VECTORS`` distinct vectors have gets an
+index of its own, the vectors of a rarer length are one cell, all compared. Vectors that are null, zero, or hold null
+or non-finite components link with nothing and stand alone. Rows with a null vec_id link as others do and name a
+component only where no other row is in it. Repeated rows link with each other; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -36,6 +38,7 @@ RECALL = 0.995
 MAX_VISITS = 64
 QUERIES = 1000
 FEW = 30
+FEW_VECTORS = 2000
 BLOCK = 256
 
 
@@ -150,6 +153,36 @@ def cells(model: dict, x: np.ndarray) -> np.ndarray:
     return np.concatenate([traverse(_nearest(p[:, :h], model["books"][0]), _nearest(p[:, h:], model["books"][1]), model["visits"]) for p in parts])
 
 
+def _fitted(sets: DataFrame, dim: int, n: int, threshold: float, sample: int) -> dict:
+    """The index for the ``n`` vectors of one length."""
+    same = sets.where(F.size("v") == dim)
+    picked = [(r["node"], r["v"]) for r in same.orderBy(F.xxhash64("v"), "v").limit(max(sample, QUERIES)).select("node", "v").collect()]
+    x, codes = _units(np.array([v for _, v in picked])), codes_for(n, sample)
+    asking = np.array([k for k, _ in picked[:QUERIES]], dtype=object)
+    while True:
+        model = fit(x[:sample], codes)
+        visits = calibrate(same, model, asking, x[:QUERIES], threshold)
+        if visits is not None or codes < 4:
+            return {**model, "visits": visits or model["visits"]}
+        codes //= 2  # cells too small for the target recall
+
+
+def _place(state):
+    """Unit vectors with their cells: dimension and code in one number, so that lengths never meet."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        models = pickle.loads(state.value)
+        for whole in batches:
+            dims = np.array([len(v) for v in whole.column("v").to_pylist()], np.int64)
+            for dim in np.unique(dims).tolist():
+                b = whole.take(pa.array(np.flatnonzero(dims == dim)))
+                y = _units(np.array(b.column("v").to_pylist()))
+                seen = (cells(models[dim], y) if dim in models else np.zeros((len(y), 1), np.int64)) + (dim << 40)
+                yield pa.RecordBatch.from_arrays([b.column("node"), b.column("copies"), pa.array([v.astype("<f8").tobytes() for v in y], pa.binary()), pa.array(seen[:, 0]), pa.array(seen.tolist(), pa.list_(pa.int64()))], names=["node", "copies", "unit", "home", "visits"])
+
+    return run
+
+
 def _compare(threshold: float):
     def run(unit: pd.DataFrame) -> pd.DataFrame:
         cell = unit["cell"][0]
@@ -165,7 +198,7 @@ def _compare(threshold: float):
         r, c = np.nonzero(near)
         if not len(r):
             return none
-        q_home, t_visits = q["home"].to_numpy(), [set(v) for v in t["visits"]]
+        q_home, t_visits = q["home"].to_numpy(), [set(v.tolist()) for v in t["visits"]]
         # the pair also meets in the query's own cell if the target visits it: then each side counts for itself
         back = np.array([q_home[a] in t_visits[b] for a, b in zip(r, c)])
         nodes, at = np.unique(np.concatenate([qn, tn]), return_inverse=True)
@@ -181,42 +214,25 @@ def _compare(threshold: float):
     return run
 
 
-def link(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE, block: int = BLOCK) -> DataFrame:
+def link(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE, block: int = BLOCK, few: int = FEW_VECTORS) -> DataFrame:
     """vec_id, n_links, component_id, kept for each row of ``vectors`` (vec_id, embedding)."""
     spark = vectors.sparkSession
     clean = vectors.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>").alias("v"))
     usable = F.coalesce(
         F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))) & F.exists("v", lambda x: x != 0), F.lit(False)
     )
-    rows = persist_table(clean.select("vec_id", F.when(usable, F.transform("v", lambda x: x + F.lit(0.0))).alias("v")), "vectors")
+    rows = clean.select("vec_id", F.when(usable, F.transform("v", lambda x: x + F.lit(0.0))).alias("v"))
+    # two hashes of 64 bits stand for a vector's value where rows are dealt by it
+    rows = persist_table(rows.withColumns({"k": F.when(F.col("v").isNotNull(), F.xxhash64("v")), "k2": F.xxhash64(F.lit(7), "v")}), "vectors")
     # a class of equal vectors is named by its least id
-    sets = persist_table(rows.where("v is not null").groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "vector-classes")
-    picked = [(r["node"], r["v"]) for r in sets.orderBy(F.xxhash64("v"), "v").limit(max(sample, QUERIES)).select("node", "v").collect()]
-    empty = spark.createDataFrame([], "node long, root long, links long")
-    linked = empty
-    dim = len(picked[0][1]) if picked else 0
-    picked = [(k, v) for k, v in picked if len(v) == dim]
-    if picked:
-        x, codes, same = _units(np.array([v for _, v in picked])), codes_for(sets.count(), sample), sets.where(F.size("v") == dim)
-        asking = np.array([k for k, _ in picked[:QUERIES]], dtype=object)
-        while True:
-            model = fit(x[:sample], codes)
-            visits = calibrate(same, model, asking, x[:QUERIES], threshold)
-            if visits is not None or codes < 4:
-                break
-            codes //= 2  # cells too small for the target recall
-        state = spark.sparkContext.broadcast(pickle.dumps({**model, "visits": visits or model["visits"]}))
-
-        def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            model = pickle.loads(state.value)
-            for b in batches:
-                if not b.num_rows:
-                    continue
-                y = _units(np.array(b.column("v").to_pylist()))
-                seen = cells(model, y)
-                yield pa.RecordBatch.from_arrays([b.column("node"), b.column("copies"), pa.array([v.astype("<f8").tobytes() for v in y], pa.binary()), pa.array(seen[:, 0].astype("i4")), pa.array(seen.astype("i4").tolist(), pa.list_(pa.int32()))], names=["node", "copies", "unit", "home", "visits"])
-
-        placed = persist_table(sets.where(F.size("v") == dim).select("node", "copies", "v").mapInArrow(place, "node long, copies long, unit binary, home int, visits array<int>"), "vector-cells")
+    least = F.min("vec_id")
+    sets = persist_table(rows.where("v is not null").groupBy("k", "k2").agg(F.first("v").alias("v"), least.alias("least"), F.coalesce(least, F.first("k")).alias("node"), F.count("*").alias("copies")), "vector-classes")
+    linked = spark.createDataFrame([], "node long, root long, links long")
+    lengths = {r["dim"]: r["n"] for r in sets.groupBy(F.size("v").alias("dim")).agg(F.count("*").alias("n")).collect()}
+    if lengths:
+        models = {dim: _fitted(sets, dim, n, threshold, sample) for dim, n in sorted(lengths.items()) if n > few}
+        state = spark.sparkContext.broadcast(pickle.dumps(models))
+        placed = persist_table(sets.select("node", "copies", "v").mapInArrow(_place(state), "node long, copies long, unit binary, home long, visits array<long>"), "vector-cells")
         full = placed.groupBy("home").agg(F.count("*").alias("n")).select(F.col("home").alias("cell"), F.ceil(F.col("n") / block).cast("int").alias("t_blocks"))
         asked = placed.select(F.explode("visits").alias("cell")).groupBy("cell").agg(F.ceil(F.count("*") / block).cast("int").alias("q_blocks"))
         grid = full.join(asked, "cell")  # a row per cell in use: at most codes x codes
@@ -229,11 +245,13 @@ def link(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE,
         linked = persist_table(units.groupBy("cell", "qb", "tb").applyInPandas(_compare(threshold), "node long, root long, links long"), "vector-links")
     parts = connected_components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")))
     links = linked.groupBy("node").agg(F.sum("links").alias("links"))
-    each = sets.join(parts.withColumnRenamed("root", "component_id"), "node", "left").join(links, "node", "left")
-    each = persist_table(each.select("v", F.coalesce("component_id", "node").alias("component_id"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "vector-found")
-    done = rows.where("v is not null").join(each, "v").select("vec_id", "n_links", "component_id")
+    each = sets.select("k", "k2", "node", "least", "copies").join(parts, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    named = persist_table(each.groupBy("root").agg(F.min("least").alias("component_id")), "vector-components")
+    each = each.join(named, "root").join(links, "node", "left")
+    each = persist_table(each.select("k", "k2", "component_id", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links")), "vector-found")
+    done = rows.where("v is not null").select("vec_id", "k", "k2").join(each, ["k", "k2"]).select("vec_id", "n_links", "component_id")
     done = done.union(rows.where("v is null").select("vec_id", F.lit(0).cast("long"), F.col("vec_id")))
-    return done.withColumn("kept", F.col("vec_id") == F.col("component_id"))
+    return done.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
 
 
 def op5_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:

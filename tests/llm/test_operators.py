@@ -128,19 +128,31 @@ def test_near_duplicates_equal_brute_force(spark):
     assert got[902]["class_id"] == got[0]["class_id"] == 0
 
 
-def test_vectors_equal_brute_force(spark):
+@pytest.mark.parametrize("few", [10, 2000])
+def test_vectors_equal_brute_force(spark, few):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(60, 16))
     x = np.concatenate([x, x[:20] + rng.normal(scale=0.05, size=(20, 16)), x[:2]])
-    rows = [(k, v.tolist()) for k, v in enumerate(x)] + [(100, None), (101, [0.0] * 16), (102, [float("nan")] + [1.0] * 15), (103, [None] + [1.0] * 15)]
-    got = {r["vec_id"]: r for r in vectors.link(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), block=8).collect()}
-    u = x.astype("f4").astype("f8")
-    u /= np.linalg.norm(u, axis=1, keepdims=True)
-    near = u @ u.T >= 0.95
-    np.fill_diagonal(near, False)
+    odd = rng.normal(size=(5, 7))
+    odd = np.concatenate([odd, odd[:3] * 2 + 0.001])
+    bad = [None, [0.0] * 16, [float("nan")] + [1.0] * 15, [None] + [1.0] * 15, [], [float("inf")] + [1.0] * 15]
+    rows = [(k, v.tolist()) for k, v in enumerate(x)] + [(200 + k, v.tolist()) for k, v in enumerate(odd)] + [(100 + k, v) for k, v in enumerate(bad)] + [(150, [4.0, 4.0]), (151, [8.0, 8.0]), (152, [1.0, -1.0]), (None, x[3].tolist())]
+    got = {r["vec_id"]: r for r in vectors.link(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), block=8, few=few).collect()}
     assert len(got) == len(rows)
-    assert np.mean([got[k]["n_links"] == near[k].sum() for k in range(len(x))]) > 0.9
-    assert all(got[k]["n_links"] == 0 and got[k]["kept"] for k in (100, 101, 102, 103))
+    for ids, v in (([*range(len(x)), None], np.concatenate([x, x[3:4]])), (list(range(200, 208)), odd), ([150, 151, 152], np.array([[4.0, 4.0], [8.0, 8.0], [1.0, -1.0]]))):
+        u = v / np.linalg.norm(v, axis=1, keepdims=True)
+        near = u @ u.T >= 0.95
+        np.fill_diagonal(near, False)
+        assert near.any()
+        for i, k in enumerate(ids):
+            assert got[k]["n_links"] == near[i].sum()
+            reach, new = {i}, {i}
+            while new:
+                new = {int(j) for a in new for j in np.flatnonzero(near[a])} - reach
+                reach |= new
+            assert got[k]["component_id"] == min(ids[j] for j in reach if ids[j] is not None)
+    assert all(got[k]["n_links"] == 0 and got[k]["kept"] and got[k]["component_id"] == k for k in range(100, 106))
+    assert vectors.link(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
 def test_licenses(spark):
