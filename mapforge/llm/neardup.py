@@ -43,7 +43,7 @@ DEPTH = 8
 RECALL = 0.999
 QUERIES = 500
 QUERY_RUNS = 200_000
-BLOCK = 512
+BLOCK = 256
 SLICE_ROWS = 256
 #: Bytes of a minhash in a label.
 STEP = 2
@@ -104,15 +104,16 @@ def shingles(text: str | None, words: int = WORDS, table_: Words | None = None)
 @lru_cache(maxsize=4)
 def _coefficients(count: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(7)
-    return rng.integers(1, 2**63, count, np.uint64) | np.uint64(1), rng.integers(0, 2**63, count, np.uint64)
+    return rng.integers(1, 2**32, count, np.uint32) | np.uint32(1), rng.integers(0, 2**32, count, np.uint32)
 
 
 def labels(hashes: np.ndarray, trees: int = TREES, depth: int = DEPTH) -> np.ndarray:
     """The set's label in each tree: ``depth`` minhashes of two bytes."""
     a, b = _coefficients(trees * depth)
     low = np.full(trees * depth, np.iinfo(np.uint32).max, np.uint32)
-    for i in range(0, len(hashes), 1024):
-        low = np.minimum(low, ((hashes[i : i + 1024, None] * a + b) >> np.uint64(32)).astype(np.uint32).min(axis=0))
+    upper = (hashes >> np.uint64(32)).astype(np.uint32)
+    for i in range(0, len(upper), 512):  # products that fit the cache
+        low = np.minimum(low, (upper[i : i + 512, None] * a + b).min(axis=0))
     return (low & np.uint32(0xFFFF)).astype(">u2").reshape(trees, depth)
 
 
