@@ -221,3 +221,11 @@ def test_secrets_after_long_names_and_of_letters(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert {r["doc_id"] for r in credentials.candidates(df).collect()} == {1, 2, 3}
     assert {r["doc_id"] for r in credentials.scan(df).collect()} == {1, 2, 3}
+
+
+def test_very_long_lines_take_linear_work(spark):
+    line = "".join(random.Random(1).choices("abcdefgh é", k=300_000))
+    same = "a" * 100_000
+    rows = [(1, line), (2, line[:200_000] + "Z" + line[200_001:]), (3, line[:100] + line[101:]), (4, same), (5, same + "a"), (6, same[:-1] + "b"), (7, same[:-2] + "bb")]
+    got = {r["doc_id"]: r["removed_near"] for r in lines.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 0, 2: 1, 3: 1, 4: 0, 5: 1, 6: 1, 7: 1}  # 7 is one substitution from 6
