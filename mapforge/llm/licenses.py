@@ -6,10 +6,13 @@ not ensure a common run that fills a window. The index grows with the templates,
 parameter of bounded size, never with the corpus; it travels to the tasks as a broadcast variable.
 A document's word runs are looked up in the index; a hit proposes a template and a diagonal. For each
 diagonal with a hit outside the template's matches so far, a banded alignment (longest common word sequence within ``BAND`` words of the
-diagonal) gives the share of the template's words that are matched and the span in the text, in code
-points with exclusive end. Overlapping matches keep the one with most matched words.
+diagonal) gives the matched words and the span in the text, in code points with exclusive end. Coverage is the
+share of matched words among the template's and the words that the text puts between them, so words left out
+and words put in both cost. Versions and the words that tell license variants apart must agree: where
+one is missing or one too many, there is no match. Overlapping matches keep the one with most matched words.
 
-Null and empty texts give no rows; every match in whole texts is reported, repeated ones included.
+Null and empty texts give no rows; every match in whole texts is reported, repeated ones and repeated rows included. An
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -34,19 +37,30 @@ BAND = 8
 MIN_COVERAGE = 0.8
 SLICE_ROWS = 512
 _WORD = re.compile(r"[^\W_]+")
+_MORE = re.compile(r"\.([0-9]+)")
 
-#: Notices by which licenses are declared.
+#: Notices by which licenses are declared, and the wording of short licenses.
 TEMPLATES = {
     "Apache-2.0": ["Licensed under the Apache License, Version 2.0", "you may not use this file except in compliance with the License. You may obtain a copy of the License at", "distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied"],
-    "MIT": ["Released under the MIT License", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction", "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software"],
-    "GPL-3.0": ["This work is licensed under the GNU General Public License, version 3", "either version 3 of the License, or (at your option) any later version"],
-    "GPL-2.0": ["This work is licensed under the GNU General Public License, version 2", "either version 2 of the License, or (at your option) any later version"],
-    "CC-BY-NC-4.0": ["Licensed under CC BY-NC 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License"],
+    "MIT": ["Released under the MIT License", "Licensed under the MIT License", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction", "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software"],
+    "ISC": ["Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies"],
+    "GPL-3.0": ["This work is licensed under the GNU General Public License, version 3", "GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version", "either version 3 of the License, or (at your option) any later version"],
+    "GPL-2.0": ["This work is licensed under the GNU General Public License, version 2", "GNU General Public License as published by the Free Software Foundation, either version 2 of the License, or (at your option) any later version", "either version 2 of the License, or (at your option) any later version"],
+    "LGPL-2.1": ["This work is licensed under the GNU Lesser General Public License, version 2.1", "GNU Lesser General Public License as published by the Free Software Foundation, either version 2.1 of the License, or (at your option) any later version"],
+    "LGPL-3.0": ["This work is licensed under the GNU Lesser General Public License, version 3", "GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version"],
+    "AGPL-3.0": ["This work is licensed under the GNU Affero General Public License, version 3", "GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version"],
     "CC-BY-4.0": ["Licensed under CC BY 4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License"],
     "CC-BY-SA-4.0": ["Licensed under CC BY-SA 4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License"],
+    "CC-BY-ND-4.0": ["Licensed under CC BY-ND 4.0", "This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License"],
+    "CC-BY-NC-4.0": ["Licensed under CC BY-NC 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License"],
+    "CC-BY-NC-SA-4.0": ["Licensed under CC BY-NC-SA 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial-ShareAlike 4.0 International License"],
+    "CC-BY-NC-ND-4.0": ["Licensed under CC BY-NC-ND 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial-NoDerivatives 4.0 International License"],
     "BSD": ["Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"],
     "MPL-2.0": ["This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0"],
+    "Unlicense": ["This is free and unencumbered software released into the public domain"],
 }
+#: Words that tell variants of a license apart.
+VARIANTS = frozenset("nc nd sa noncommercial noderivatives noderivs sharealike lesser library affero lgpl agpl".split())
 
 
 def _hash(words: tuple[str, ...]) -> int:
@@ -65,25 +79,41 @@ def winnow(hashes: list[int], window: int) -> list[tuple[int, int]]:
 
 
 def banded_match(a: list[str], b: list[str], band: int) -> list[tuple[int, int]]:
-    """Pairs of a longest common sequence of ``a`` and ``b`` whose positions differ by at most ``band``."""
-    n, m = len(a), len(b)
-    best = np.zeros((n + 1, m + 1), np.int32)
+    """Pairs of a longest common sequence of ``a`` and ``b`` whose positions differ by at most ``band``.
+
+    Only the band is kept: column ``c`` of row ``i`` stands for the first ``i + c - band`` words of ``b``.
+    """
+    n, m, width = len(a), len(b), 2 * band + 1
+    best = np.zeros((n + 1, width + 1), np.int32)  # one column more, always 0, for what lies outside
+    inside = lambda i, j: 0 <= j - i + band < width
+    at = lambda i, j: int(best[i, j - i + band]) if inside(i, j) else 0
     for i in range(1, n + 1):
         for j in range(max(1, i - band), min(m, i + band) + 1):
-            best[i, j] = best[i - 1, j - 1] + 1 if a[i - 1] == b[j - 1] else max(best[i - 1, j] if abs(i - 1 - j) <= band else 0, best[i, j - 1] if abs(i - j + 1) <= band else 0)
+            best[i, j - i + band] = at(i - 1, j - 1) + 1 if a[i - 1] == b[j - 1] else max(at(i - 1, j), at(i, j - 1))
     i, pairs = n, []
-    j = max(range(max(0, n - band), min(m, n + band) + 1), key=lambda k: best[n, k], default=0)
-    while i and j and best[i, j]:
-        if a[i - 1] == b[j - 1] and best[i, j] == best[i - 1, j - 1] + 1:
+    j = max(range(max(0, n - band), min(m, n + band) + 1), key=lambda k: at(n, k), default=0)
+    while i and j and at(i, j):
+        if a[i - 1] == b[j - 1] and at(i, j) == at(i - 1, j - 1) + 1:
             pairs.append((i - 1, j - 1))
             i, j = i - 1, j - 1
-        elif abs(i - 1 - j) <= band and best[i - 1, j] == best[i, j]:
+        elif inside(i - 1, j) and at(i - 1, j) == at(i, j):
             i -= 1
         else:
             j -= 1
     return pairs[::-1]
 
 
+def _tells(word: str) -> bool:
+    return word in VARIANTS or word.isdigit()
+
+
+def agrees(template: list[str], found: list[str], pairs: list[tuple[int, int]]) -> bool:
+    """Whether versions and variant words of the template and of the matched stretch of the text are the same ones."""
+    ours, theirs = {i for i, _ in pairs}, {j for _, j in pairs}
+    missing = any(_tells(w) for i, w in enumerate(template) if i not in ours)
+    return not missing and not any(_tells(found[j]) for j in range(pairs[0][1], pairs[-1][1] + 1) if j not in theirs)
+
+
 @dataclass
 class Index:
     """Templates as words, their fingerprints, and all words that occur in a fingerprinted run."""
@@ -107,6 +137,12 @@ def build_index(templates: dict[str, list[str]] | None = None, run: int = RUN, w
     return Index(listed, dict(postings), words)
 
 
+def _goes_on(text: str, last: str, end: int) -> bool:
+    """Whether a version at the end of a match has another number behind it, as 2 in 2.1; 2.0 is 2."""
+    more = _MORE.match(text, end) if last.isdigit() else None
+    return more is not None and int(more[1]) != 0
+
+
 def find(text: str, index: Index, min_coverage: float = MIN_COVERAGE, run: int = RUN, band: int = BAND) -> list[tuple[str, int, int, float, int]]:
     """(license, start, end, coverage, matched words) of each match, in order of place."""
     low = text.lower()
@@ -131,11 +167,15 @@ def find(text: str, index: Index, min_coverage: float = MIN_COVERAGE, run: int =
             if all(any(a <= i and i + run - 1 <= b for a, b in done) for i in diagonals[d]):
                 continue
             base = max(0, d - band // 2)
-            pairs = banded_match(template, words[base : d + len(template) + band], band + d - base)
-            if len(pairs) >= min_coverage * len(template):
-                a, b = base + pairs[0][1], base + pairs[-1][1]
+            near = words[base : d + len(template) + band]
+            pairs = banded_match(template, near, band + abs(d - base))
+            if not pairs or not agrees(template, near, pairs):
+                continue
+            a, b = base + pairs[0][1], base + pairs[-1][1]
+            coverage = len(pairs) / (len(template) + (b - a + 1 - len(pairs)))
+            if coverage >= min_coverage and not _goes_on(low, words[b], spans[b][1]):
                 done.append((a, b))
-                found.append((name, spans[a][0], spans[b][1], len(pairs) / len(template), len(pairs)))
+                found.append((name, spans[a][0], spans[b][1], coverage, len(pairs)))
     kept: list[tuple[str, int, int, float, int]] = []
     for f in sorted(found, key=lambda f: (-f[4], -f[3], f[1], f[0])):
         if all(f[2] <= k[1] or k[2] <= f[1] for k in kept):
