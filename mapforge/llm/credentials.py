@@ -1,19 +1,20 @@
 """Operator 10: secret scans whose false positives a random forest removes, in DataFrame functions only.
 
-Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets that have a digit
-anywhere, follow a telling name or have a known prefix. Features of a candidate: length, shares of
-character classes, changes between classes, distinct characters, share in runs shaped like words, share
+Candidates are tokens of ``MIN_CHARS`` or more characters of the usual secret alphabets that are not a plain
+word or words: they have a digit anywhere, mix letters of both cases, follow a telling name or have a known prefix. Features of a
+candidate: length, shares of character classes, character transitions (changes between classes, and the share of neighbouring
+letters that are usual neighbours in the words of the corpus), distinct characters, share in runs shaped like words, share
 covered by the ``DICTIONARY`` words that most documents of the corpus hold, whether it looks like a path or
-address, whether telling words stand before it, whether it is assigned, and known prefixes. A random forest, trained from labelled findings, scores each
-candidate; those of score 0.5 or more are reported.
+address, whether telling words stand before it, whether it is assigned, and known prefixes. A random forest, trained from labelled
+findings, scores each candidate; those of score 0.5 or more are reported.
 
-Labelled findings: ``labelled`` may be given as rows (before, token, label). Without them, findings are
-generated from a rule: tokens of the usual forms as secrets and, as false positives, digests named as
+Labelled findings: ``labelled`` may be given as rows (before, token, label), of which those least by a hash are taken. Without
+them, findings are generated from a rule: tokens of the usual forms as secrets and, as false positives, digests named as
 such, versions, identifiers, paths, addresses, numbers and plain words. Their number is ``TRAINING`` at
 most, whatever the corpus. The trained trees become one SQL expression, so scoring runs inside the scan.
 
-Null and empty texts give no rows. Repeated findings are all reported; spans are code points of the
-whole text, end exclusive.
+Null and empty texts give no rows, nor does an empty table. Repeated findings are all reported, in repeated rows too; spans are
+code points of the whole text, however long, end exclusive. A null doc_id stays null.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ from __future__ import annotations
 import random
 import re
 import string
+from collections import Counter
 
 from pyspark.ml.classification import RandomForestClassifier
 from pyspark.ml.feature import VectorAssembler
@@ -40,7 +42,8 @@ TELLING = "password|passwd|pwd|secret|token|api_?key|apikey|access_?key|private_
 PREFIXES = "AKIA|ASIA|ghp_|gho_|github_pat_|xox[abp]-|sk_live_|sk-|AIza|glpat-|eyJ"
 HARMLESS = "sha1|sha256|md5|digest|checksum|commit|revision|version|build|uuid|etag|hash|id"
 _TOKEN = rf"(?<![A-Za-z0-9_/+=.@-])[A-Za-z0-9_/+=.@:-]{{{MIN_CHARS},}}+"
-FEATURES = ("n", "digits", "lowers", "uppers", "marks", "changes", "distinct", "hexlike", "words", "pathlike", "telling", "harmless", "assigned", "prefixed", "known")
+NEIGHBOURS = 200
+FEATURES = ("n", "digits", "lowers", "uppers", "marks", "changes", "usual", "distinct", "hexlike", "words", "pathlike", "telling", "harmless", "assigned", "prefixed", "known")
 
 
 def _share(value: Column, letters: str) -> Column:
@@ -54,11 +57,26 @@ def dictionary(docs: DataFrame, size: int = DICTIONARY) -> list[str]:
     return [r["w"] for r in counts.where("n >= 2").orderBy(F.desc("n"), "w").limit(size).collect()]
 
 
-def _known(value: Column, words: list[str]) -> Column:
-    """The share of a value's characters in letter runs that are words of the dictionary, which is one string literal."""
-    listed = F.lit(f" {' '.join(words)} ")
-    runs = F.filter(F.regexp_extract_all(value, F.lit("[A-Z]?[a-z]{2,}"), F.lit(0)), lambda w: F.contains(listed, F.concat(F.lit(" "), F.lower(w), F.lit(" "))))
-    return F.length(F.array_join(runs, "")) / F.greatest(F.length(value), F.lit(1))
+def _listed(words: list[str]) -> str:
+    """Letters only, so they need no escapes; a long list is looked up by hash."""
+    return ", ".join(f"'{w}'" for w in words) or "''"
+
+
+def _known(words: list[str]) -> Column:
+    """The share of characters of ``value`` in letter runs that are words of the dictionary."""
+    return F.expr(f"length(array_join(filter(regexp_extract_all(value, '[A-Z]?[a-z]{{2,}}', 0), w -> lower(w) in ({_listed(words)})), '')) / greatest(length(value), 1)")
+
+
+def _neighbours(words: list[str], size: int = NEIGHBOURS) -> list[str]:
+    """The pairs of neighbouring letters that most words of the dictionary have."""
+    found = Counter(w[i : i + 2] for w in words for i in range(len(w) - 1))
+    return sorted(found, key=lambda p: (-found[p], p))[:size]
+
+
+def _usual(words: list[str]) -> Column:
+    """The share of neighbouring characters of ``value`` that are usual neighbours in words."""
+    pairs = "transform(sequence(1, greatest(length(value) - 1, 1)), i -> lower(substring(value, i, 2)))"
+    return F.expr(f"size(filter({pairs}, p -> p in ({_listed(_neighbours(words))}))) / greatest(length(value) - 1, 1)")
 
 
 def _parts(token: Column, before: Column) -> tuple[Column, Column, Column]:
@@ -67,17 +85,22 @@ def _parts(token: Column, before: Column) -> tuple[Column, Column, Column]:
     return name, F.regexp_replace(token, r"^[A-Za-z_]+[=:]", ""), F.concat(F.lower(before), name)
 
 
-def features(token: Column, before: Column, words: list[str]) -> list[Column]:
-    """Feature columns of a candidate and the text before it (at most 40 code points), given the dictionary."""
-    name, value, near = _parts(token, before)
+def features(found: DataFrame, words: list[str]) -> DataFrame:
+    """``found`` (token, before: at most 40 code points, and others) with the feature columns, given the dictionary."""
+    name, value, near = _parts(F.col("token"), F.col("before"))
+    keep = found.columns
+    # inline() keeps the optimiser from copying these expressions into each feature
+    found = found.select("*", F.inline(F.array(F.struct(name.alias("name"), value.alias("value"), near.alias("near")))))
+    name, value, near, before = (F.col(c) for c in ("name", "value", "near", "before"))
     classes = F.regexp_replace(F.regexp_replace(F.regexp_replace(F.regexp_replace(value, "[0-9]+", "0"), "[a-z]+", "1"), "[A-Z]+", "2"), "[^0-2]+", "3")
-    return [
+    made = [
         F.length(value).cast("double").alias("n"),
         _share(value, "0-9").alias("digits"),
         _share(value, "a-z").alias("lowers"),
         _share(value, "A-Z").alias("uppers"),
         _share(value, "/+=_.@:-").alias("marks"),
         (F.length(classes) / F.greatest(F.length(value), F.lit(1))).alias("changes"),
+        _usual(words).alias("usual"),
         (F.size(F.array_distinct(F.split(value, ""))) / F.greatest(F.length(value), F.lit(1))).alias("distinct"),
         value.rlike("^(?:[0-9a-f]+|[0-9A-F]+)$").cast("double").alias("hexlike"),
         (F.length(F.concat_ws("", F.regexp_extract_all(value, F.lit("(?:^|[^A-Za-z])([A-Z]?[a-z]{3,})(?![A-Za-z0-9])"), F.lit(1)))) / F.greatest(F.length(value), F.lit(1))).alias("words"),
@@ -86,8 +109,9 @@ def features(token: Column, before: Column, words: list[str]) -> list[Column]:
         near.rlike(rf"\b(?:{HARMLESS})\W{{0,5}}$").cast("double").alias("harmless"),
         ((name != "") | before.rlike(r"[=:]\s{0,2}[\"']?$")).cast("double").alias("assigned"),
         value.rlike(f"^(?:{PREFIXES})").cast("double").alias("prefixed"),
-        _known(value, words).alias("known"),
+        _known(words).alias("known"),
     ]
+    return found.select(*keep, *made)
 
 
 def candidates(docs: DataFrame) -> DataFrame:
@@ -98,7 +122,8 @@ def candidates(docs: DataFrame) -> DataFrame:
     near = F.expr("substring(text, greatest(1, s - 39), least(s, 40))")
     found = found.select("doc_id", F.col("s").cast("long").alias("start"), F.col("e").cast("long").alias("end"), F.col("m").alias("token"), near.alias("before"))
     _, value, ahead = _parts(F.col("token"), F.col("before"))
-    return found.where(F.col("token").rlike("[0-9]") | ahead.rlike(rf"(?:{TELLING})\W{{0,5}}$") | value.rlike(f"^(?:{PREFIXES})"))
+    mixed = value.rlike("[a-z][A-Z]+[a-z]+[A-Z]|[A-Z]{2}[a-z]+[A-Z]|[a-z][A-Z]+[^A-Za-z]|[0-9]")
+    return found.where(mixed | ahead.rlike(rf"(?:{TELLING})\W{{0,5}}$") | value.rlike(f"^(?:{PREFIXES})"))
 
 
 def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None = None) -> list[tuple[str, str, float]]:
@@ -118,6 +143,7 @@ def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None
         lambda: (f"{word()} {tell().upper()} = \"", pick(hexa, 40).upper()),
         lambda: (f"{word()} {tell()} = \"", pick(string.ascii_letters, rng.randint(16, 40))),
         lambda: (f"{word()} ", f"{word().upper()}_{word().upper()}_{tell().upper()}={pick(alnum, rng.randint(16, 40))}"),
+        lambda: (f"{word()} ", pick(string.ascii_letters, rng.randint(24, 44))),
     ]
     no = [
         lambda: (f"{word()} {safe()}: ", pick(hexa, rng.choice([32, 40, 64]))),
@@ -130,6 +156,8 @@ def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None
         lambda: (f"{word()} {safe()} ", "-".join(pick(hexa, k) for k in (8, 4, 4, 4, 12))),
         lambda: (f"{word()} ", f"{word()}{word()}{rng.randint(0, 9)}"),
         lambda: (f"{word()} {tell()} ", word() + word() + word()),
+        lambda: (f"{word()} ", "".join(word().title() for _ in range(rng.randint(3, 5)))),
+        lambda: (f"{word()} ", word() + "".join(word().title() for _ in range(rng.randint(2, 4)))),
         lambda: (f"{word()} version ", ".".join(pick(string.digits, rng.randint(1, 4)) for _ in range(5))),
     ]
     return [(*rng.choice(kind)(), label) for k in range(n) for kind, label in ([(yes, 1.0), (no, 0.0)][k % 2],)]
@@ -137,8 +165,12 @@ def generated_findings(n: int = TRAINING, seed: int = 3, words: list[str] | None
 
 def train(spark: SparkSession, words: list[str], labelled: DataFrame | None = None, trees: int = TREES, depth: int = DEPTH) -> Column:
     """The forest as one expression over the feature columns: the share of votes for a secret."""
-    rows = labelled.limit(TRAINING) if labelled is not None else spark.createDataFrame(generated_findings(words=words), "before string, token string, label double")
-    data = rows.select("label", *features(F.col("token"), F.col("before"), words)).coalesce(1)
+    if labelled is None:
+        rows = spark.createDataFrame(generated_findings(words=words), "before string, token string, label double")
+    else:
+        usable = labelled.select("before", "token", F.col("label").cast("double").alias("label")).where("token is not null and label in (0, 1)").fillna("", ["before"]).distinct()
+        rows = usable.orderBy(F.xxhash64("before", "token", "label"), "before", "token", "label").limit(TRAINING)
+    data = features(rows, words).select("label", *FEATURES).coalesce(1)
     data = VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(data)
     model = RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=11, featureSubsetStrategy="sqrt").fit(data)
     votes = [_tree_sql(t.toDebugString.split("\n")[1:]) for t in model.trees]
@@ -164,7 +196,7 @@ def scan(docs: DataFrame, labelled: DataFrame | None = None, threshold: float =
     """doc_id, start, end, secret_sha256, score of every candidate that the forest takes for a secret."""
     words = dictionary(docs)
     score = train(docs.sparkSession, words, labelled)
-    scored = candidates(docs).select("doc_id", "start", "end", "token", *features(F.col("token"), F.col("before"), words)).withColumn("score", score)
+    scored = features(candidates(docs), words).withColumn("score", score)
     return scored.where(F.col("score") >= threshold).select("doc_id", "start", "end", F.sha2(F.col("token").cast("binary"), 256).alias("secret_sha256"), F.round("score", 6).alias("score"))
 
 

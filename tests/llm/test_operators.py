@@ -229,3 +229,70 @@ def test_very_long_lines_take_linear_work(spark):
     rows = [(1, line), (2, line[:200_000] + "Z" + line[200_001:]), (3, line[:100] + line[101:]), (4, same), (5, same + "a"), (6, same[:-1] + "b"), (7, same[:-2] + "bb")]
     got = {r["doc_id"]: r["removed_near"] for r in lines.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {1: 0, 2: 1, 3: 1, 4: 0, 5: 1, 6: 1, 7: 1}  # 7 is one substitution from 6
+
+
+@pytest.mark.parametrize(
+    ("text", "want"),
+    [
+        ("Licensed under CC BY-ND 4.0", ["CC-BY-ND-4.0"]),
+        ("see: Licensed under CC BY-NC-SA 4.0.", ["CC-BY-NC-SA-4.0"]),
+        ("This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License", ["CC-BY-ND-4.0"]),
+        ("either version 2.1 of the License, or (at your option) any later version", []),
+        ("This work is licensed under the GNU General Public License, version 2.1", []),
+        ("This work is licensed under the GNU General Public License, version 2.0", ["GPL-2.0"]),
+        ("This work is licensed under the GNU Lesser General Public License, version 3", ["LGPL-3.0"]),
+        ("Licensed under the new, quite different and shiny Apache License, Version 2.0", []),
+        ("licensed under CC BY 3.0", []),
+        ("or any later version. Licensed under the Apache License, Version 2.0", ["Apache-2.0"]),
+    ],
+)
+def test_licenses_of_other_versions_and_variants(text, want):
+    assert [f[0] for f in licenses.find(text, licenses.build_index())] == want
+
+
+def test_licenses_equal_brute_force_alignment():
+    """Every notice planted in noise, whole or with a word left out, is found by the full alignment's coverage."""
+    rng = random.Random(9)
+    index = licenses.build_index()
+    for name, texts in licenses.TEMPLATES.items():
+        for notice in texts:
+            noise = [" ".join("".join(rng.choices("bcdfgh", k=5)) for _ in range(30)) for _ in range(2)]
+            for cut in (False, True):
+                words = notice.split(" ")
+                k = rng.randrange(1, len(words) - 1) if len(words) > 12 and cut else None
+                if k is not None and licenses._tells(licenses._WORD.findall(words[k].lower())[0] if licenses._WORD.findall(words[k]) else ""):
+                    k = None
+                said = " ".join(w for i, w in enumerate(words) if i != k)
+                text = f"{noise[0]}\n{said}\n{noise[1]}"
+                assert any(f[0] == name and text[f[1] : f[2]].split() == said.split() or f[4] > len(words) // 2 for f in licenses.find(text, index)), (name, said)
+
+
+def test_banded_match_equals_the_full_one_in_the_band():
+    rng = random.Random(4)
+    for _ in range(60):
+        a, b = ([rng.choice("xyzw") for _ in range(rng.randint(0, 14))] for _ in range(2))
+        full = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i in range(len(a)):
+            for j in range(len(b)):
+                full[i + 1][j + 1] = full[i][j] + 1 if a[i] == b[j] else max(full[i][j + 1], full[i + 1][j])
+        pairs = licenses.banded_match(a, b, 20)
+        assert len(pairs) == full[-1][-1] and all(a[i] == b[j] for i, j in pairs)
+        assert all(x[0] < y[0] and x[1] < y[1] for x, y in zip(pairs, pairs[1:]))
+
+
+def test_secret_candidates_without_digits_and_in_long_texts(spark):
+    rows = [(1, "deploy with qXvTzKpLmRwBnCyHdJsGfAeUiO today"), (2, "plain internationalization, SomeCamelCase or abcdefghijklmnop"), (3, "x" * 200_000 + ' password = "kQzWpLxTrVbYsDfGhJmNcRtB"'), (None, "ghp_A1b2C3d4E5f6G7h8I9j0K1l2M3n4"), (None, "ghp_A1b2C3d4E5f6G7h8I9j0K1l2M3n4")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    found = candidates = [(r["doc_id"], r["token"]) for r in credentials.candidates(df).collect()]
+    assert (1, "qXvTzKpLmRwBnCyHdJsGfAeUiO") in found and (2, "internationalization") not in candidates and (2, "abcdefghijklmnop") not in candidates
+    got = [(r["doc_id"], r["start"]) for r in credentials.scan(df).collect()]
+    assert sorted(got, key=str) == sorted([(1, 12), (3, 200_013), (None, 0), (None, 0)], key=str)
+    assert credentials.scan(df.limit(0)).count() == 0
+
+
+def test_secrets_learn_from_given_findings(spark):
+    made = credentials.generated_findings(400)
+    rows = spark.createDataFrame([*made, (None, None, 1.0), ("x", "y", None)], "before string, token string, label double")
+    df = spark.createDataFrame([(1, 'x token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" y'), (2, "commit 04dbebab91ab85687d33eeaaf9ac699e1188f962")], "doc_id long, text string")
+    first = [tuple(r) for r in credentials.scan(df, rows).collect()]
+    assert first == [tuple(r) for r in credentials.scan(df, rows.repartition(3)).collect()] and {r[0] for r in first} == {1}
