@@ -5,10 +5,12 @@ digest. The index table carries digest, shard, offset and length. Metadata colum
 reads of the first bytes of a member; payload features from a range read of the whole member. Copies
 met by one task share a member; the index keeps one place for each digest, so copies in the shards
 of other tasks are never referenced. A shard gets a new name with each attempt, and only shards of
-attempts that succeeded enter the index, so a lost executor leaves at most an unused file.
+attempts that succeeded enter the index; what failed or superseded attempts left is removed once the
+index is written.
 
 The stored form is an 8-bit greyscale PNG of ``WIDTH`` columns: lossless, with its metadata in the
-first 33 bytes. Null text counts as empty. Equal texts give equal values.
+first 33 bytes. Null text counts as empty. Equal texts give equal values, repeated rows included; a very long text
+is a tall image. An empty table gives no shard and no rows.
 """
 
 from __future__ import annotations
@@ -116,7 +118,20 @@ def write_shards(docs: DataFrame, key: str = "doc_id", text: str = "text", folde
             out.write(bytes(2 * tarfile.BLOCKSIZE))
             out.close()
 
-    return persist_table(docs.select(F.col(key).alias("key"), text).mapInArrow(run, schema), "media-rows")
+    rows = persist_table(docs.select(F.col(key).alias("key"), text).mapInArrow(run, schema), "media-rows")
+    sweep(folder, {r["shard"] for r in rows.select("shard").distinct().collect()})  # a name for each task
+    return rows
+
+
+def sweep(folder: str, used: set[str]) -> list[str]:
+    """Remove shards that no index row names: those of attempts that failed or that another attempt superseded."""
+    store, root = fs.FileSystem.from_uri(folder)
+    listed = store.get_file_info(fs.FileSelector(root, allow_not_found=True))
+    names = {f.rsplit("/", 1)[1] for f in used}
+    gone = [f.path for f in listed if f.base_name.endswith(".tar") and f.base_name not in names]
+    for path in gone:
+        store.delete_file(path)
+    return gone
 
 
 def index(rows: DataFrame) -> DataFrame:
@@ -131,15 +146,14 @@ def header_columns(places: DataFrame) -> DataFrame:
 
 
 def payload_columns(places: DataFrame) -> DataFrame:
-    """``places`` with what the stored bytes themselves show, and the header's columns."""
+    """``places`` with what the stored bytes themselves show."""
 
     def look(f, r: dict) -> tuple:
         data = _read(f, r["offset"], r["length"])
-        width, height, depth, colour = read_header(data[:HEADER_BYTES])
         got = from_png(data)
         seen = np.bincount(np.frombuffer(got, np.uint8), minlength=256)
         share = seen[seen > 0] / len(got)
-        feature = f"png {width}x{height}x{depth} mean={np.dot(seen, np.arange(256)) / len(got):.4f} entropy={abs(-(share * np.log2(share)).sum()):.4f} levels={len(share)}"
+        feature = f"mean={np.dot(seen, np.arange(256)) / len(got):.4f} entropy={abs(-(share * np.log2(share)).sum()):.4f} levels={len(share)}"
         return len(got), hashlib.sha256(got).hexdigest(), zlib.crc32(got[-32:]), len(data), hashlib.sha256(data).hexdigest(), feature
 
     return _ranges(places, "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string", look)
@@ -185,7 +199,9 @@ def op6_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = write_shards(table(spark, sf_dir, "documents", "doc_id", "text"))
     # Sorted by place, neighbouring index rows read neighbouring bytes of one shard.
     places = index(rows).repartitionByRange("shard", "offset").sortWithinPartitions("shard", "offset")
-    seen = persist_table(payload_columns(places).select("digest", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"), "media-seen")
+    # Headers first, by ranges of HEADER_BYTES alone, then whole members
+    seen = payload_columns(header_columns(places)).withColumn("feature", F.format_string("png %dx%dx%d colour=%d %s", "width", "height", "depth", "colour", "feature"))
+    seen = persist_table(seen.select("digest", "width", "height", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"), "media-seen")
     return rows.select(F.col("key").alias("doc_id"), "digest", "n_bytes").join(seen, "digest").select(
-        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"
+        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "width", "height"
     )
