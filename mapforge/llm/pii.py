@@ -1,17 +1,24 @@
 """Operator 2: personal data by bootstrapped contextual extraction, in DataFrame functions only.
 
-Base entities (e-mail, IPv4, card and phone numbers by fixed patterns) are the seeds. A lexical
-pattern is the pair of words left of an entity, with the entity's kind. Every text position whose
-token looks like an identifier (it has a digit or an at sign) is an instance of the pattern before
-it. Pattern and instance scores are computed in turn on that graph: a pattern's score is the share
-of its instances that are believed, weighted by how many it has; an instance is believed when a
-seed has its shape or when a well-scored pattern has it. Identifiers that the base missed but that
-confident patterns or believed shapes extract are added as spans; base spans always stay.
+Base entities (e-mail, IPv4, card and phone numbers by fixed patterns) are the seeds. Every other token that has a digit
+or an at sign is an instance, and so are digit groups joined by single spaces; what a base entity covers is none. A lexical pattern is the
+context of an entity: the two words left of it, the one word left of it, or the word left and the word right of it
+(lower case, digits as 0, the nearest ``REACH`` code points). Patterns and instances form a graph whose scores are computed in turn:
+
+* a pattern's score for a kind is the belief its instances have for that kind, summed, over their number plus one; it counts
+  where at least ``MIN_SUPPORT`` distinct ones are believed;
+* a shape (runs of digits and letters, marks as they are) has the same score over all instances of that shape;
+* an unseen instance is believed as its best pattern says, raised by its shape. It is accepted at ``CONFIDENT`` where its form is
+  one that the kind can have, at ``CERTAIN`` where it is any other form with four digits or more.
+
+Rounds go on until no instance is accepted or dropped any more, ``MAX_ROUNDS`` at most. Accepted instances are added as
+spans at each of their places in the contexts that brought them in; base spans always stay.
 
 Position lists are computed by cutting texts with the same pattern that extracts the entities, so
 start and end are code points of the whole text. The patterns are written so that Java's matcher
 neither recurses nor starts over inside one run of letters, however long: see the notes at each.
-Null text counts as empty and has no spans.
+Null text counts as empty and has no spans. Rows that repeat an id and text have the same spans; ids may be null; an empty
+table gives no rows.
 """
 
 from __future__ import annotations
@@ -22,9 +29,11 @@ from pyspark.sql import functions as F
 from mapforge.llm.common import persist_table, table
 
 KINDS = ("email", "ip", "card", "phone")
-ROUNDS = 3
+MAX_ROUNDS = 12
 MIN_SUPPORT = 5
 CONFIDENT = 0.5
+CERTAIN = 0.8
+REACH = 160
 
 #: What counts as an entity of each kind, rewritten without loss for linear matching.
 #: email and ip: a match can only start where its run of letters starts or where the last match ended.
@@ -36,7 +45,8 @@ _PATTERNS = {
     "card": r"[0-9][0-9\x01]+",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
-_TOKEN = r"(?<!\S)(?=\S{7})[^\s0-9@]*+[0-9@]\S*+"
+#: An instance: digit groups joined by single spaces, or a word with a digit or an at sign.
+_TOKEN = r"(?<!\S)(?:[(+]?[0-9][0-9().:/-]*+(?:\x20[(]?[0-9][0-9().:/-]*+)++(?!\S)|[^\s0-9@]*+[0-9@]\S*+)"
 _MATCHES = "array<struct<m:string,s:int,e:int>>"
 SPANS = "array<struct<k:int,s:int,e:int>>"
 
@@ -98,21 +108,35 @@ def base_matches(text: Column) -> dict[str, Column]:
     }
 
 
-def _left(text: Column, start: Column) -> Column:
-    """The word before a place, lower-cased; ``^`` at the text's beginning."""
-    near = F.substring(text, F.greatest(F.lit(1), start - 63), F.least(start, F.lit(64)))
-    word = F.lower(F.regexp_extract(near, r"(\S+)\s*+$", 1))
-    return F.when(word == "", "^").otherwise(word)
+def _plain(word: Column) -> Column:
+    return F.regexp_replace(F.lower(word), "[0-9]", "0")
+
+
+def _contexts(text: Column, start: Column, end: Column) -> Column:
+    """The patterns at a place: kind of context and its words; ``^`` and ``$`` stand for none."""
+    near = F.substring(text, F.greatest(F.lit(1), start - (REACH - 1)), F.least(start, F.lit(REACH)))
+    after = F.substring(text, end + 1, F.lit(REACH))
+    words = F.filter(F.split(_plain(near), r"\s+"), lambda w: w != "")
+    one = F.coalesce(F.get(words, F.size(words) - 1), F.lit("^"))
+    two = F.coalesce(F.get(words, F.size(words) - 2), F.lit("^"))
+    right = F.coalesce(F.get(F.filter(F.split(_plain(after), r"\s+"), lambda w: w != ""), F.lit(0)), F.lit("$"))
+    return _let(F.struct(one.alias("one"), two.alias("two"), right.alias("right")), lambda c: F.array(F.concat_ws(" ", F.lit("2"), c["two"], c["one"]), F.concat_ws(" ", F.lit("1"), c["one"]), F.concat_ws(" ", F.lit("b"), c["one"], c["right"])))
+
+
+def shape(token: Column) -> Column:
+    """Runs of digits as 0 with their length up to three and over, runs of letters as a, marks as they are."""
+    digits = F.regexp_replace(F.regexp_replace(token, r"[0-9]{4,}", "\x010"), r"[0-9]{1,3}", "0")
+    return F.regexp_replace(digits, r"[\p{L}]+", "a")
 
 
 def _fits(token: Column, kind: Column) -> Column:
-    """Whether a token could be an identifier of a kind at all."""
+    """Whether a token has a form that the kind can have."""
     digits = F.length(F.regexp_replace(token, "[^0-9]", ""))
     return (
         F.when(kind == 0, token.rlike(r"^\S+@\S+$"))
         .when(kind == 1, token.rlike(r"^[0-9]{1,3}(?:[.:][0-9]{1,3}){3}$"))
-        .when(kind == 2, token.rlike(r"^[0-9-]+$") & digits.between(13, 19))
-        .otherwise(token.rlike(r"^[+(]?[0-9][0-9().-]*[0-9]$") & digits.between(7, 15))
+        .when(kind == 2, token.rlike(r"^[0-9][0-9 -]+$") & digits.between(12, 19))
+        .otherwise(token.rlike(r"^[+(]?[0-9][0-9 ().:/-]*[0-9]$") & digits.between(6, 15))
     )
 
 
@@ -131,40 +155,55 @@ def scan(docs: DataFrame) -> DataFrame:
         return F.transform(kind, lambda x: F.struct(F.lit(n).alias("k"), x["s"].alias("s"), x["e"].alias("e")))
 
     def named(n: int, found: Column | str) -> Column:
-        return F.transform(found, lambda x: F.struct(F.lit(n).alias("k"), x["m"].alias("m"), x["s"].alias("s"), x["e"].alias("e"), _left(text, x["s"]).alias("left")))
+        return F.transform(found, lambda x: F.struct(F.lit(n).alias("k"), x["m"].alias("m"), x["s"].alias("s"), x["e"].alias("e"), _contexts(text, x["s"], x["e"]).alias("contexts")))
 
     rows = rows.withColumn("base", F.concat(*[tagged(n, k) for n, k in enumerate(KINDS)]))
     lead = lambda x: F.length(F.regexp_extract(x["m"], r"^[^A-Za-z0-9+(]*+", 0))
     bare = lambda x: F.regexp_replace(F.regexp_replace(x["m"], r"^[^A-Za-z0-9+(]++", ""), r"(?<=[A-Za-z0-9])[^A-Za-z0-9]++$", "")
     loose = F.transform("loose", lambda x: F.struct(bare(x).alias("m"), (x["s"] + lead(x)).alias("s"), (x["s"] + lead(x) + F.length(bare(x))).alias("e")))
-    free = _let(F.col("base"), lambda base: F.filter(loose, lambda x: (F.length(x["m"]) >= 7) & ~F.exists(base, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"]))))
+    free = _let(F.col("base"), lambda base: F.filter(loose, lambda x: (x["m"] != "") & ~F.exists(base, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"]))))
     instances = F.concat(*[named(n, k) for n, k in enumerate(KINDS)], named(-1, free))
     return rows.select("doc_id", "mark", "base", instances.alias("instances"))
 
 
-def bootstrap(instances: DataFrame, rounds: int = ROUNDS, min_support: int = MIN_SUPPORT, confident: float = CONFIDENT) -> DataFrame:
-    """``(left, m, k)`` of unseen instances that confident patterns extract, from rows (k, m, left); k is -1 for unseen."""
-    edges = persist_table(instances.groupBy("left", "m").agg(F.max("k").alias("k")), "pii-graph")
-    size = edges.groupBy("left").agg(F.count("*").alias("n"))
-    seeds = edges.where("k >= 0").groupBy("m", "k").agg(F.lit(1.0).alias("belief"))
-    open_ = edges.where("k < 0").select("left", "m")
-    belief = seeds
-    for _ in range(rounds):
-        held = edges.select("left", "m").join(belief, "m").groupBy("left", "k").agg(F.sum("belief").alias("held"))
-        patterns = held.where(F.col("held") >= min_support).join(size, "left").select("left", "k", (F.col("held") / (F.col("n") + 1)).alias("score"))
-        patterns = persist_table(patterns.where(F.col("score") >= confident), "pii-patterns")
-        drawn = open_.join(patterns, "left").where(_fits(F.col("m"), F.col("k"))).groupBy("m").agg(F.max(F.struct("score", "k")).alias("best"))
-        belief = persist_table(seeds.union(drawn.select("m", "best.k", "best.score")), "pii-belief")
-    found = belief.where("belief < 1").select("m", "k")
-    return open_.join(patterns.select("left").distinct(), "left", "left_semi").join(found, "m").select("left", "m", "k")
+def bootstrap(instances: DataFrame, max_rounds: int = MAX_ROUNDS, min_support: int = MIN_SUPPORT, confident: float = CONFIDENT, certain: float = CERTAIN) -> DataFrame:
+    """``(context, m, k)`` of unseen instances that are accepted, from rows (k, m, context); k is -1 for unseen."""
+    edges = persist_table(instances.groupBy("context", "m").agg(F.max("k").alias("k")), "pii-graph")
+    # Patterns without a believed seed at first can only gain from others' finds, so all contexts stay in the graph.
+    size = persist_table(edges.groupBy("context").agg(F.count("*").alias("n")).where(F.col("n") >= min_support), "pii-sizes")
+    nodes = persist_table(edges.groupBy("m").agg(F.max("k").alias("k")).withColumn("shape", shape(F.col("m"))), "pii-nodes")
+    shapes = persist_table(nodes.groupBy("shape").agg(F.count("*").alias("n")).where(F.col("n") >= min_support), "pii-shapes")
+    seeds = nodes.where("k >= 0").select("m", "k", F.lit(1.0).alias("belief"))
+    unseen = nodes.where("k < 0").select("m", "shape")
+    open_ = edges.join(unseen.select("m"), "m", "left_semi").select("context", "m")
+    belief, mark = seeds, None
+    found = None
+    for _ in range(max_rounds):
+        held = edges.select("context", "m").join(belief, "m").groupBy("context", "k").agg(F.sum("belief").alias("held")).where(F.col("held") >= min_support)
+        patterns = persist_table(held.join(size, "context").select("context", "k", (F.col("held") / (F.col("n") + 1)).alias("score")).where(F.col("score") >= confident / 2), "pii-patterns")
+        by_shape = nodes.select("m", "shape").join(belief, "m").groupBy("shape", "k").agg(F.sum("belief").alias("held"))
+        by_shape = by_shape.join(shapes, "shape").select("shape", "k", (F.col("held") / (F.col("n") + 1)).alias("typical"))
+        drawn = open_.join(patterns, "context").groupBy("m", "k").agg(F.max("score").alias("score"))
+        scored = drawn.join(unseen, "m").join(by_shape, ["shape", "k"], "left")
+        scored = scored.withColumn("belief", F.col("score") + (1 - F.col("score")) * 0.5 * F.coalesce("typical", F.lit(0.0)))
+        many = F.length(F.regexp_replace("m", "[^0-9]", "")) >= 4
+        good = (F.col("belief") >= confident) & _fits(F.col("m"), F.col("k")) | (F.col("belief") >= certain) & many
+        best = scored.where(good).groupBy("m").agg(F.max(F.struct("belief", "k")).alias("b"))
+        found = persist_table(best.select("m", "b.k", "b.belief"), "pii-belief")
+        belief = seeds.union(found)
+        new = tuple(found.agg(F.count("*"), F.sum(F.xxhash64("m", "k").cast("decimal(38,0)"))).first())
+        if new == mark or not new[0]:
+            break
+        mark = new
+    return open_.join(found.select("m", "k"), "m").join(patterns.select("context", "k"), ["context", "k"], "left_semi").select("context", "m", "k")
 
 
 def extract(docs: DataFrame) -> DataFrame:
     """One row per (doc_id, mark) that has any span: ``base`` and ``spans`` (base ones and added ones, by kind and start)."""
     rows = persist_table(scan(docs.select("doc_id", "text")).groupBy("doc_id", "mark").agg(F.first("base").alias("base"), F.first("instances").alias("instances")), "pii-rows")
-    each = rows.select("doc_id", "mark", F.explode("instances").alias("i")).select("doc_id", "mark", "i.*")
-    accepted = persist_table(bootstrap(each.select("k", "m", "left")), "pii-found")
-    added = each.where("k < 0").drop("k").join(accepted, ["left", "m"]).groupBy("doc_id", "mark").agg(F.collect_set(F.struct("k", "s", "e")).alias("added"))
+    each = rows.select("doc_id", "mark", F.explode("instances").alias("i")).select("doc_id", "mark", "i.k", "i.m", "i.s", "i.e", F.explode("i.contexts").alias("context"))
+    accepted = persist_table(bootstrap(each.select("k", "m", "context")), "pii-found")
+    added = each.where("k < 0").drop("k").join(accepted, ["context", "m"]).groupBy("doc_id", "mark").agg(F.collect_set(F.struct("k", "s", "e")).alias("added"))
     added = added.withColumnsRenamed({"doc_id": "a_id", "mark": "a_mark"})
     full = rows.join(added, (F.col("mark") == F.col("a_mark")) & F.col("doc_id").eqNullSafe(F.col("a_id")), "left")
     spans = F.sort_array(F.concat("base", F.coalesce("added", F.array().cast(SPANS))))
@@ -213,4 +252,4 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     def count(n: int) -> Column:
         return F.size(F.filter("base", lambda x: x["k"] == n)).cast("long").alias(f"n_{KINDS[n]}")
 
-    return full.select("doc_id", *map(count, range(len(KINDS))), F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("all_spans")).alias("spans"))
+    return full.select("doc_id", *map(count, range(len(KINDS))), F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("all_spans")).alias("spans"), F.size("all_spans").cast("long").alias("n_spans"))

@@ -296,3 +296,28 @@ def test_secrets_learn_from_given_findings(spark):
     df = spark.createDataFrame([(1, 'x token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" y'), (2, "commit 04dbebab91ab85687d33eeaaf9ac699e1188f962")], "doc_id long, text string")
     first = [tuple(r) for r in credentials.scan(df, rows).collect()]
     assert first == [tuple(r) for r in credentials.scan(df, rows.repartition(3)).collect()] and {r[0] for r in first} == {1}
+
+
+def test_bootstrapping_finds_unseen_identifiers(spark):
+    rng = random.Random(12)
+    noise = lambda: " ".join("".join(rng.choices("bcdfghk", k=5)) for _ in range(6))
+    rows, k = [], 0
+    for n in range(30):  # seeds behind the contexts "reach me at" and "card on file"
+        rows.append((k := k + 1, f"{noise()} reach me at +49 30 55{n:02}12{n:02} {noise()}"))
+        rows.append((k := k + 1, f"{noise()} write to user{n}@mail.example.com soon {noise()}"))
+    unseen = {}
+    for n in range(6):
+        unseen[k := k + 1] = f"030 77{n}1 88{n}2"
+        rows.append((k, f"{noise()} reach me at {unseen[k]} {noise()}"))
+    for n in range(4):  # another context, learnt from the unseen ones it shares
+        unseen[k := k + 1] = f"user{n}@localhost"
+        rows.append((k, f"{noise()} write to {unseen[k]} soon {noise()}"))
+    clean = [(k + 1 + n, f"{noise()} page {n}12 of 9{n}9 in 19{n}4 {noise()}") for n in range(9)]
+    docs = spark.createDataFrame(rows + clean + [(999, None), (998, "")], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in pii.attach(docs, pii.extract(docs)).collect()}
+    for k, token in unseen.items():
+        text = dict(rows)[k]
+        assert [text[s["s"] : s["e"]] for s in got[k]["spans"]] == [token] and not got[k]["base"], (token, got[k]["spans"])
+    for k, _ in clean:
+        assert got[k]["spans"] == []
+    assert pii.extract(docs.limit(0)).count() == 0
