@@ -111,18 +111,18 @@ class Vocabulary:
         return [norm[a:b] for _, (a, b) in self.tokenizer.pre_tokenizer.pre_tokenize_str(norm)]
 
     def cut(self, text: str | None) -> list[str]:
-        """Normalised words of a text, special tokens as they are: no token crosses from one into the next."""
+        """Normalised words of a text, special tokens with a space before them: no token crosses from one into the next."""
         if not text:
             return []
         parts = self.split.split(text)
         if len(parts) == 1:
             return self._cut(text)
-        return [w for part in parts if part for w in ([part] if part in self.specials else self._cut(part))]
+        return [w for part in parts if part for w in ([f" {part}"] if part in self.specials else self._cut(part))]
 
     def word_ids(self, word: str) -> bytes:
         """Ids of a word as little-endian unsigned 32-bit integers."""
-        if word in self.specials:
-            return np.array([self.specials[word]], "<u4").tobytes()
+        if word[0] == " ":
+            return np.array([self.specials[word[1:]]], "<u4").tobytes()
         ids: list[int] = []
         for w in [word] if _PLAIN.search(word) else _WORDS.findall(word):
             piece = "".join([self.letters[b] for b in w.encode()])
