@@ -43,9 +43,9 @@ VOCABULARY = "word_bpe_49k.json"
 BLOCK_WORDS = 100_000
 BLOCK_POSITIONS = 1_500_000
 #: Bytes of input for each bucket of the word table.
-BUCKET_BYTES = 16_000_000
-#: Bytes of words and ids that a task's own table (see ``WordTable``) may hold.
-TABLE_BYTES = 8_000_000
+BUCKET_BYTES = 8_000_000
+#: Bytes of words and ids that a generation of a task's own table (see ``WordTable``) may hold.
+TABLE_BYTES = 32_000_000
 SLICE_ROWS = 256
 
 # Texts of these characters only are cut by the pattern below, which for them equals the library's
@@ -136,17 +136,23 @@ def vocabulary_of(path: str) -> Vocabulary:
 
 
 class WordTable(dict):
-    """The words that one task has met lately, with their ids; emptied when it holds ``TABLE_BYTES``, which changes no result."""
+    """The words that one task has met lately, with their ids: two generations of ``TABLE_BYTES`` at most.
+
+    When the younger is full it becomes the older, and the older goes; a word that is met again moves back. So
+    frequent words stay, memory is bounded, and no result changes.
+    """
 
     def __init__(self, path: str):
-        self.vocabulary, self.held = vocabulary_of(path), 0
+        self.vocabulary, self.held, self.older = vocabulary_of(path), 0, {}
 
     def __missing__(self, word: str) -> bytes:
-        found = self.vocabulary.word_ids(word)
+        found = self.older.get(word)
+        if found is None:
+            found = self.vocabulary.word_ids(word)
         self.held += 250 + 2 * len(word) + len(found)  # with what Python keeps beside them
         if self.held > TABLE_BYTES:
+            self.older, self.held = dict(self), 0
             self.clear()
-            self.held = 0
         self[word] = found
         return found
 
@@ -313,7 +319,8 @@ def encode(docs: DataFrame, text: str = "text", vocabulary: str = VOCABULARY) ->
     docs = docs.select(*keep, text)
     buckets = _buckets(docs)
     blocks = persist_table(docs.mapInArrow(_to_blocks(path, fresh_path(docs.sparkSession, "bpe-documents"), keep, text, buckets), _ROW), "bpe-words")
-    words = blocks.repartitionByRange(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_encode_words(path), _ROW)
+    # twice as many ranges as buckets: then hardly two buckets share one
+    words = blocks.repartitionByRange(2 * buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_encode_words(path), _ROW)
     return words.repartition(buckets, "file", "at").sortWithinPartitions("file", "at", "bucket").mapInArrow(_to_documents(keep), schema)
 
 
