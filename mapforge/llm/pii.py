@@ -141,7 +141,7 @@ def _fits(token: Column, kind: Column) -> Column:
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """Distinct (doc_id, mark) of documents with any digit or at sign, with base spans and all instances.
+    """(doc_id, mark, instances) of documents with any digit or at sign, once for each doc_id and text.
 
     ``mark`` is a hash of the text, so that rows repeating a doc_id with another text stay apart.
     """
@@ -151,19 +151,17 @@ def scan(docs: DataFrame) -> DataFrame:
     found = F.struct(*[x.alias(k) for k, x in base_matches(text).items()], _located(text, _TOKEN).alias("loose"))
     rows = rows.select("doc_id", "mark", "text", F.inline(F.array(found)))
 
-    def tagged(n: int, kind: str) -> Column:
-        return F.transform(kind, lambda x: F.struct(F.lit(n).alias("k"), x["s"].alias("s"), x["e"].alias("e")))
-
     def named(n: int, found: Column | str) -> Column:
         return F.transform(found, lambda x: F.struct(F.lit(n).alias("k"), x["m"].alias("m"), x["s"].alias("s"), x["e"].alias("e"), _contexts(text, x["s"], x["e"]).alias("contexts")))
 
-    rows = rows.withColumn("base", F.concat(*[tagged(n, k) for n, k in enumerate(KINDS)]))
+    rows = rows.withColumn("base", _tagged({k: F.col(k) for k in KINDS}))
     lead = lambda x: F.length(F.regexp_extract(x["m"], r"^[^A-Za-z0-9+(]*+", 0))
     bare = lambda x: F.regexp_replace(F.regexp_replace(x["m"], r"^[^A-Za-z0-9+(]++", ""), r"(?<=[A-Za-z0-9])[^A-Za-z0-9]++$", "")
     loose = F.transform("loose", lambda x: F.struct(bare(x).alias("m"), (x["s"] + lead(x)).alias("s"), (x["s"] + lead(x) + F.length(bare(x))).alias("e")))
     free = _let(F.col("base"), lambda base: F.filter(loose, lambda x: (x["m"] != "") & ~F.exists(base, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"]))))
     instances = F.concat(*[named(n, k) for n, k in enumerate(KINDS)], named(-1, free))
-    return rows.select("doc_id", "mark", "base", instances.alias("instances"))
+    found = rows.select("doc_id", "mark", instances.alias("instances")).where(F.size("instances") > 0)
+    return found.groupBy("doc_id", "mark").agg(F.first("instances").alias("instances"))
 
 
 def bootstrap(instances: DataFrame, max_rounds: int = MAX_ROUNDS, min_support: int = MIN_SUPPORT, confident: float = CONFIDENT, certain: float = CERTAIN) -> DataFrame:
@@ -198,26 +196,43 @@ def bootstrap(instances: DataFrame, max_rounds: int = MAX_ROUNDS, min_support: i
     return open_.join(found.select("m", "k"), "m").join(patterns.select("context", "k"), ["context", "k"], "left_semi").select("context", "m", "k")
 
 
-def extract(docs: DataFrame) -> DataFrame:
-    """One row per (doc_id, mark) that has any span: ``base`` and ``spans`` (base ones and added ones, by kind and start)."""
-    rows = persist_table(scan(docs.select("doc_id", "text")).groupBy("doc_id", "mark").agg(F.first("base").alias("base"), F.first("instances").alias("instances")), "pii-rows")
-    each = rows.select("doc_id", "mark", F.explode("instances").alias("i")).select("doc_id", "mark", "i.k", "i.m", "i.s", "i.e", F.explode("i.contexts").alias("context"))
+def _tagged(found: dict[str, Column]) -> Column:
+    """Kind, start and end of base matches."""
+
+    def of_kind(n: int) -> Column:
+        return F.transform(found[KINDS[n]], lambda x: F.struct(F.lit(n).alias("k"), x["s"].alias("s"), x["e"].alias("e")))
+
+    return F.concat(*map(of_kind, range(len(KINDS))))
+
+
+def added(docs: DataFrame) -> DataFrame:
+    """(doc_id, mark, added): spans that bootstrapping adds, for each (doc_id, hash of text) that has any."""
+    each = scan(docs.select("doc_id", "text")).select("doc_id", "mark", F.explode("instances").alias("i")).select("doc_id", "mark", "i.*")
+    each = persist_table(each, "pii-instances").withColumn("context", F.explode("contexts"))
     accepted = persist_table(bootstrap(each.select("k", "m", "context")), "pii-found")
-    added = each.where("k < 0").drop("k").join(accepted, ["context", "m"]).groupBy("doc_id", "mark").agg(F.collect_set(F.struct("k", "s", "e")).alias("added"))
-    added = added.withColumnsRenamed({"doc_id": "a_id", "mark": "a_mark"})
-    full = rows.join(added, (F.col("mark") == F.col("a_mark")) & F.col("doc_id").eqNullSafe(F.col("a_id")), "left")
-    spans = F.sort_array(F.concat("base", F.coalesce("added", F.array().cast(SPANS))))
-    return full.select("doc_id", "mark", F.sort_array("base").alias("base"), spans.alias("spans")).where(F.size("spans") > 0)
-
-
-def attach(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """``docs`` with ``base`` and ``spans``, empty where a document has none."""
-    left = docs.withColumn("__mark", F.xxhash64("text")).alias("d")
-    right = spans.select(F.col("doc_id").alias("__id"), F.col("mark").alias("__m"), F.col("base").alias("__base"), F.col("spans").alias("__spans"))
-    none = F.array().cast(SPANS)
-    joined = left.join(right, (F.col("__mark") == F.col("__m")) & F.col("d.doc_id").eqNullSafe(F.col("__id")), "left")
+    met = each.where("k < 0").drop("k").join(accepted, ["context", "m"])
+    return persist_table(met.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("k", "s", "e")).alias("added")), "pii-added")
+
+
+def attach(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """``docs`` with ``base`` and ``spans``, both empty where a text has none; ``found`` as :func:`added` makes it.
+
+    Base spans are found in place, so texts meet only the few rows that have added ones.
+    """
+    text = F.coalesce("text", F.lit(""))
     keep = [F.col(f"d.`{c}`") for c in docs.columns if c not in ("base", "spans")]
-    return joined.select(*keep, F.coalesce("__base", none).alias("base"), F.coalesce("__spans", none).alias("spans"))
+    # inline() keeps the optimiser from copying the base expressions to every later use
+    base = F.when(text.rlike("[0-9@]"), F.sort_array(_tagged(base_matches(text)))).otherwise(F.array().cast(SPANS))
+    rows = docs.alias("d").select(*keep, F.xxhash64("text").alias("__mark"), F.inline(F.array(F.struct(base.alias("__base")))))
+    right = found.select(F.col("doc_id").alias("__id"), F.col("mark").alias("__m"), "added")
+    joined = rows.alias("d").join(right, (F.col("__mark") == F.col("__m")) & F.col("d.doc_id").eqNullSafe(F.col("__id")), "left")
+    spans = F.when(F.col("added").isNull(), F.col("__base")).otherwise(F.sort_array(F.concat("__base", "added")))
+    return joined.select(*keep, F.col("__base").alias("base"), spans.alias("spans"))
+
+
+def extract(docs: DataFrame) -> DataFrame:
+    """``docs`` (doc_id, text and others) with ``base`` and ``spans`` (base ones and added ones, by kind and start)."""
+    return attach(docs, added(docs))
 
 
 def redact(text: Column, spans: Column) -> Column:
@@ -241,15 +256,9 @@ def _written(spans: Column) -> Column:
 
 
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents", "doc_id", "text")
-    # Texts stay in their tasks: only ids, hashes and spans are shuffled.
-    marked = docs.select("doc_id", F.xxhash64("text").alias("mark"))
-    spans = persist_table(extract(docs), "pii-spans").withColumnRenamed("doc_id", "__id").withColumnRenamed("mark", "__m")
-    full = marked.join(spans, (marked["mark"] == spans["__m"]) & marked["doc_id"].eqNullSafe(spans["__id"]), "left")
-    none = F.array().cast(SPANS)
-    full = full.select("doc_id", F.coalesce("base", none).alias("base"), F.coalesce("spans", none).alias("all_spans"))
+    full = extract(table(spark, sf_dir, "documents", "doc_id", "text")).drop("text")
 
     def count(n: int) -> Column:
         return F.size(F.filter("base", lambda x: x["k"] == n)).cast("long").alias(f"n_{KINDS[n]}")
 
-    return full.select("doc_id", *map(count, range(len(KINDS))), F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("all_spans")).alias("spans"), F.size("all_spans").cast("long").alias("n_spans"))
+    return full.select("doc_id", *map(count, range(len(KINDS))), F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("spans")).alias("spans"), F.size("spans").cast("long").alias("n_spans"))

@@ -56,7 +56,7 @@ BASE = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[
 def test_pii_spans_and_redaction(spark, docs):
     from pyspark.sql import functions as F
 
-    out = pii.attach(docs, pii.extract(docs))
+    out = pii.extract(docs)
     assert set(out.columns) == {"doc_id", "text", "ids", "base", "spans"}
     full = out.withColumn("red", pii.redact(F.col("text"), F.col("spans"))).collect()
     assert len(full) == len(TEXTS) + 2
@@ -314,7 +314,7 @@ def test_bootstrapping_finds_unseen_identifiers(spark):
         rows.append((k, f"{noise()} write to {unseen[k]} soon {noise()}"))
     clean = [(k + 1 + n, f"{noise()} page {n}12 of 9{n}9 in 19{n}4 {noise()}") for n in range(9)]
     docs = spark.createDataFrame(rows + clean + [(999, None), (998, "")], "doc_id long, text string")
-    got = {r["doc_id"]: r for r in pii.attach(docs, pii.extract(docs)).collect()}
+    got = {r["doc_id"]: r for r in pii.extract(docs).collect()}
     for k, token in unseen.items():
         text = dict(rows)[k]
         assert [text[s["s"] : s["e"]] for s in got[k]["spans"]] == [token] and not got[k]["base"], (token, got[k]["spans"])
