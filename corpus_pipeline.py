@@ -63,8 +63,7 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def redact_pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every identifier is replaced by its kind in brackets."""
-    spans = persist_table(pii.extract(docs.select("doc_id", "text")), "pii-spans")
-    marked = pii.attach(_carried(docs), spans)
+    marked = pii.attach(_carried(docs), pii.added(docs.select("doc_id", "text")))
     row = F.when(F.size("spans") > 0, _with_text(docs, pii.redact(F.col("text"), F.col("spans")))).otherwise(F.col("row"))
     return marked.select(row.alias("row")).select("row.*")
 
