@@ -50,6 +50,29 @@ def lookup(values: DataFrame, indexed: DataFrame, min_containment: float = 0.5)
     return hits.crossJoin(F.broadcast(n)).select("cluster_id", "side", (F.col("hit") / F.col("n")).alias("containment")).where(F.col("containment") >= min_containment)
 
 
+BITS = 4096 * 8
+
+
+def index_bits(indexed: DataFrame) -> DataFrame:
+    """(cluster_id, side, bits): one bitmap of ``BITS`` hashed places for each mapping side, a filter before :func:`lookup`."""
+    return indexed.groupBy("cluster_id", "side").agg(F.bitmap_construct_agg(F.pmod("h", F.lit(BITS)).cast("int")).alias("bits"))
+
+
+def lookup_filtered(values: DataFrame, indexed: DataFrame, bits: DataFrame, min_containment: float = 0.5, most: int = 10_000) -> DataFrame:
+    """As :func:`lookup`, but mappings whose bitmap lacks too many of the values' places never meet them.
+
+    The places of the values travel as one row; for more than ``most`` values the bitmaps say little and all mappings are looked up.
+    """
+    asked = values.select(F.xxhash64("v").alias("h")).distinct()
+    n = asked.count()
+    if n > most:
+        return lookup(values, indexed, min_containment)
+    places = asked.agg(F.collect_list(F.pmod("h", F.lit(BITS)).cast("int")).alias("places"))
+    hit = F.expr("size(filter(places, p -> (conv(hex(substring(bits, p div 8 + 1, 1)), 16, 10) div cast(power(2, p % 8) as int)) % 2 = 1))")
+    near = bits.crossJoin(F.broadcast(places)).where(hit >= min_containment * n).select("cluster_id", "side")  # one row of places
+    return lookup(values, indexed.join(near, ["cluster_id", "side"], "left_semi"), min_containment)
+
+
 def auto_correct(df: DataFrame, col: str, mapping: DataFrame) -> DataFrame:
     """``df`` with ``suggested``: where a column mixes both sides of a mapping, the rarer side is put in terms of the other."""
     m = mapping.select("l", "r").distinct()

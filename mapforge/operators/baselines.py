@@ -5,16 +5,27 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from mapforge.functions.near import near_values
 from mapforge.operators.graph import components, synthesize
 from mapforge.params import SynthParams
 from mapforge.sources.storage import stage
 
 
-def header_union(cands: DataFrame, scope: str = "domain") -> DataFrame:
-    """(cand_id, cluster_id): candidates of equal headers, within a domain or over the whole corpus."""
+def header_union(cands: DataFrame, scope: str = "domain", rows: DataFrame | None = None) -> DataFrame:
+    """(cand_id, cluster_id): candidates of equal headers, within a domain or over the whole corpus.
+
+    With ``rows`` (cand_id, l, r), only candidates whose rows are disjoint from those of all others of equal headers (and domain)
+    are united; one that shares a row with another stays alone.
+    """
+    if scope not in ("domain", "corpus"):
+        raise ValueError(f"unknown scope {scope}")
     parts = (["domain"] if scope == "domain" else []) + ["l_header", "r_header"]
-    name = F.concat_ws("|", *parts)
-    return cands.select("cand_id", name.alias("cluster_id")).distinct()
+    named = cands.select("cand_id", F.concat_ws("|", *parts).alias("cluster_id")).distinct()
+    if rows is None:
+        return named
+    held = rows.select("cand_id", "l", "r").distinct().join(named, "cand_id").groupBy("cluster_id", "l", "r").agg(F.count("*").alias("n"), F.collect_list("cand_id").alias("cands"))
+    shared = held.where("n > 1").select(F.explode("cands").alias("cand_id")).distinct().withColumn("alone", F.lit(True))
+    return named.join(shared, "cand_id", "left").select("cand_id", F.when(F.col("alone"), F.col("cand_id")).otherwise(F.col("cluster_id")).alias("cluster_id"))
 
 
 def signed_components(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, cut: float = 0.4) -> DataFrame:
@@ -28,6 +39,18 @@ def positive_components(nodes: DataFrame, edges: DataFrame, cut: float = 0.5) ->
     return signed_components(nodes, edges, 1.0, cut)
 
 
+def component_sweep(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, cuts: tuple[float, ...] = tuple(k / 10 for k in range(11))) -> DataFrame:
+    """(cut, cand_id, cluster_id): :func:`signed_components` for every cut, by one run over one graph for each of them side by side."""
+    weight = alpha * F.col("w_pos") + (1 - alpha) * F.col("w_neg")
+    grid = F.explode(F.array(*map(F.lit, cuts)))
+    kept = edges.withColumn("cut", grid).where((weight >= F.col("cut")) & (weight > 0))
+    name = lambda c: F.concat(F.format_string("%.3f|", "cut"), F.col(c))
+    comp = components(kept.select(name("src").alias("src"), name("dst").alias("dst")))
+    every = nodes.select("cand_id").distinct().withColumn("cut", grid).withColumn("node", name("cand_id"))
+    found = every.join(comp, "node", "left")
+    return found.select("cut", "cand_id", F.coalesce(F.expr("substring(comp, 7)"), F.col("cand_id")).alias("cluster_id"))
+
+
 def pivot_clusters(nodes: DataFrame, edges: DataFrame, seed: int = 1, max_rounds: int = 50) -> DataFrame:
     """Parallel pivots: vertices first among their neighbours by a hash take their positive neighbours, round by round.
 
@@ -54,18 +77,23 @@ def pivot_clusters(nodes: DataFrame, edges: DataFrame, seed: int = 1, max_rounds
     return rest if done is None else done.union(rest)
 
 
-def form_matcher(nodes: DataFrame, cands: DataFrame, sim_min: float = 0.5) -> DataFrame:
+def form_matcher(nodes: DataFrame, cands: DataFrame, sim_min: float = 0.5, f_ed: tuple[int, int] = (1, 4), k_ed: int = 3) -> DataFrame:
     """Header similarity with equal value types, greedily clustered. ``cands``: (cand_id, l_header, r_header, l_type, r_type).
 
-    Candidates meet when their headers share a word; candidates of equal headers and types are one unit.
+    Similarity is the larger of the shared words' part of all words and of one minus the edit distance's part of the length.
+    Candidates meet when their headers share a word, exactly or within the edit limit; those of equal headers and types are one unit.
     """
-    unit = cands.groupBy("l_header", "r_header", "l_type", "r_type").agg(F.min("cand_id").alias("cand_id"))
-    words = F.array_distinct(F.split(F.lower(F.concat_ws(" ", "l_header", "r_header")), "[^a-z0-9]+"))
-    tagged = unit.select("cand_id", "l_type", "r_type", words.alias("w")).withColumn("word", F.explode("w"))
-    a, b = tagged.select(F.col("cand_id").alias("src"), "l_type", "r_type", "word", F.col("w").alias("w1")), tagged.select(F.col("cand_id").alias("dst"), "l_type", "r_type", "word", F.col("w").alias("w2"))
-    met = a.join(b, ["l_type", "r_type", "word"]).where("src < dst").select("src", "dst", "w1", "w2").distinct()
-    sim = F.size(F.array_intersect("w1", "w2")) / F.size(F.array_union("w1", "w2"))
-    edges = met.select("src", "dst", sim.alias("w_pos"), F.lit(0.0).alias("w_neg")).where(F.col("w_pos") >= sim_min)
+    unit = stage(cands.groupBy("l_header", "r_header", "l_type", "r_type").agg(F.min("cand_id").alias("cand_id")), "headers")
+    said = F.lower(F.concat_ws(" ", "l_header", "r_header"))
+    tagged = unit.select("cand_id", "l_type", "r_type", said.alias("h"), F.array_distinct(F.split(said, "[^a-z0-9]+")).alias("w")).withColumn("word", F.explode("w"))
+    words = tagged.select(F.col("word").alias("v")).distinct()
+    alike = near_values(words, f_ed, k_ed).union(words.select("v", "v")).toDF("word", "other")
+    a = tagged.select(F.col("cand_id").alias("src"), "l_type", "r_type", "word", F.col("h").alias("h1"), F.col("w").alias("w1"))
+    b = tagged.select(F.col("cand_id").alias("dst"), "l_type", "r_type", F.col("word").alias("other"), F.col("h").alias("h2"), F.col("w").alias("w2"))
+    met = a.join(alike, "word").join(b, ["l_type", "r_type", "other"]).where("src < dst").select("src", "dst", "h1", "h2", "w1", "w2").distinct()
+    tokens = F.size(F.array_intersect("w1", "w2")) / F.size(F.array_union("w1", "w2"))
+    edit = 1 - F.levenshtein("h1", "h2") / F.greatest(F.length("h1"), F.length("h2"))
+    edges = met.select("src", "dst", F.greatest(tokens, edit).alias("w_pos"), F.lit(0.0).alias("w_neg")).where(F.col("w_pos") >= sim_min)
     got = synthesize(unit, edges, SynthParams(theta_edge=sim_min, use_negative=False)).withColumnRenamed("cand_id", "unit_id")
     named = cands.join(unit.withColumnRenamed("cand_id", "unit_id"), ["l_header", "r_header", "l_type", "r_type"])
     return named.join(got, "unit_id").select("cand_id", "cluster_id")

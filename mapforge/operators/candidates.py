@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from mapforge.functions import text
+from mapforge.params import SynthParams
+from mapforge.sources.storage import stage
 
 
 def value_counts(cols: DataFrame) -> DataFrame:
@@ -13,13 +15,16 @@ def value_counts(cols: DataFrame) -> DataFrame:
     return cols.groupBy("value").agg(F.count("*").alias("n"))
 
 
+def _bounded(cols: DataFrame, max_values: int | None) -> DataFrame:
+    if max_values is None:
+        return cols
+    w = Window.partitionBy("col_uid").orderBy(F.xxhash64("value"), "value")
+    return cols.withColumn("k", F.row_number().over(w)).where(F.col("k") <= max_values).drop("k")
+
+
 def pair_counts(cols: DataFrame, max_values: int | None = None) -> DataFrame:
     """(u, v, n) for values u < v that share a column. ``max_values`` (reported, lossy) bounds values per column."""
-    if max_values is not None:
-        from pyspark.sql import Window
-
-        w = Window.partitionBy("col_uid").orderBy(F.xxhash64("value"), "value")
-        cols = cols.withColumn("k", F.row_number().over(w)).where(F.col("k") <= max_values).drop("k")
+    cols = _bounded(cols, max_values)
     a, b = cols.withColumnRenamed("value", "u"), cols.withColumnRenamed("value", "v")
     return a.join(b, "col_uid").where("u < v").groupBy("u", "v").agg(F.count("*").alias("n"))
 
@@ -38,11 +43,21 @@ def pair_scores(cols: DataFrame, score: str = "npmi", exclude_self: bool = False
 
 
 def column_scores(cols: DataFrame, score: str = "npmi", exclude_self: bool = False, min_support: int = 1, max_values: int | None = None) -> DataFrame:
-    """(col_uid, n_pairs, coherence): mean score over unordered value pairs; columns of one value have none."""
-    scores = pair_scores(cols, score, exclude_self, min_support, max_values).select("u", "v", "score")
-    a, b = cols.withColumnRenamed("value", "u"), cols.withColumnRenamed("value", "v")
-    inside = a.join(b, "col_uid").where("u < v").join(scores, ["u", "v"])
-    return inside.groupBy("col_uid").agg(F.count("*").alias("n_pairs"), F.avg("score").alias("coherence"))
+    """(col_uid, n_pairs, coherence): mean score over unordered value pairs; columns of one value have none.
+
+    Columns are joined with themselves once: counts and scores of value pairs use one dealing of the joined rows.
+    """
+    total = cols.agg(F.count_distinct("col_uid").alias("total"))
+    own = value_counts(cols)
+    kept = _bounded(cols, max_values)
+    a, b = kept.withColumnRenamed("value", "u"), kept.withColumnRenamed("value", "v")
+    met = a.join(b, "col_uid").where("u < v").repartition("u", "v")
+    counts = met.groupBy("u", "v").agg(F.count("*").alias("nuv")).where(F.col("nuv") >= min_support)
+    full = counts.join(own.select(F.col("value").alias("u"), F.col("n").alias("nu")), "u").join(own.select(F.col("value").alias("v"), F.col("n").alias("nv")), "v").crossJoin(F.broadcast(total))  # one row
+    less = F.lit(1 if exclude_self else 0)
+    fn = text.npmi if score == "npmi" else text.pmi
+    scored = met.join(full, ["u", "v"]).select("col_uid", fn(*[F.col(c) - less for c in ("nu", "nv", "nuv", "total")]).alias("score"))
+    return scored.groupBy("col_uid").agg(F.count("*").alias("n_pairs"), F.avg("score").alias("coherence"))
 
 
 def filter_columns(cols: DataFrame, coherence_min: float, keep_undefined: bool = True) -> DataFrame:
@@ -92,3 +107,27 @@ def cardinality(ratios: DataFrame, theta: float = 0.95) -> DataFrame:
 def extract_stats(pairs: DataFrame, theta: float = 0.95) -> DataFrame:
     """Candidates before and after the functional test, and the pruned share."""
     return fd_ratio(pairs).agg(F.count("*").alias("candidates"), F.count_if(F.col("ratio") >= theta).alias("kept")).withColumn("pruned", 1 - F.col("kept") / F.col("candidates"))
+
+
+def extract(cells: DataFrame, p: SynthParams | None = None, basis: str = "pairs") -> tuple[DataFrame, DataFrame]:
+    """Candidates of whole tables, and how many there were: coherent columns, their ordered pairs, those that hold approximately.
+
+    ``cells`` as :func:`mapforge.sources.corpus.melt` makes them. Candidates: distinct (cand_id, domain, table_id, l_header,
+    r_header, l, r). Statistics, one row: columns, coherent, candidates (all ordered pairs of all columns), kept, pruned.
+    Columns of one value are coherent; without ``coherence_min`` all are.
+    """
+    p = p or SynthParams()
+    uid = F.concat_ws("|", "table_id", "header")
+    cols = cells.select(uid.alias("col_uid"), "value").distinct()
+    kept = cells.withColumn("col_uid", uid)
+    if p.coherence_min is not None:
+        low = column_scores(cols).where(F.col("coherence") < p.coherence_min).select("col_uid")
+        kept = kept.join(low, "col_uid", "left_anti")
+    rows = stage(column_pairs(kept.drop("col_uid")), "column-pairs")
+    good = fd_approx(rows, p.theta, basis).select(*_CAND)
+    found = rows.join(good, _CAND).withColumn("cand_id", F.concat_ws("|", *_CAND))
+    found = stage(found.select("cand_id", "domain", *_CAND, "l", "r").distinct(), "candidates")
+    each = lambda df: df.select("table_id", "header").distinct().groupBy("table_id").agg(F.count("*").alias("n"))
+    possible = each(cells).agg(F.sum(F.col("n") * (F.col("n") - 1)).alias("candidates"), F.sum("n").alias("columns"))
+    stats = possible.crossJoin(each(kept).agg(F.sum("n").alias("coherent"))).crossJoin(found.agg(F.count_distinct("cand_id").alias("kept")))  # one row each
+    return found, stats.select("columns", "coherent", "candidates", "kept", (1 - F.col("kept") / F.col("candidates")).alias("pruned"))

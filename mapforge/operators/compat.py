@@ -17,9 +17,9 @@ def sizes(pairs: DataFrame) -> DataFrame:
     return pairs.groupBy("cand_id").agg(F.count("*").alias("n"))
 
 
-def _two_sided(pairs: DataFrame, on: list[str]) -> DataFrame:
+def _two_sided(pairs: DataFrame, on: list[str], columns: list[str] | None = None) -> DataFrame:
     a, b = pairs.withColumnRenamed("cand_id", "src"), pairs.withColumnRenamed("cand_id", "dst")
-    if on == ["l"]:
+    if on == ["l"] and columns is None:
         a, b = a.withColumnRenamed("r", "r1"), b.withColumnRenamed("r", "r2")
     return a.join(b, on).where("src < dst")
 
@@ -88,15 +88,20 @@ def positive_fuzzy(pairs: DataFrame, f_ed: tuple[int, int] = (1, 5), k_ed: int =
 
 def conflicts(pairs: DataFrame, mode: str = "literal") -> DataFrame:
     """(src, dst, l): shared left values with unequal rights. ``lenient`` leaves out lefts that also agree."""
+    if mode not in ("literal", "lenient"):
+        raise ValueError(f"unknown mode {mode}")
     met = _two_sided(pairs.select("cand_id", "l", "r"), ["l"])
     if mode == "lenient":
         return met.groupBy("src", "dst", "l").agg(F.bool_or(F.col("r1") == F.col("r2")).alias("agree")).where("not agree").select("src", "dst", "l")
     return met.where("r1 <> r2").select("src", "dst", "l").distinct()
 
 
-def negative(pairs: DataFrame, mode: str = "literal") -> DataFrame:
-    """(src, dst, w_neg): minus the larger share of conflicting left values."""
+def negative(pairs: DataFrame, mode: str = "literal", theta_overlap: int = 0) -> DataFrame:
+    """(src, dst, w_neg): minus the larger share of conflicting left values, for candidates that share more than ``theta_overlap`` lefts."""
     counts = conflicts(pairs, mode).groupBy("src", "dst").agg(F.count("*").alias("common"))
+    if theta_overlap > 0:
+        lefts = _two_sided(pairs.select("cand_id", "l").distinct(), ["l"], ["cand_id", "l"]).groupBy("src", "dst").agg(F.count("*").alias("lefts"))
+        counts = counts.join(lefts.where(F.col("lefts") > theta_overlap), ["src", "dst"], "left_semi")
     return _with_sizes(counts, pairs).select("src", "dst", (-F.col("common") / F.least("n1", "n2")).alias("w_neg"))
 
 
@@ -115,5 +120,5 @@ def with_synonyms(pairs: DataFrame, synonyms: DataFrame) -> DataFrame:
 
 def signed_graph(pairs: DataFrame, theta_overlap: int = 0, mode: str = "literal") -> DataFrame:
     """(src, dst, w_pos, w_neg), 0 where one side is missing."""
-    full = positive(pairs, theta_overlap).join(negative(pairs, mode), ["src", "dst"], "full")
+    full = positive(pairs, theta_overlap).join(negative(pairs, mode, theta_overlap), ["src", "dst"], "full")
     return full.select("src", "dst", F.coalesce("w_pos", F.lit(0.0)).alias("w_pos"), F.coalesce("w_neg", F.lit(0.0)).alias("w_neg"))

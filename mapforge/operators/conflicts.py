@@ -42,23 +42,38 @@ def table_subset(assign: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def best_subset(tables: dict[str, set[tuple[str, str]]], max_n: int = 15) -> tuple[set[str], int]:
-    """The conflict-free table subset with the largest pair union, by enumeration."""
+    """The conflict-free table subset with the largest pair union, by enumeration; among equals the one of most tables, then the first."""
     names = sorted(tables)
     if len(names) > max_n:
         raise ValueError(f"enumeration is for {max_n} tables at most")
     best: tuple[set[str], int] = (set(), -1)
+    rank = (-1, -1)
     for bits in range(1 << len(names)):
         chosen = {n for k, n in enumerate(names) if bits >> k & 1}
         pairs = set().union(*(tables[n] for n in chosen)) if chosen else set()
-        if len({l for l, _ in pairs}) == len(pairs) and len(pairs) > best[1]:
-            best = (chosen, len(pairs))
+        if len({l for l, _ in pairs}) == len(pairs) and (len(pairs), len(chosen)) > rank:
+            best, rank = (chosen, len(pairs)), (len(pairs), len(chosen))
     return best
 
 
+def best_tables(assign: DataFrame, pairs: DataFrame, max_n: int = 15) -> DataFrame:
+    """(cluster_id, cand_id) of the conflict-free tables with the largest union, for clusters of ``max_n`` tables at most; raises beyond."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        chosen, _ = best_subset({c: set(zip(g["l"], g["r"])) for c, g in pdf.groupby("cand_id")}, max_n)
+        return pd.DataFrame({"cluster_id": pdf["cluster_id"].iloc[0], "cand_id": sorted(chosen)})
+
+    full = pairs.join(assign, "cand_id").select("cluster_id", "cand_id", "l", "r")
+    return full.groupBy("cluster_id").applyInPandas(run, "cluster_id string, cand_id string")
+
+
 def resolve(assign: DataFrame, pairs: DataFrame, mode: str = "pair") -> DataFrame:
-    """Mapping pairs of each cluster: modes pair, table, none."""
-    if mode == "table":
-        pairs = pairs.join(table_subset(assign, pairs).select("cand_id"), "cand_id", "left_semi")
+    """Mapping pairs of each cluster: modes pair, table (greedy), exact (best tables of small clusters), none."""
+    if mode not in ("pair", "table", "exact", "none"):
+        raise ValueError(f"unknown mode {mode}")
+    if mode in ("table", "exact"):
+        kept = (table_subset if mode == "table" else best_tables)(assign, pairs)
+        pairs = pairs.join(kept.select("cand_id"), "cand_id", "left_semi")
     united = union(assign, pairs)
     return united if mode == "none" else majority(united)
 

@@ -5,6 +5,10 @@ from __future__ import annotations
 from collections import deque
 from collections.abc import Iterator
 
+import pandas as pd
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
 Edge = tuple[str, str, float, float]
 
 
@@ -83,3 +87,22 @@ def solve(edges: list[Edge], tau: float = -0.2, max_n: int = 9) -> float:
         sides = [({s1, s2}, {t1, t2}), ({s1, t2}, {t1, s2})]
         return total - min(min_cut(edges, a, b)[0] for a, b in sides if not a & b)
     return enumerate_best(edges, tau, max_n)[0]
+
+
+def solve_components(edges: DataFrame, comp: DataFrame, tau: float = -0.2, max_n: int = 9) -> DataFrame:
+    """(comp, n, negatives, method, score): the best score of each component of ``edges``, a component in a task of its own.
+
+    ``comp``: (node, comp). Components with up to two strong negative edges are solved by cuts, whatever their size; those
+    with more by enumeration up to ``max_n`` vertices, beyond that score is null and method ``none``.
+    """
+    ends = comp.select(F.col("node").alias("src"), "comp"), comp.select(F.col("node").alias("dst"), F.col("comp").alias("comp2"))
+    inside = edges.join(ends[0], "src").join(ends[1], "dst").where("comp = comp2")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        own = list(zip(pdf["src"], pdf["dst"], pdf["w_pos"], pdf["w_neg"]))
+        n, bad = len({v for e in own for v in e[:2]}), sum(e[3] < tau for e in own)
+        method = ("whole", "one cut", "two cuts")[bad] if bad <= 2 else "enumeration" if n <= max_n else "none"
+        best = None if method == "none" else float(solve(own, tau, max_n))
+        return pd.DataFrame({"comp": [pdf["comp"].iloc[0]], "n": [n], "negatives": [bad], "method": [method], "score": pd.Series([best], dtype="float64")})
+
+    return inside.select("comp", "src", "dst", "w_pos", "w_neg").groupBy("comp").applyInPandas(run, "comp string, n long, negatives long, method string, score double")

@@ -42,7 +42,7 @@ _NEG = """clash AS (SELECT DISTINCT a.cand_id AS src, b.cand_id AS dst, a.l FROM
     neg AS (SELECT src, dst, -count(*) / least(any_value(x.n), any_value(y.n)) AS w FROM clash JOIN sizes x ON x.cand_id = src JOIN sizes y ON y.cand_id = dst GROUP BY src, dst)"""
 
 
-def chain(spark: SparkSession, d: str, n: int = 20) -> DataFrame:
+def chain(spark: SparkSession, d: str, n: int = 50) -> DataFrame:
     return corpus.sliding(corpus.read(spark, d, "part"), "p_partkey", "p_partkey", "p_brand", n, "p")
 
 
@@ -169,22 +169,22 @@ def edit_match_guarded(spark, d):
     return name_pairs(spark, d).where(text.matches(F.col("a"), F.col("b")))
 
 
-@query(f"WITH pairs AS ({_ring(20)}), {_POS} SELECT src, dst, round(common / (n1 + n2 - common), 6) AS jaccard FROM pos")
+@query(f"WITH pairs AS ({_ring(50)}), {_POS} SELECT src, dst, round(common / (n1 + n2 - common), 6) AS jaccard FROM pos")
 def jaccard_edges(spark, d):
     return _flat(compat.jaccard(chain(spark, d)), "jaccard")
 
 
-@query(f"WITH pairs AS ({_ring(20)}), {_POS} SELECT src, dst, round(common / n1, 6) AS containment FROM pos UNION ALL SELECT dst, src, round(common / n2, 6) FROM pos")
+@query(f"WITH pairs AS ({_ring(50)}), {_POS} SELECT src, dst, round(common / n1, 6) AS containment FROM pos UNION ALL SELECT dst, src, round(common / n2, 6) FROM pos")
 def containment_edges(spark, d):
     return _flat(compat.containment(chain(spark, d)), "containment")
 
 
 @query(f"WITH pairs AS ({_ring(50)}), {_POS} SELECT src, dst, round(w, 6) AS w_pos FROM pos")
 def pos_edges(spark, d):
-    return _flat(compat.positive(chain(spark, d, 50)), "w_pos")
+    return _flat(compat.positive(chain(spark, d)), "w_pos")
 
 
-@query(f"WITH pairs AS ({_ring(20)}), {_POS} SELECT src, dst, round(w, 6) AS w_pos FROM pos")
+@query(f"WITH pairs AS ({_ring(50)}), {_POS} SELECT src, dst, round(w, 6) AS w_pos FROM pos")
 def pos_edges_all_pairs(spark, d):
     return _flat(compat.positive_all_pairs(chain(spark, d)), "w_pos")
 
@@ -302,7 +302,7 @@ def graph_size(spark, d):
     return one.select(F.abs(F.round(F.col("w") - F.col("score") - F.col("loss"), 6)).alias("drift"), "n_nodes", "n_edges")
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS node, 'p00' AS comp FROM (SELECT unnest(range(20)) AS f)")
+@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS node, 'p00' AS comp FROM (SELECT unnest(range(50)) AS f)")
 def pos_components(spark, d):
     return graph.components(compat.positive(chain(spark, d)).where("w_pos >= 0.85"))
 
@@ -311,7 +311,7 @@ def _synth(pairs: DataFrame, p: SynthParams | None = None) -> DataFrame:
     return graph.synthesize(pairs, compat.signed_graph(pairs), p)
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(20)) AS f)")
+@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(50)) AS f)")
 def synth_chain(spark, d):
     return _synth(chain(spark, d))
 
@@ -360,7 +360,7 @@ _DIRTY = f"SELECT cand_id, domain, l, CASE WHEN CAST(l AS BIGINT) % 97 = 0 AND C
 
 @query(f"WITH pairs AS ({_DIRTY}), u AS (SELECT l, r, count(DISTINCT cand_id) AS support FROM pairs GROUP BY 1, 2) SELECT l, r, support FROM u QUALIFY row_number() OVER (PARTITION BY l ORDER BY support DESC, r) = 1")
 def resolved_pairs(spark, d):
-    pairs = corpus.dirty(chain(spark, d, 50))
+    pairs = corpus.dirty(chain(spark, d))
     one = pairs.select("cand_id").distinct().withColumn("cluster_id", F.lit("all"))
     return conflicts.resolve(one, pairs).select("l", "r", "support")
 
@@ -379,7 +379,7 @@ def expanded_map(spark, d):
     return conflicts.expand(core, full)
 
 
-@query("SELECT 'p00' AS cluster_id, 12 AS n_domains, 20 AS n_tables")
+@query("SELECT 'p00' AS cluster_id, 12 AS n_domains, 50 AS n_tables")
 def popularity(spark, d):
     pairs = chain(spark, d)
     return apps.popular(apps.popularity(_synth(pairs), pairs), 8)
@@ -431,7 +431,7 @@ def headed(spark: SparkSession, d: str) -> DataFrame:
     return chain(spark, d).select("cand_id", "domain", h.alias("l_header"), F.lit("brand").alias("r_header"), F.lit("int").alias("l_type"), F.lit("string").alias("r_type")).distinct()
 
 
-_HEADED = "SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'site' || f % 12 AS domain, ['name','code','id'][f % 3 + 1] AS h FROM (SELECT unnest(range(20)) AS f)"
+_HEADED = "SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'site' || f % 12 AS domain, ['name','code','id'][f % 3 + 1] AS h FROM (SELECT unnest(range(50)) AS f)"
 
 
 @query(f"SELECT cand_id, domain || '|' || h || '|brand' AS cluster_id FROM ({_HEADED})")
@@ -456,7 +456,7 @@ def signed_cc(spark, d):
     return baselines.signed_components(pairs, compat.signed_graph(pairs), 0.5, 0.4)
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(20)) AS f)")
+@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(50)) AS f)")
 def positive_cc(spark, d):
     pairs = chain(spark, d)
     return baselines.positive_components(pairs, compat.signed_graph(pairs), 0.85)
@@ -495,7 +495,7 @@ _PRF = "prf AS (SELECT case_id, relation_id, h / nr AS precision, h / nc AS reca
 
 
 def corpus_pairs(spark: SparkSession, d: str) -> DataFrame:
-    return chain(spark, d, 50).unionByName(code_pairs(spark, d))
+    return chain(spark, d).unionByName(code_pairs(spark, d))
 
 
 def _mapped(spark: SparkSession, d: str, p: SynthParams) -> DataFrame:
@@ -544,13 +544,13 @@ def case_summary_no_neg(spark, d):
 @query(f"WITH pairs AS ({_ring(50)}), {_POS} " + " UNION ALL ".join(f"SELECT {k} AS theta_overlap, count(*) AS n_edges FROM pos WHERE common > {k}" for k in (0, 1, 2, 5, 10)))
 def overlap_sweep(spark, d):
     grid = F.explode(F.array(*map(F.lit, (0, 1, 2, 5, 10))))
-    return compat.shared(chain(spark, d, 50)).withColumn("theta_overlap", grid).where("common > theta_overlap").groupBy("theta_overlap").agg(F.count("*").alias("n_edges"))
+    return compat.shared(chain(spark, d)).withColumn("theta_overlap", grid).where("common > theta_overlap").groupBy("theta_overlap").agg(F.count("*").alias("n_edges"))
 
 
 @query(f"WITH pairs AS ({_ring(50)}), {_POS} SELECT t AS theta_edge, count(*) AS n_edges FROM pos, (SELECT unnest([0.5, 0.65, 0.75, 0.85]) AS t) WHERE w >= CAST(t AS DOUBLE) GROUP BY 1")
 def edge_sweep(spark, d):
     grid = F.explode(F.array(*map(F.lit, (0.5, 0.65, 0.75, 0.85))))
-    return compat.positive(chain(spark, d, 50)).withColumn("theta_edge", grid).where("w_pos >= theta_edge").groupBy("theta_edge").agg(F.count("*").alias("n_edges"))
+    return compat.positive(chain(spark, d)).withColumn("theta_edge", grid).where("w_pos >= theta_edge").groupBy("theta_edge").agg(F.count("*").alias("n_edges"))
 
 
 @query()
@@ -566,7 +566,7 @@ def tau_sweep(spark, d):
 
 @query(f"WITH all_pairs AS ({_ring(50)}) " + " UNION ALL ".join(f"SELECT {k} AS percent, count(*) AS n_edges FROM (SELECT DISTINCT a.cand_id, b.cand_id AS other FROM all_pairs a JOIN all_pairs b ON a.l = b.l AND a.r = b.r AND a.cand_id < b.cand_id WHERE CAST(right(a.cand_id, 2) AS INT) % 5 < {k // 20} AND CAST(right(b.cand_id, 2) AS INT) % 5 < {k // 20})" for k in (20, 40, 60, 80, 100)))
 def scale_samples(spark, d):
-    s = compat.shared(chain(spark, d, 50))
+    s = compat.shared(chain(spark, d))
     fold = F.greatest(*[F.pmod(F.substring(c, -2, 2).cast("int"), F.lit(5)) for c in ("src", "dst")])
     grid = F.explode(F.array(*map(F.lit, (20, 40, 60, 80, 100))))
     return s.withColumn("percent", grid).where(fold < F.col("percent") / 20).groupBy("percent").agg(F.count("*").alias("n_edges"))
@@ -601,6 +601,6 @@ def rel_anti_join(spark, d):
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
-    """One chain of twenty partial tables in, one conflict-free mapping out."""
+    """A ring of fifty partial tables in, one conflict-free mapping out."""
     pairs = corpus.dirty(chain(spark, d))
     return conflicts.resolve(_synth(pairs, SynthParams(theta_edge=0.75)), pairs)
