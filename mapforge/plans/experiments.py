@@ -97,7 +97,7 @@ def timed(spark: SparkSession, d: str) -> DataFrame:
     homes = t["orders"].select(F.concat(F.lit("y"), F.date_format("o_orderdate", "yyyy")).alias("cand_id"), F.col("o_custkey").alias("c_custkey")).distinct().join(cust, "c_custkey").select("cand_id", "c_name", "n_name")
     areas = cust.join(t["region"], F.col("n_regionkey") == F.col("r_regionkey")).select(F.concat(F.lit("n"), F.substring("c_mktsegment", 1, 4)).alias("cand_id"), "n_name", "r_name")
     rows = sold.union(kinds).union(homes).union(areas).distinct()
-    return rows.select("cand_id", F.concat(F.lit("pub"), F.pmod(F.length("cand_id") + F.substring("cand_id", -1, 1).cast("int"), F.lit(12))).alias("domain"), "l", "r").fillna("pub0", ["domain"])
+    return rows.select("cand_id", F.concat(F.lit("pub"), F.pmod(F.crc32(F.col("cand_id").cast("binary")), F.lit(12))).alias("domain"), "l", "r")
 
 
 _TIMED = f"""timed AS (SELECT DISTINCT 's' || strftime(l_shipdate, '%Y%m') AS cand_id, s_name AS l, n_name AS r FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey

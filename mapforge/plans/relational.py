@@ -106,13 +106,6 @@ def rel_arrays(spark, d):
     return corpus.read(spark, d, "part").groupBy("p_brand").agg(sizes.alias("sizes"), F.max_by("p_partkey", F.struct("p_retailprice", "p_partkey")).alias("dearest"))
 
 
-@query("SELECT DISTINCT user_id, event_type FROM events")
-def stream_dedup(spark, d):
-    """First arrival of each (user, type), as a stream over what is there now."""
-    pairs = streaming.events_stream(spark, d).select("user_id", "event_type").dropDuplicates()
-    return streaming.run_to_table(spark, pairs, "dedup")
-
-
 @query("SELECT o_orderkey, n_name AS filled FROM orders LEFT JOIN customer ON o_custkey = c_custkey LEFT JOIN nation ON c_nationkey = n_nationkey")
 def stream_fill(spark, d):
     """Arriving orders get the nation that the mapping from customers holds: a stream joined with a table."""

@@ -7,7 +7,6 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mapforge import streaming
 from mapforge.functions import near, text
 from mapforge.operators import apps, baselines, candidates, compat, conflicts, exact, graph, measures, relaxed
 from mapforge.params import SynthParams
@@ -42,6 +41,13 @@ _NEG = """clash AS (SELECT DISTINCT a.cand_id AS src, b.cand_id AS dst, a.l FROM
     neg AS (SELECT src, dst, -count(*) / least(any_value(x.n), any_value(y.n)) AS w FROM clash JOIN sizes x ON x.cand_id = src JOIN sizes y ON y.cand_id = dst GROUP BY src, dst)"""
 
 
+def _closure(edges: str, nodes: str = "SELECT DISTINCT cand_id AS a FROM pairs") -> str:
+    """Least reachable node of every node, by a recursive query over ``edges`` (src, dst)."""
+    return f"""e AS (SELECT src AS a, dst AS b FROM ({edges}) UNION SELECT dst, src FROM ({edges})),
+    reach(a, b) AS (SELECT a, a FROM ({nodes}) UNION SELECT r.a, e.b FROM reach r JOIN e ON r.b = e.a),
+    part AS (SELECT a AS cand_id, min(b) AS cluster_id FROM reach GROUP BY 1)"""
+
+
 def chain(spark: SparkSession, d: str, n: int = 50) -> DataFrame:
     return corpus.sliding(corpus.read(spark, d, "part"), "p_partkey", "p_partkey", "p_brand", n, "p")
 
@@ -259,7 +265,10 @@ def synonym_match(spark, d):
     return text.canonicalise(both.withColumn("canonical", F.col("v")), "canonical", s)
 
 
-@query("SELECT 't1' AS src, 't2' AS dst, 1.0 AS w_pos, 0.0 AS w_neg")
+_ALIASED = "SELECT 't1' AS cand_id, n_name AS l, r_name AS r FROM nation JOIN region ON n_regionkey = r_regionkey UNION ALL SELECT 't2', CASE WHEN n_nationkey % 2 = 1 THEN 'zz alias ' || n_nationkey ELSE n_name END, r_name FROM nation JOIN region ON n_regionkey = r_regionkey"
+
+
+@query(f"WITH named AS (SELECT n_name AS v, n_name AS canonical FROM nation UNION ALL SELECT 'zz alias ' || n_nationkey, n_name FROM nation), pairs AS (SELECT DISTINCT cand_id, coalesce(canonical, l) AS l, r FROM ({_ALIASED}) LEFT JOIN named ON v = l), {_POS} SELECT src, dst, round(w, 6) AS w_pos, 0.0 AS w_neg FROM pos")
 def synonym_edges(spark, d):
     return _flat(compat.signed_graph(compat.with_synonyms(aliased_pairs(spark, d), aliases(spark, d))), "w_pos", "w_neg")
 
@@ -278,19 +287,29 @@ def relaxed_fivegraph(spark, d):
     return _flat(relaxed.solve_components(e, graph.components(e)).drop("comp"), "bound", "loss")
 
 
-@query("SELECT 0.6 AS cut")
+def _solved(spark: SparkSession, edges: list) -> DataFrame:
+    """A small graph's component solved exactly, in a task of its own."""
+    e = spark.createDataFrame(edges, "src string, dst string, w_pos double, w_neg double")
+    return _flat(exact.solve_components(e, graph.components(e)).select("method", "negatives", "score"), "score")
+
+
+@query("SELECT 'one cut' AS method, CAST(1 AS BIGINT) AS negatives, 2.77 AS score")
 def cut_one_neg(spark, d):
-    return spark.createDataFrame([(round(exact.min_cut(FIVE, {"1"}, {"3"})[0], 6),)], "cut double")
+    return _solved(spark, FIVE)
 
 
-@query("SELECT 2.1 AS by_cut, 2.1 AS enumerated")
+@query("SELECT 'two cuts' AS method, CAST(2 AS BIGINT) AS negatives, 2.1 AS score")
 def cut_two_neg(spark, d):
-    two = [*FIVE[:5], ("2", "5", 0.30, -0.4), FIVE[6]]
-    two = [e for e in two if e[:2] != ("1", "2")]
-    return spark.createDataFrame([(round(exact.solve(two), 6), round(exact.enumerate_best(two)[0], 6))], "by_cut double, enumerated double")
+    return _solved(spark, [*[e for e in FIVE if e[:2] not in (("1", "2"), ("2", "5"))], ("2", "5", 0.30, -0.4)])
+
+
+@query("SELECT 'enumeration' AS method, CAST(3 AS BIGINT) AS negatives, 2.1 AS score")
+def exact_small(spark, d):
+    """Three conflicts: all partitions are tried."""
+    return _solved(spark, [*[e for e in FIVE if e[:2] not in (("1", "2"), ("2", "5"), ("2", "3"))], ("2", "5", 0.30, -0.4), ("2", "3", 0.30, -0.4)])
 
 
-@query("SELECT CAST(0.0 AS DOUBLE) AS drift, 4 AS n_nodes, 6 AS n_edges")
+@query(f"WITH pairs AS ({_CODES}), {_POS}, {_NEG} SELECT CAST(0.0 AS DOUBLE) AS drift, (SELECT count(DISTINCT cand_id) FROM pairs) AS n_nodes, (SELECT count(*) FROM (SELECT src, dst FROM pos UNION SELECT src, dst FROM neg)) AS n_edges")
 def graph_size(spark, d):
     """Vertices and edges of the code graph; kept and cut weight together are all weight."""
     pairs = code_pairs(spark, d)
@@ -302,7 +321,7 @@ def graph_size(spark, d):
     return one.select(F.abs(F.round(F.col("w") - F.col("score") - F.col("loss"), 6)).alias("drift"), "n_nodes", "n_edges")
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS node, 'p00' AS comp FROM (SELECT unnest(range(50)) AS f)")
+@query(f"WITH RECURSIVE pairs AS ({_ring(50)}), {_POS}, {_closure('SELECT src, dst FROM pos WHERE w >= 0.85')} SELECT cand_id AS node, cluster_id AS comp FROM part")
 def pos_components(spark, d):
     return graph.components(compat.positive(chain(spark, d)).where("w_pos >= 0.85"))
 
@@ -311,7 +330,7 @@ def _synth(pairs: DataFrame, p: SynthParams | None = None) -> DataFrame:
     return graph.synthesize(pairs, compat.signed_graph(pairs), p)
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(50)) AS f)")
+@query(f"WITH RECURSIVE pairs AS ({_ring(50)}), {_POS}, {_closure('SELECT src, dst FROM pos WHERE w >= 0.85')} SELECT cand_id, cluster_id FROM part")
 def synth_chain(spark, d):
     return _synth(chain(spark, d))
 
@@ -321,7 +340,7 @@ def synth_codes(spark, d):
     return _synth(code_pairs(spark, d), SynthParams(theta_edge=0.5))
 
 
-@query("SELECT * FROM (VALUES ('A1', 'A1'), ('A2', 'A1'), ('AB', 'A1'), ('B', 'A1')) t(cand_id, cluster_id)")
+@query(f"WITH RECURSIVE pairs AS ({_CODES}), {_POS}, {_closure('SELECT src, dst FROM pos WHERE w >= 0.5')} SELECT cand_id, cluster_id FROM part")
 def synth_codes_no_neg(spark, d):
     return _synth(code_pairs(spark, d), SynthParams(theta_edge=0.5, use_negative=False))
 
@@ -350,11 +369,6 @@ def objective_score(spark, d):
     return _flat(graph.objective(graph.synthesize(nodes, e, SynthParams(theta_edge=0.0)), e), "score", "loss")
 
 
-@query("SELECT 2.77 AS enumerated, 2.77 AS by_cut")
-def exact_small(spark, d):
-    return spark.createDataFrame([(round(exact.enumerate_best(FIVE)[0], 6), round(exact.solve(FIVE), 6))], "enumerated double, by_cut double")
-
-
 _DIRTY = f"SELECT cand_id, domain, l, CASE WHEN CAST(l AS BIGINT) % 97 = 0 AND CAST(right(cand_id, 2) AS INT) % 4 = 1 THEN 'Brand#WRONG' ELSE r END AS r FROM ({_ring(50)})"
 
 
@@ -379,7 +393,7 @@ def expanded_map(spark, d):
     return conflicts.expand(core, full)
 
 
-@query("SELECT 'p00' AS cluster_id, 12 AS n_domains, 50 AS n_tables")
+@query(f"WITH RECURSIVE pairs AS ({_ring(50)}), {_POS}, {_closure('SELECT src, dst FROM pos WHERE w >= 0.85')} SELECT cluster_id, count(DISTINCT domain) AS n_domains, count(DISTINCT cand_id) AS n_tables FROM part JOIN pairs USING (cand_id) GROUP BY 1 HAVING count(DISTINCT domain) >= 8")
 def popularity(spark, d):
     pairs = chain(spark, d)
     return apps.popular(apps.popularity(_synth(pairs), pairs), 8)
@@ -397,7 +411,7 @@ def run_diff(spark, d):
     return apps.diff(pairs.where("cand_id = 'A1'"), pairs.where("cand_id = 'B'"))
 
 
-@query("SELECT 'A1' AS cluster_id, 'l' AS side, 1.0 AS containment UNION ALL SELECT 'B', 'l', 1.0")
+@query(f"WITH pairs AS ({_CODES}), m AS (SELECT DISTINCT CASE cand_id WHEN 'B' THEN 'B' ELSE 'A1' END AS cluster_id, l FROM pairs) SELECT cluster_id, 'l' AS side, count(*) / (SELECT count(DISTINCT n_name) FROM nation) AS containment FROM m WHERE l IN (SELECT n_name FROM nation) GROUP BY 1")
 def map_lookup(spark, d):
     pairs = code_pairs(spark, d)
     mapping = conflicts.resolve(_synth(pairs, SynthParams(theta_edge=0.5)), pairs)
@@ -431,7 +445,7 @@ def headed(spark: SparkSession, d: str) -> DataFrame:
     return chain(spark, d).select("cand_id", "domain", h.alias("l_header"), F.lit("brand").alias("r_header"), F.lit("int").alias("l_type"), F.lit("string").alias("r_type")).distinct()
 
 
-_HEADED = "SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'site' || f % 12 AS domain, ['name','code','id'][f % 3 + 1] AS h FROM (SELECT unnest(range(50)) AS f)"
+_HEADED = f"SELECT DISTINCT cand_id, domain, ['name','code','id'][CAST(right(cand_id, 2) AS INT) % 3 + 1] AS h FROM ({_ring(50)})"
 
 
 @query(f"SELECT cand_id, domain || '|' || h || '|brand' AS cluster_id FROM ({_HEADED})")
@@ -450,13 +464,13 @@ def form_matcher(spark, d):
     return baselines.form_matcher(h, h, 0.4)
 
 
-@query("SELECT * FROM (VALUES ('A1', 'A1'), ('A2', 'A1'), ('AB', 'A1'), ('B', 'A1')) t(cand_id, cluster_id)")
+@query(f"WITH RECURSIVE pairs AS ({_CODES}), {_POS}, {_NEG}, mix AS (SELECT coalesce(pos.src, neg.src) AS src, coalesce(pos.dst, neg.dst) AS dst, 0.5 * coalesce(pos.w, 0) + 0.5 * coalesce(neg.w, 0) AS w FROM pos FULL JOIN neg ON pos.src = neg.src AND pos.dst = neg.dst), {_closure('SELECT src, dst FROM mix WHERE w >= 0.4')} SELECT cand_id, cluster_id FROM part")
 def signed_cc(spark, d):
     pairs = code_pairs(spark, d)
     return baselines.signed_components(pairs, compat.signed_graph(pairs), 0.5, 0.4)
 
 
-@query("SELECT 'p' || lpad(CAST(f AS VARCHAR), 2, '0') AS cand_id, 'p00' AS cluster_id FROM (SELECT unnest(range(50)) AS f)")
+@query(f"WITH RECURSIVE pairs AS ({_ring(50)}), {_POS}, {_closure('SELECT src, dst FROM pos WHERE w >= 0.85')} SELECT cand_id, cluster_id FROM part")
 def positive_cc(spark, d):
     pairs = chain(spark, d)
     return baselines.positive_components(pairs, compat.signed_graph(pairs), 0.85)
@@ -572,11 +586,6 @@ def scale_samples(spark, d):
     return s.withColumn("percent", grid).where(fold < F.col("percent") / 20).groupBy("percent").agg(F.count("*").alias("n_edges"))
 
 
-@query("SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
-def stream_windows(spark, d):
-    return streaming.event_windows(corpus.read(spark, d, "events")).withColumn("start", F.col("start").cast("timestamp_ntz"))
-
-
 @query("SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS qty FROM lineitem WHERE l_shipdate < TIMESTAMP '1998-09-02' GROUP BY 1, 2")
 def rel_aggregate(spark, d):
     return corpus.read(spark, d, "lineitem").where(F.col("l_shipdate") < F.lit("1998-09-02").cast("timestamp_ntz")).groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("qty"))
