@@ -8,9 +8,10 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
 
-@udtf(returnType="l_header string, r_header string, l string, r string", useArrow=True)
+@udtf(returnType=StructType([StructField(c, StringType()) for c in ("l_header", "r_header", "l", "r")]), useArrow=True)
 class ColumnPairs:
     """All ordered pairs of a row's columns, given as parallel arrays of headers and values; nulls are left out."""
 
@@ -22,7 +23,7 @@ class ColumnPairs:
                     yield h, g, v, w
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def theta_of(l: pd.Series, r: pd.Series) -> float:
     """The functional share of a relation (as a set) of one group: for groups that fit a task; ``fd_ratio`` has no such bound."""
     pairs = pd.DataFrame({"l": l, "r": r}).drop_duplicates()
