@@ -42,6 +42,8 @@ BASE_BYTES = 24_000
 OWN_BYTES = 8_000
 TRAINED_BYTES = 110_000
 SLICE_ROWS = 256
+#: How matches are searched for: of the segments all, of the trained pair, which is longer, the likely ones.
+THOROUGH, QUICK = zstandard.STRATEGY_BTLAZY2, zstandard.STRATEGY_LAZY
 RAW, AUTO = zstandard.DICT_TYPE_RAWCONTENT, zstandard.DICT_TYPE_AUTO
 HELD_OUT_FOLD, FOLDS = 0, 5
 
@@ -133,9 +135,9 @@ class Model:
 
     def compressors(self) -> tuple:
         if self._made is None:
-            params = zstandard.ZstdCompressionParameters.from_level(LEVEL, write_content_size=0, write_checksum=0, write_dict_id=0, min_match=4, strategy=zstandard.STRATEGY_BTLAZY2)
             made = []
-            for content, kind in ((self.toxic, RAW), (self.ordinary, RAW), (self.trained_toxic, AUTO), (self.trained_ordinary, AUTO)):
+            for content, kind, strategy in ((self.toxic, RAW, THOROUGH), (self.ordinary, RAW, THOROUGH), (self.trained_toxic, AUTO, QUICK), (self.trained_ordinary, AUTO, QUICK)):
+                params = zstandard.ZstdCompressionParameters.from_level(LEVEL, write_content_size=0, write_checksum=0, write_dict_id=0, min_match=4, strategy=strategy)
                 d = zstandard.ZstdCompressionDict(content, dict_type=kind)
                 d.precompute_compress(compression_params=params)
                 made.append(zstandard.ZstdCompressor(dict_data=d, compression_params=params).compress)
