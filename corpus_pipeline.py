@@ -29,7 +29,9 @@ def _with_text(docs: DataFrame, text: Column) -> Column:
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored 0.5 or more are dropped; null and empty texts stay."""
     model = toxicity.fit(docs.select("doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
-    return toxicity.score(_carried(docs).select("row", "text"), model).where("score < 0.5").select("row.*")
+    plain = docs.toDF(*[f"c{k}" for k in range(len(docs.columns))])  # each column goes through the scorer once, under no name of its own
+    kept = toxicity.score(plain, model, f"c{docs.columns.index('text')}").where("score < 0.5").drop("score")
+    return kept.toDF(*docs.columns)
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
