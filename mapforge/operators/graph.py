@@ -129,18 +129,58 @@ def merge_greedily(edges: list[tuple[str, str, float, float]], p: SynthParams) -
     return part
 
 
+def merge_in_rounds(edges: DataFrame, p: SynthParams, max_rounds: int = 200) -> DataFrame:
+    """(cand_id, cluster_id) as :func:`merge_greedily` would make them, but without a task that holds a component.
+
+    In each round two parts join where each is the other's best allowed partner; edges are then added up between the new parts.
+    The heaviest allowed edge of all is always such a pair, so rounds go on until no two parts may join. Merges far apart happen
+    in one round, so where a later sum would have overtaken an earlier weight the result can differ from the one-by-one order;
+    no strong conflict is ever inside a part.
+    """
+    strong = F.when((F.col("w_pos") >= p.theta_edge) & (F.col("w_pos") > 0), F.col("w_pos")).otherwise(F.lit(0.0))
+    conflict = F.least("w_neg", F.lit(0.0)) if p.use_negative else F.lit(0.0)
+    live = stage(edges.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), strong.alias("w"), conflict.alias("neg")), "merge-edges")
+    part = stage(live.select(F.col("a").alias("cand_id")).union(live.select("b")).distinct().withColumn("cluster_id", F.col("cand_id")), "merge-parts")
+    join = F.min if p.neg_update == "min" else F.sum
+    for _ in range(max_rounds):
+        allowed = live.where((F.col("w") > 0) & (F.col("neg") >= p.tau))
+        rank = F.struct((-F.round("w", 9)).alias("w"), "a", "b")
+        best = allowed.select(F.col("a").alias("x"), rank.alias("best")).union(allowed.select("b", rank)).groupBy("x").agg(F.min("best").alias("best"))
+        pairs = best.groupBy("best.a", "best.b").agg(F.count("*").alias("n")).where("n = 2")
+        joined = stage(pairs.select(F.col("b").alias("old"), F.col("a").alias("new")), "merge-joined")
+        if joined.isEmpty():
+            break
+        nxt = live
+        for end in ("a", "b"):
+            nxt = nxt.join(joined.withColumnRenamed("old", end), end, "left").withColumn(end, F.coalesce("new", end)).drop("new")
+        nxt = nxt.where("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.sum("w").alias("w"), join("neg").alias("neg"))
+        live, last = stage(nxt, "merge-edges"), live
+        part, before = stage(part.join(joined.withColumnRenamed("old", "cluster_id"), "cluster_id", "left").select("cand_id", F.coalesce("new", "cluster_id").alias("cluster_id")), "merge-parts"), part
+        drop(last)
+        drop(before)
+    else:
+        raise RuntimeError(f"merging did not end in {max_rounds} rounds")
+    names = part.groupBy("cluster_id").agg(F.min("cand_id").alias("least"))
+    return part.join(names, "cluster_id").select("cand_id", F.col("least").alias("cluster_id"))
+
+
 def synthesize(nodes: DataFrame, edges: DataFrame, p: SynthParams | None = None) -> DataFrame:
-    """(cand_id, cluster_id): divide by positive components, then partition each one in a task of its own."""
+    """(cand_id, cluster_id): divide by positive components, then partition each one in a task of its own, giant ones in rounds."""
     p = p or SynthParams()
     edges = stage(edges, "edges")
     comp = stage(components(edges.where((F.col("w_pos") >= p.theta_edge) & (F.col("w_pos") > 0))), "parts")
     inside = edges.join(comp.select(F.col("node").alias("src"), "comp"), "src").join(comp.select(F.col("node").alias("dst"), F.col("comp").alias("comp2")), "dst").where("comp = comp2")
+    inside = stage(inside.select("comp", "src", "dst", "w_pos", "w_neg"), "inside")
+    giant = [r["comp"] for r in inside.groupBy("comp").agg(F.count("*").alias("n")).where(F.col("n") > p.task_edges).collect()]  # each has so many edges
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         got = merge_greedily(list(zip(pdf["src"], pdf["dst"], pdf["w_pos"], pdf["w_neg"])), p)
         return pd.DataFrame({"cand_id": list(got), "cluster_id": list(got.values())})
 
-    found = inside.select("comp", "src", "dst", "w_pos", "w_neg").groupBy("comp").applyInPandas(run, "cand_id string, cluster_id string")
+    small = inside.where(~F.col("comp").isin(giant)) if giant else inside
+    found = small.groupBy("comp").applyInPandas(run, "cand_id string, cluster_id string")
+    if giant:
+        found = found.union(merge_in_rounds(inside.where(F.col("comp").isin(giant)), p))
     return nodes.select("cand_id").distinct().join(found, "cand_id", "left").select("cand_id", F.coalesce("cluster_id", "cand_id").alias("cluster_id"))
 
 

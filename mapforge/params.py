@@ -16,3 +16,5 @@ class SynthParams:
     tau: float = -0.2
     use_negative: bool = True
     neg_update: str = "min"
+    #: Components of more edges than this are merged in distributed rounds, others each in one task.
+    task_edges: int = 2_000_000

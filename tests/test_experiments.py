@@ -230,3 +230,26 @@ def test_time_cut_tables_are_partial(spark):
 def test_sliding_tables_cover_every_key(spark):
     part = corpus.read(spark, SF, "part")
     assert workloads.chain(spark, SF).select("l").distinct().count() == part.count()
+
+
+def test_giant_components_are_merged_in_rounds(spark):
+    rng = random.Random(11)
+    names = [f"v{k:02}" for k in range(18)]
+    weights = rng.sample(range(1, 2000), 153)
+    edges = [(a, b, weights.pop() / 2000, -0.5 if rng.random() < 0.15 else 0.0) for a, b in itertools.combinations(names, 2) if rng.random() < 0.35]
+    df, nodes = spark.createDataFrame(edges, EDGE), spark.createDataFrame([(n,) for n in names], "cand_id string")
+    part = {r["cand_id"]: r["cluster_id"] for r in graph.synthesize(nodes, df, SynthParams(theta_edge=0.1, task_edges=0)).collect()}
+    assert set(part) == set(names) and all(part[a] != part[b] for a, b, _, neg in edges if neg < -0.2)
+    assert all(min(v for v in names if part[v] == c) == c for c in part.values())
+    # no two parts are left that may join
+    clusters = set(part.values())
+    for x, y in itertools.combinations(clusters, 2):
+        cross = [e for e in edges if {part[e[0]], part[e[1]]} == {x, y}]
+        assert not any(e[2] >= 0.1 for e in cross) or any(e[3] < -0.2 for e in cross)
+
+
+def test_rounds_equal_the_one_by_one_order_on_a_chain_of_codes(spark):
+    for d_pairs in (workloads.code_pairs(spark, SF), workloads.chain(spark, SF)):
+        edges = compat.signed_graph(d_pairs)
+        one = {tuple(r) for r in graph.synthesize(d_pairs, edges, SynthParams(theta_edge=0.5)).collect()}
+        assert {tuple(r) for r in graph.synthesize(d_pairs, edges, SynthParams(theta_edge=0.5, task_edges=0)).collect()} == one
