@@ -26,6 +26,7 @@ import zlib
 from collections import defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
+from struct import pack
 from uuid import uuid4
 
 import numpy as np
@@ -95,6 +96,7 @@ class Vocabulary:
             spec = json.load(f)
         _refuse_other_rules(spec)
         self.tokenizer = Tokenizer.from_str(json.dumps(spec))
+        self.tokenize = self.tokenizer.model.tokenize
         self.letters = _byte_letters()
         self.specials = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.split = re.compile("(" + "|".join(map(re.escape, self.specials)) + ")")
@@ -119,15 +121,20 @@ class Vocabulary:
             return self._cut(text)
         return [w for part in parts if part for w in ([f" {part}"] if part in self.specials else self._cut(part))]
 
-    def word_ids(self, word: str) -> bytes:
-        """Ids of a word as little-endian unsigned 32-bit integers."""
-        if word[0] == " ":
-            return np.array([self.specials[word[1:]]], "<u4").tobytes()
-        ids: list[int] = []
-        for w in [word] if _PLAIN.search(word) else _WORDS.findall(word):
-            piece = "".join([self.letters[b] for b in w.encode()])
-            ids += [t.id for t in self.tokenizer.model.tokenize(piece)]
-        return np.array(ids, "<u4").tobytes()
+    def parts(self, word: str) -> list[str]:
+        """The words of which a word between white space is made."""
+        if word[0] == " " or (word.isascii() and word.isalpha()):
+            return [word]
+        return [word] if _PLAIN.search(word) else _WORDS.findall(word)
+
+    def part_ids(self, part: str) -> bytes:
+        """Ids of one part as little-endian unsigned 32-bit integers."""
+        if part[0] == " ":
+            return np.array([self.specials[part[1:]]], "<u4").tobytes()
+        # Letters, digits and marks of ASCII stand for themselves; no part holds white space or control characters among them
+        piece = part if part.isascii() and part.isprintable() else "".join([self.letters[b] for b in part.encode()])
+        ids = [t.id for t in self.tokenize(piece)]
+        return pack(f"<{len(ids)}I", *ids)
 
 
 @lru_cache(maxsize=1)
@@ -148,7 +155,8 @@ class WordTable(dict):
     def __missing__(self, word: str) -> bytes:
         found = self.older.get(word)
         if found is None:
-            found = self.vocabulary.word_ids(word)
+            parts = self.vocabulary.parts(word)
+            found = self.vocabulary.part_ids(word) if len(parts) == 1 else b"".join([self[p] for p in parts])
         self.held += 250 + 2 * len(word) + len(found)  # with what Python keeps beside them
         if self.held > TABLE_BYTES:
             self.older, self.held = dict(self), 0
@@ -157,7 +165,7 @@ class WordTable(dict):
         return found
 
     def encode(self, text: str | None) -> bytes:
-        return b"".join([self[w] for w in self.vocabulary.cut(text)])
+        return b"".join(map(self.__getitem__, self.vocabulary.cut(text)))
 
 
 def _packed(batch: pa.RecordBatch) -> bytes:
@@ -249,7 +257,7 @@ def _encode_words(path: str):
     """Step 2: words in the order of their buckets in, ids out; each distinct word of a bucket is encoded once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, last, known = vocabulary_of(path), None, {}
+        parts, last, known = WordTable(path), None, {}
         for whole in batches:
             for *place, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
                 if bucket != last:
@@ -258,7 +266,7 @@ def _encode_words(path: str):
                 words = words.split("\n") if words else []
                 for w in words:
                     if w not in known:
-                        known[w] = vocabulary.word_ids(w)
+                        known[w] = b"".join([parts[x] for x in parts.vocabulary.parts(w)])
                 ids = [known[w] for w in words]
                 sizes = np.array([len(x) // 4 for x in ids], "<u4")
                 yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids)))])
