@@ -142,30 +142,53 @@ def vocabulary_of(path: str) -> Vocabulary:
     return Vocabulary(path)
 
 
-class WordTable(dict):
+class WordTable:
     """The words that one task has met lately, with their ids: two generations of ``TABLE_BYTES`` at most.
 
     When the younger is full it becomes the older, and the older goes; a word that is met again moves back. So
-    frequent words stay, memory is bounded, and no result changes.
+    frequent words stay, memory is bounded (but for the words of one text), and no result changes.
     """
 
     def __init__(self, path: str):
-        self.vocabulary, self.held, self.older = vocabulary_of(path), 0, {}
-
-    def __missing__(self, word: str) -> bytes:
-        found = self.older.get(word)
-        if found is None:
-            parts = self.vocabulary.parts(word)
-            found = self.vocabulary.part_ids(word) if len(parts) == 1 else b"".join([self[p] for p in parts])
-        self.held += 250 + 2 * len(word) + len(found)  # with what Python keeps beside them
+        self.vocabulary, self.held = vocabulary_of(path), 0
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    def learn(self, words: set[str]) -> None:
+        """Enter words that the younger generation lacks; the parts of which they are made enter it too."""
+        known, older, part_ids, parts_of = self.known, self.older, self.vocabulary.part_ids, self.vocabulary.parts
+        before = len(known)
+        for w in words:
+            found = older.get(w)
+            if found is None:
+                parts = parts_of(w)
+                if len(parts) == 1:
+                    found = part_ids(w)
+                else:
+                    each = []
+                    for p in parts:
+                        x = known.get(p)
+                        if x is None:
+                            x = known[p] = older.get(p) or part_ids(p)
+                        each.append(x)
+                    found = b"".join(each)
+            known[w] = found
+            self.held += 2 * (len(w) + len(found))
+        self.held += 200 * (len(known) - before)  # what Python keeps beside them
+
+    def of(self, words: list[str]) -> list[bytes]:
         if self.held > TABLE_BYTES:
-            self.older, self.held = dict(self), 0
-            self.clear()
-        self[word] = found
-        return found
+            self.known, self.older, self.held = {}, self.known, 0
+        known = self.known
+        self.learn({w for w in words if w not in known})
+        return [known[w] for w in words]
 
     def encode(self, text: str | None) -> bytes:
-        return b"".join(map(self.__getitem__, self.vocabulary.cut(text)))
+        words, known = self.vocabulary.cut(text), self.known
+        try:
+            return b"".join([known[w] for w in words])
+        except KeyError:
+            return b"".join(self.of(words))
 
 
 def _packed(batch: pa.RecordBatch) -> bytes:
@@ -257,16 +280,15 @@ def _encode_words(path: str):
     """Step 2: words in the order of their buckets in, ids out; each distinct word of a bucket is encoded once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts, last, known = WordTable(path), None, {}
+        table_, last, known = WordTable(path), None, {}
         for whole in batches:
             for *place, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
                 if bucket != last:
                     last, known = bucket, {}
                 words = zstandard.decompress(payload).decode()
                 words = words.split("\n") if words else []
-                for w in words:
-                    if w not in known:
-                        known[w] = b"".join([parts[x] for x in parts.vocabulary.parts(w)])
+                new = [w for w in words if w not in known]
+                known.update(zip(new, table_.of(new)))
                 ids = [known[w] for w in words]
                 sizes = np.array([len(x) // 4 for x in ids], "<u4")
                 yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids)))])
