@@ -21,6 +21,7 @@ import math
 import pickle
 import re
 import zlib
+from bisect import bisect_left, bisect_right
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -137,6 +138,25 @@ def build_index(templates: dict[str, list[str]] | None = None, run: int = RUN, w
     return Index(listed, dict(postings), words)
 
 
+class _Covered:
+    """Stretches of words, with the furthest end among those that begin no later than a place."""
+
+    def __init__(self) -> None:
+        self.begins: list[int] = []
+        self.furthest: list[int] = []
+
+    def add(self, a: int, b: int) -> None:
+        at = bisect_right(self.begins, a)
+        self.begins.insert(at, a)
+        self.furthest.insert(at, max(b, self.furthest[at - 1] if at else b))
+        for k in range(at + 1, len(self.furthest)):  # hardly ever more than a few: matches come in order of place
+            self.furthest[k] = max(self.furthest[k], b)
+
+    def holds(self, a: int, b: int) -> bool:
+        at = bisect_right(self.begins, a)
+        return at > 0 and b <= self.furthest[at - 1]
+
+
 def _goes_on(text: str, last: str, end: int) -> bool:
     """Whether a version at the end of a match has another number behind it, as 2 in 2.1; 2.0 is 2."""
     more = _MORE.match(text, end) if last.isdigit() else None
@@ -162,9 +182,9 @@ def find(text: str, index: Index, min_coverage: float = MIN_COVERAGE, run: int =
             proposed[k][i - at].append(i)
     for k, diagonals in proposed.items():
         name, template = index.templates[k]
-        done: list[tuple[int, int]] = []
+        done = _Covered()
         for d in sorted(diagonals):
-            if all(any(a <= i and i + run - 1 <= b for a, b in done) for i in diagonals[d]):
+            if all(done.holds(i, i + run - 1) for i in diagonals[d]):
                 continue
             base = max(0, d - band // 2)
             near = words[base : d + len(template) + band]
@@ -174,13 +194,14 @@ def find(text: str, index: Index, min_coverage: float = MIN_COVERAGE, run: int =
             a, b = base + pairs[0][1], base + pairs[-1][1]
             coverage = len(pairs) / (len(template) + (b - a + 1 - len(pairs)))
             if coverage >= min_coverage and not _goes_on(low, words[b], spans[b][1]):
-                done.append((a, b))
+                done.add(a, b)
                 found.append((name, spans[a][0], spans[b][1], coverage, len(pairs)))
-    kept: list[tuple[str, int, int, float, int]] = []
+    kept: list[tuple[int, int, tuple[str, int, int, float, int]]] = []  # disjoint, by place
     for f in sorted(found, key=lambda f: (-f[4], -f[3], f[1], f[0])):
-        if all(f[2] <= k[1] or k[2] <= f[1] for k in kept):
-            kept.append(f)
-    return sorted(kept, key=lambda f: f[1])
+        at = bisect_left(kept, (f[1],))
+        if (at == len(kept) or f[2] <= kept[at][0]) and (at == 0 or kept[at - 1][1] <= f[1]):
+            kept.insert(at, (f[1], f[2], f))
+    return [f for _, _, f in kept]
 
 
 def scan(docs: DataFrame, templates: dict[str, list[str]] | None = None, min_coverage: float = MIN_COVERAGE) -> DataFrame:

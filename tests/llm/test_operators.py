@@ -321,3 +321,10 @@ def test_bootstrapping_finds_unseen_identifiers(spark):
     for k, _ in clean:
         assert got[k]["spans"] == []
     assert pii.extract(docs.limit(0)).count() == 0
+
+
+def test_licenses_of_a_text_with_very_many_notices():
+    index = licenses.build_index()
+    text = "Released under the MIT License\nLicensed under CC BY 4.0 or so\n" * 4000
+    found = licenses.find(text, index)
+    assert len(found) == 8000 and {f[0] for f in found} == {"MIT", "CC-BY-4.0"} and all(a[2] <= b[1] for a, b in zip(found, found[1:]))
