@@ -50,6 +50,7 @@ STEP = 2
 #: Words whose hashes a task keeps, of 40 letters at most: some 10 MB. A full table is emptied, which changes no result.
 KNOWN_WORDS = 60_000
 _WORD = re.compile(r"\w+")
+_SEEN = np.uint64(42)
 
 
 def meeting_chance(jaccard: float, prefix: int, trees: int = TREES) -> float:
@@ -151,7 +152,8 @@ def _links_of_sample(sample: dict, hashes: np.ndarray, own: np.ndarray, threshol
     """For each sampled set that this one links with, itself excepted, the longest prefix they share."""
     if not len(sample["runs"]):
         return []
-    lo, hi = np.searchsorted(sample["runs"], hashes), np.searchsorted(sample["runs"], hashes, "right")
+    few = hashes[sample["seen"][hashes >> _SEEN]]  # nearly all runs end at this table
+    lo, hi = np.searchsorted(sample["runs"], few), np.searchsorted(sample["runs"], few, "right")
     hit = np.flatnonzero(hi > lo)
     if not len(hit):
         return []
@@ -173,6 +175,8 @@ def signatures(docs: DataFrame, threshold: float = THRESHOLD, trees: int = TREES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, asked = Words(), pickle.loads(state.value)
+        asked["seen"] = np.zeros(1 << 22, bool)  # by the upper 22 bits of a run
+        asked["seen"][np.asarray(asked["runs"], np.uint64) >> _SEEN] = True
         for whole in batches:
             for i in range(0, whole.num_rows, SLICE_ROWS):
                 part = whole.slice(i, SLICE_ROWS)
