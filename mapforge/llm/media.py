@@ -86,7 +86,7 @@ def write_shards(docs: DataFrame, key: str = "doc_id", text: str = "text", folde
     """Store payloads in tar shards; one row per document: key, digest, shard, offset, length, n_bytes."""
     spark = docs.sparkSession
     folder = folder or fresh_path(spark, "media")
-    schema = docs.select(F.col(key).alias("key")).schema.add("digest", "string").add("shard", "string").add("offset", "long").add("length", "long").add("n_bytes", "long")
+    schema = docs.select(F.col(key).alias("key")).schema.add("digest", "binary").add("shard", "string").add("offset", "long").add("length", "long").add("n_bytes", "long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, root = fs.FileSystem.from_uri(folder)
@@ -98,10 +98,10 @@ def write_shards(docs: DataFrame, key: str = "doc_id", text: str = "text", folde
                 for k, t in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     payload = payload_of(t)
                     size = len((t or "").encode())
-                    name = hashlib.sha256(b"%d:" % size + payload).hexdigest()
+                    name = hashlib.sha256(b"%d:" % size + payload).digest()
                     if name not in known:
                         data = to_png(payload)
-                        info = tarfile.TarInfo(name[:60])
+                        info = tarfile.TarInfo(name.hex()[:60])
                         info.size = len(data)
                         member = info.tobuf(tarfile.USTAR_FORMAT) + data + bytes(-len(data) % tarfile.BLOCKSIZE)
                         out = out or store.open_output_stream(f"{root}/{shard}")
@@ -111,7 +111,7 @@ def write_shards(docs: DataFrame, key: str = "doc_id", text: str = "text", folde
                     rows.append((k, name, f"{folder}/{shard}", *known[name], size))
                 if rows:
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(c, kind) for c, kind in zip(zip(*rows), [part.column(0).type, pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64()])],
+                        [pa.array(c, kind) for c, kind in zip(zip(*rows), [part.column(0).type, pa.binary(), pa.string(), pa.int64(), pa.int64(), pa.int64()])],
                         names=["key", "digest", "shard", "offset", "length", "n_bytes"],
                     )
         if out:
@@ -201,7 +201,8 @@ def op6_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     places = index(rows).repartitionByRange("shard", "offset").sortWithinPartitions("shard", "offset")
     # Headers first, by ranges of HEADER_BYTES alone, then whole members
     seen = payload_columns(header_columns(places)).withColumn("feature", F.format_string("png %dx%dx%d colour=%d %s", "width", "height", "depth", "colour", "feature"))
-    seen = persist_table(seen.select("digest", "width", "height", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"), "media-seen")
-    return rows.select(F.col("key").alias("doc_id"), "digest", "n_bytes").join(seen, "digest").select(
-        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "width", "height"
-    )
+    # Digests wait as bytes, half as long as their digits
+    sums = ("payload_sha256", "media_sha256")
+    seen = seen.withColumns({c: F.unhex(c) for c in sums}).select("digest", "width", "height", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
+    full = rows.select(F.col("key").alias("doc_id"), "digest", "n_bytes").join(persist_table(seen, "media-seen"), "digest").withColumns({c: F.lower(F.hex(c)) for c in sums})
+    return full.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "width", "height")
