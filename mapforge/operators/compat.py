@@ -51,7 +51,8 @@ def positive(pairs: DataFrame, theta_overlap: int = 0) -> DataFrame:
 
 def positive_all_pairs(pairs: DataFrame) -> DataFrame:
     """Every pair of candidates compared, for small inputs only: the reference for :func:`positive`."""
-    sets = pairs.groupBy("cand_id").agg(F.collect_set(F.struct("l", "r")).alias("s"))
+    pair = F.concat_ws(":", F.length("l"), "l", "r")  # one string for each pair: intersections then go by hash
+    sets = pairs.groupBy("cand_id").agg(F.collect_set(pair).alias("s"))
     a, b = sets.select(F.col("cand_id").alias("src"), F.col("s").alias("s1")), sets.select(F.col("cand_id").alias("dst"), F.col("s").alias("s2"))
     met = a.crossJoin(b).where("src < dst").withColumn("common", F.size(F.array_intersect("s1", "s2"))).where("common > 0")
     return met.select("src", "dst", (F.col("common") / F.least(F.size("s1"), F.size("s2"))).alias("w_pos"))

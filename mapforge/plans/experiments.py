@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from mapforge.operators import baselines, candidates, compat, conflicts, exact, graph, measures
 from mapforge.params import SynthParams
-from mapforge.plans.workloads import _flat, _ring, code_pairs
+from mapforge.plans.workloads import _NAV, _PAIRSCORE, _flat, _ring, code_pairs
 from mapforge.sources import corpus
 from mapforge.sources.storage import stage
 
@@ -358,7 +358,11 @@ def cells_to_mapping(spark, d):
     return mapping.where("support = 10").join(nations, "l", "left_semi").select("l", "r", "support")
 
 
-@query()
+_MIXED = """cols AS (SELECT DISTINCT 'region' || n_regionkey || '_' || f AS col_uid, n_name AS value FROM nation, (SELECT unnest(range(4)) AS f) UNION SELECT DISTINCT 'brands_' || f, p_brand FROM part, (SELECT unnest(range(4)) AS f)
+    UNION SELECT 'mixed', n_name FROM nation WHERE n_regionkey < 2 UNION SELECT 'mixed', p_brand FROM part)"""
+
+
+@query(f"WITH {_MIXED}{_PAIRSCORE[len(_NAV):]} SELECT a.col_uid, round(avg(score), 6) AS coherence FROM cols a JOIN cols b ON a.col_uid = b.col_uid AND a.value < b.value JOIN scored ON u = a.value AND v = b.value GROUP BY 1")
 def mixed_column(spark, d):
     """(col_uid, coherence) of pure columns cut from nations by region, and of one that interleaves two regions' nations with brands."""
     n = corpus.read(spark, d, "nation")
