@@ -2,7 +2,7 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept; its decisions
 take effect on what it returns. All but the last return the columns of ``documents`` and keep any
-others that came in, whatever their names: a row travels as one struct beside what an operator adds.
+others that came in, whatever their names: they are numbered while an operator adds columns of its own.
 Null and empty texts stay until packing, where each is one piece; an empty table gives no rows.
 """
 
@@ -15,31 +15,35 @@ from mapforge.llm import lines, neardup, packing, pii, toxicity
 from mapforge.llm.common import persist_table, table
 
 
-def _carried(docs: DataFrame) -> DataFrame:
-    """(row, doc_id, text): the whole row as one struct, so that no column an operator adds meets one of its names."""
-    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "doc_id", "text")
+def _renamed(docs: DataFrame) -> DataFrame:
+    """``docs`` with doc_id and text as they are and all other columns numbered, so that no name an operator adds meets one of them."""
+    return docs.toDF(*[c if c in ("doc_id", "text") else f"c{k}" for k, c in enumerate(docs.columns)])
 
 
-def _with_text(docs: DataFrame, text: Column) -> Column:
-    """The row with another text, and its number of code points where it has that column."""
-    row = F.col("row").withField("text", text)
-    return row.withField("n_chars", F.length(text).cast(dict(docs.dtypes)["n_chars"])) if "n_chars" in docs.columns else row
+def _restored(found: DataFrame, docs: DataFrame, changed: Column, text: Column) -> DataFrame:
+    """The columns of ``docs`` again, where ``changed`` with another text and its number of code points."""
+
+    def column(k: int, name: str, kind: str) -> Column:
+        if name == "text":
+            return F.when(changed, text).otherwise(F.col("text"))
+        old = F.col(name if name == "doc_id" else f"c{k}")
+        return F.when(changed, F.length(text).cast(kind)).otherwise(old) if name == "n_chars" else old
+
+    return found.select(*[column(k, name, kind).alias(name) for k, (name, kind) in enumerate(docs.dtypes)])
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored 0.5 or more are dropped; null and empty texts stay."""
     model = toxicity.fit(docs.select("doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
-    plain = docs.toDF(*[f"c{k}" for k in range(len(docs.columns))])  # each column goes through the scorer once, under no name of its own
-    kept = toxicity.score(plain, model, f"c{docs.columns.index('text')}").where("score < 0.5").drop("score")
+    kept = toxicity.score(_renamed(docs), model).where("score < 0.5").drop("score")
     return kept.toDF(*docs.columns)
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeated lines leave their documents; a document all of whose lines are repeated goes. Null and blank texts stay."""
-    done = lines.dedup(_carried(docs))
+    done = lines.dedup(_renamed(docs))
     emptied = (F.col("removed") > 0) & ~F.col("text").rlike(r"\S")
-    done = done.where(~F.coalesce(emptied, F.lit(False)))
-    return done.select(F.when(F.col("removed") > 0, _with_text(docs, F.col("text"))).otherwise(F.col("row")).alias("row")).select("row.*")
+    return _restored(done.where(~F.coalesce(emptied, F.lit(False))), docs, F.col("removed") > 0, F.col("text"))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,7 +58,7 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     twice = found.where(same & (F.col("n_links") > 0)).groupBy("doc_id", "mark").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "mark")
     # gone: other rows of a class; twice: rows that repeat both id and text of a class's first row
     marks = persist_table(gone.withColumn("twice", F.lit(False)).union(twice.withColumn("twice", F.lit(True))).distinct(), "copies")
-    rows = _carried(docs).withColumn("mark", F.xxhash64("text"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "doc_id", F.xxhash64("text").alias("mark"))
     other = marks.select(F.col("doc_id").alias("m_id"), F.col("mark").alias("m_mark"), "twice")
     met = rows.join(other, (F.col("mark") == F.col("m_mark")) & F.col("doc_id").eqNullSafe(F.col("m_id")), "left")
     once = met.where("twice is null").select("row.*")
@@ -65,9 +69,8 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def redact_pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every identifier is replaced by its kind in brackets."""
-    marked = pii.attach(_carried(docs), pii.added(docs.select("doc_id", "text")))
-    row = F.when(F.size("spans") > 0, _with_text(docs, pii.redact(F.col("text"), F.col("spans")))).otherwise(F.col("row"))
-    return marked.select(row.alias("row")).select("row.*")
+    marked = pii.attach(_renamed(docs), pii.added(docs.select("doc_id", "text")))
+    return _restored(marked, docs, F.size("spans") > 0, pii.redact(F.col("text"), F.col("spans")))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
