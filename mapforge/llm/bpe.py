@@ -44,7 +44,9 @@ VOCABULARY = "word_bpe_49k.json"
 BLOCK_WORDS = 100_000
 BLOCK_POSITIONS = 1_500_000
 #: Bytes of input for each bucket of the word table.
-BUCKET_BYTES = 8_000_000
+BUCKET_BYTES = 12_000_000
+#: How hard words, numbers and ids are compressed before they are written.
+LEVEL = 6
 #: Bytes of words and ids that a generation of a task's own table (see ``WordTable``) may hold.
 TABLE_BYTES = 32_000_000
 SLICE_ROWS = 256
@@ -242,9 +244,11 @@ def _to_blocks(path: str, folder: str, keep: list[str], text: str, buckets: int)
             for part, found in docs:
                 ends = np.concatenate([[0], np.cumsum([len(x) for x in found])])
                 flat = rank[np.fromiter((n for x in found for n in x), np.int64, int(ends[-1]))]
-                lists = pa.LargeListArray.from_arrays(pa.array(ends, pa.int64()), pa.array(flat))
-                packed = _packed(pa.RecordBatch.from_arrays([*part.columns, lists], names=[str(k) for k in range(len(part.columns) + 1)]))
-                body += [len(packed).to_bytes(8, "little"), packed]
+                batch = pa.RecordBatch.from_arrays([*part.columns, pa.array(np.diff(ends))], names=[str(k) for k in range(len(part.columns) + 1)])
+                # Numbers by their bytes: the first bytes of all, then the second, then the third
+                planes = np.ascontiguousarray(flat.astype("<u4").view("u1").reshape(-1, 4).T)
+                for x in (_packed(batch), zstandard.compress(planes.tobytes(), LEVEL)):
+                    body += [len(x).to_bytes(8, "little"), x]
             body = b"".join(body)
             if out is None:
                 store.create_dir(root, recursive=True)
@@ -256,7 +260,7 @@ def _to_blocks(path: str, folder: str, keep: list[str], text: str, buckets: int)
             for k in order:
                 by_bucket.setdefault(home[k], []).append(words[k])
             for b, own in by_bucket.items():
-                yield _rows([(*place, b, zstandard.compress("\n".join(own).encode()))])
+                yield _rows([(*place, b, zstandard.compress("\n".join(own).encode(), LEVEL))])
 
         numbers, docs, positions = fresh(), [], 0
         for whole in batches:
@@ -291,7 +295,7 @@ def _encode_words(path: str):
                 known.update(zip(new, table_.of(new)))
                 ids = [known[w] for w in words]
                 sizes = np.array([len(x) // 4 for x in ids], "<u4")
-                yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids)))])
+                yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids), LEVEL))])
 
     return run
 
@@ -314,16 +318,20 @@ def _to_documents(keep: list[str]):
             body = f.read(length)
         k = 0
         while k < length:
-            n = int.from_bytes(body[k : k + 8], "little")
-            pack = _unpacked(body[k + 8 : k + 8 + n])
-            k += 8 + n
-            lists = pack.column(pack.num_columns - 1)
-            where = lists.flatten().to_numpy().astype(np.int64)
+            both = []
+            for _ in range(2):
+                n = int.from_bytes(body[k : k + 8], "little")
+                both.append(body[k + 8 : k + 8 + n])
+                k += 8 + n
+            pack = _unpacked(both[0])
+            counts = pack.column(pack.num_columns - 1).to_numpy()
+            planes = np.frombuffer(zstandard.decompress(both[1]) if counts.any() else b"", np.uint8).reshape(4, -1)
+            where = np.ascontiguousarray(planes.T).view("<u4").ravel().astype(np.int64)
             each = size[where] if len(where) else np.empty(0, np.int64)
             total = np.concatenate([[0], np.cumsum(each)])
             ids = data[np.repeat(begin[where] - total[:-1], each) + np.arange(total[-1])] if len(where) else data[:0]
-            bounds = (4 * total[lists.offsets.to_numpy()]).astype("<i8")
-            out = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(lists), [None, pa.py_buffer(bounds.tobytes()), pa.py_buffer(ids.astype("<u4").tobytes())])
+            bounds = (4 * total[np.concatenate([[0], np.cumsum(counts)])]).astype("<i8")
+            out = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(counts), [None, pa.py_buffer(bounds.tobytes()), pa.py_buffer(ids.astype("<u4").tobytes())])
             yield pa.RecordBatch.from_arrays([*(pack.column(c) for c in range(len(keep))), out.cast(pa.binary())], names=[*keep, "ids"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
