@@ -45,6 +45,8 @@ BLOCK_WORDS = 100_000
 BLOCK_POSITIONS = 1_500_000
 #: Bytes of input for each bucket of the word table.
 BUCKET_BYTES = 12_000_000
+#: Parts of words, as a word and the marks behind it, that a task keeps from pack to pack; more are forgotten, which changes no result.
+PIECES = 50_000
 #: How hard words, numbers and ids are compressed before they are written.
 LEVEL = 6
 #: Bytes of words and ids that a generation of a task's own table (see ``WordTable``) may hold.
@@ -284,15 +286,26 @@ def _encode_words(path: str):
     """Step 2: words in the order of their buckets in, ids out; each distinct word of a bucket is encoded once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table_, last, known = WordTable(path), None, {}
+        vocabulary, last, known, pieces = vocabulary_of(path), None, {}, {}
         for whole in batches:
             for *place, bucket, payload in zip(*(c.to_pylist() for c in whole.columns)):
                 if bucket != last:
                     last, known = bucket, {}
                 words = zstandard.decompress(payload).decode()
                 words = words.split("\n") if words else []
-                new = [w for w in words if w not in known]
-                known.update(zip(new, table_.of(new)))
+                if len(pieces) > PIECES:
+                    pieces.clear()
+                for w in words:
+                    if w in known:
+                        continue
+                    parts = vocabulary.parts(w)
+                    if len(parts) == 1:
+                        known[w] = vocabulary.part_ids(w)
+                        continue
+                    for p in parts:
+                        if p not in pieces:
+                            pieces[p] = vocabulary.part_ids(p)
+                    known[w] = b"".join([pieces[p] for p in parts])
                 ids = [known[w] for w in words]
                 sizes = np.array([len(x) // 4 for x in ids], "<u4")
                 yield _rows([(*place, bucket, zstandard.compress(len(ids).to_bytes(8, "little") + sizes.tobytes() + b"".join(ids), LEVEL))])
