@@ -197,8 +197,9 @@ def members(shard: bytes) -> list[tuple[str, int, int]]:
 
 def op6_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = write_shards(table(spark, sf_dir, "documents", "doc_id", "text"))
-    # Sorted by place, neighbouring index rows read neighbouring bytes of one shard.
-    places = index(rows).repartitionByRange("shard", "offset").sortWithinPartitions("shard", "offset")
+    # Sorted by place, neighbouring index rows read neighbouring bytes of one shard; as many tasks read as wrote.
+    shards = max(1, rows.select("shard").distinct().count())
+    places = index(rows).repartitionByRange(shards, "shard", "offset").sortWithinPartitions("shard", "offset")
     # Headers first, by ranges of HEADER_BYTES alone, then whole members
     seen = payload_columns(header_columns(places)).withColumn("feature", F.format_string("png %dx%dx%d colour=%d %s", "width", "height", "depth", "colour", "feature"))
     # Digests wait as bytes, half as long as their digits
