@@ -8,7 +8,7 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
-from mapforge.operators import compat
+from mapforge.operators import compat, graph, measures
 from mapforge.plans import workloads
 from mapforge.sources import corpus
 
@@ -44,3 +44,35 @@ def test_sliding_tables_of_any_number_are_distinct_and_whole(spark):
     got = [tuple(x) for x in corpus.sliding(df, "k", "l", "r", 65, "q").select("cand_id", "l").collect()]
     want = {(f"q{f:02d}", str(k // 2)) for f in range(65) for k in range(70) if (k - f * 70 // 50) % 70 < 14}
     assert len(got) == len(set(got)) and set(got) == want
+
+
+@pytest.mark.parametrize("mode", ["literal", "lenient"])
+@pytest.mark.parametrize("least", [0, 1, 2])
+def test_the_signed_graph_equals_both_weights_apart(spark, monkeypatch, mode, least):
+    monkeypatch.setattr(compat, "BLOCK", 3)
+    rng = random.Random(least)
+    rows = {(f"t{rng.randint(0, 12):02d}", rng.choice(["a", "b", "c", "d", None]), rng.choice(["x", "y", "z", None])) for _ in range(60)}
+    rows |= {(f"u{k}", f"m{j}", f"{j * k // 4}") for k in range(8) for j in range(6)}  # each left once in a table
+    pairs = spark.createDataFrame(sorted(rows, key=repr), "cand_id string, l string, r string")
+    full = compat.positive(pairs, least).join(compat.negative(pairs, mode, least), ["src", "dst"], "full").fillna(0.0)
+    got = sorted(map(tuple, compat.signed_graph(pairs, least, mode).collect()))
+    assert got == sorted(map(tuple, full.select("src", "dst", "w_pos", "w_neg").collect())) and any(x[3] < 0 for x in got)
+
+
+def test_the_graph_of_a_chain_broadcasts_no_values(spark):
+    """What synth_chain, popularity, positive_cc, pivot_cc and the case queries build on."""
+    assert not _value_broadcasts(compat.signed_graph(workloads.chain(spark, SF)))
+
+
+def test_scores_broadcast_no_values(spark):
+    pairs = workloads.chain(spark, SF).select(F.col("cand_id").alias("relation_id"), "l", "r")
+    assert not _value_broadcasts(measures.prf(pairs, workloads.truth(spark, SF)))
+
+
+def test_a_partition_is_a_table_of_known_size(spark):
+    """Its join with pairs then never takes the pairs, whose size is underrated, for the smaller side."""
+    pairs = workloads.chain(spark, SF)
+    edges = spark.createDataFrame([("p00", "p01", 1.0, 0.0)], "src string, dst string, w_pos double, w_neg double")
+    assign = graph.synthesize(pairs, edges)
+    size = lambda df: int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    assert assign.count() == 50 and size(assign) < size(pairs)
