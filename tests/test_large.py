@@ -20,7 +20,7 @@ def _value_broadcasts(df) -> list[str]:
     return re.findall(r"BroadcastHashJoin \[(?:l|r)#\S*", df._jdf.queryExecution().executedPlan().toString())
 
 
-@pytest.mark.parametrize("name", ["jaccard_edges", "scale_samples", "overlap_sweep", "edge_sweep", "containment_edges", "pos_edges", "pivot_cc", "positive_cc"])
+@pytest.mark.parametrize("name", ["jaccard_edges", "scale_samples", "overlap_sweep", "edge_sweep", "containment_edges", "pos_edges", "pivot_cc", "positive_cc", "pos_components"])
 def test_value_pairs_are_not_broadcast(spark, name):
     assert not _value_broadcasts(workloads.Q[name](spark, SF))
 
