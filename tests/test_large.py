@@ -76,3 +76,11 @@ def test_a_partition_is_a_table_of_known_size(spark):
     assign = graph.synthesize(pairs, edges)
     size = lambda df: int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     assert assign.count() == 50 and size(assign) < size(pairs)
+
+
+@pytest.mark.parametrize("name", ["cut_one_neg"])
+def test_small_graphs_come_from_suppliers(spark, tmp_path, name):
+    spark.sql("select * from values (1L, 4), (2L, 4), (3L, 7), (4L, null) t(s_suppkey, s_nationkey)").write.parquet(f"{tmp_path}/supplier.parquet")
+    got = {(r[0][0], round(r["loss" if name == "relaxed_fivegraph" else "score"], 6)) for r in workloads.Q[name](spark, str(tmp_path)).collect()}
+    one = {"cut_one_neg": 2.77, "cut_two_neg": 2.1, "exact_small": 2.1, "relaxed_fivegraph": 0.6}[name]
+    assert got == {("4", round(2 * one, 6)), ("7", one)}
