@@ -78,7 +78,7 @@ def test_a_partition_is_a_table_of_known_size(spark):
     assert assign.count() == 50 and size(assign) < size(pairs)
 
 
-@pytest.mark.parametrize("name", ["cut_one_neg", "cut_two_neg", "exact_small"])
+@pytest.mark.parametrize("name", ["cut_one_neg", "cut_two_neg", "exact_small", "relaxed_fivegraph"])
 def test_small_graphs_come_from_suppliers(spark, tmp_path, name):
     spark.sql("select * from values (1L, 4), (2L, 4), (3L, 7), (4L, null) t(s_suppkey, s_nationkey)").write.parquet(f"{tmp_path}/supplier.parquet")
     got = {(r[0][0], round(r["loss" if name == "relaxed_fivegraph" else "score"], 6)) for r in workloads.Q[name](spark, str(tmp_path)).collect()}
