@@ -66,3 +66,10 @@ def test_the_corpus_is_gathered_whole_without_its_rows(spark):
     assert g.sets.count() * 10 < sum(n for _, n in want.values())
     degree = {r["case_id"]: r["n"] for r in experiments.truth(spark, SF).groupBy("case_id").agg(F.count("*").alias("n")).collect()}
     assert gathered.case_sizes(g) == degree
+
+
+def test_samples_have_the_tables_and_edges_of_their_rows(spark):
+    cands = experiments.web(spark, SF).where(F.pmod(F.crc32(F.col("cand_id").cast("binary")), F.lit(100)) < 20)
+    want = (cands.select("cand_id").distinct().count(), compat.signed_graph(cands, 1).count())
+    got = {r["percent"]: (r["n_tables"], r["n_edges"]) for r in experiments.scale_seconds(spark, SF).collect()}
+    assert got[20] == want and got[100] > want
