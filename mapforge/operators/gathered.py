@@ -234,14 +234,24 @@ def sizes(g: Gathered, labels: dict[str, np.ndarray], resolved: bool = False) ->
 
 def case_sizes(g: Gathered) -> dict[str, int]:
     """Value pairs of each case; cases without any are left out."""
+    return census(g)[1]
+
+
+def census(g: Gathered) -> tuple[np.ndarray, dict[str, int]]:
+    """Value pairs of each table by number, and :func:`case_sizes`, by one pass."""
     n, n_cases = len(g.tables), len(g.cases)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums = np.zeros(n_cases, np.int64)
+        own, sums = np.zeros(n, np.int64), np.zeros(n_cases, np.int64)
         for b in _batches(it, n):
+            weight = b.n[b.of]
+            own += np.bincount(b.cand, weight[b.side], n).astype(np.int64)
             at, case = np.divmod(np.unique(b.at * n_cases + b.case), max(n_cases, 1))
-            sums += np.bincount(case, b.n[b.of[at]], n_cases).astype(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(n_cases), pa.int32()), pa.array(sums, pa.int64())], ["c", "w"])
-
-    found = g.sets.mapInArrow(run, "c int, w long").groupBy("c").agg(F.sum("w").alias("w")).where("w > 0").collect()
-    return {g.cases[r["c"]]: r["w"] for r in found}
+            sums += np.bincount(case, weight[at], n_cases).astype(np.int64)
+        k = np.r_[np.arange(n), np.arange(n, n + n_cases)]
+        yield pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(np.r_[own, sums], pa.int64())], ["k", "w"])
+
+    found = np.zeros(n + n_cases, np.int64)
+    for r in g.sets.mapInArrow(run, "k int, w long").groupBy("k").agg(F.sum("w").alias("w")).collect():
+        found[r["k"]] = r["w"]
+    return found[:n], {c: w for c, w in zip(g.cases, found[n:].tolist()) if w}

@@ -62,6 +62,19 @@ def test_component_sweep_equals_single_cuts(spark):
         assert {(r["cand_id"], r["cluster_id"]) for r in sweep if r["cut"] == cut} == one
 
 
+def test_sweeps_side_by_side_equal_single_sweeps_and_need_no_rounds(spark, monkeypatch):
+    """More edges than are solved in one task, but few nodes: what is left after thinning is solved in one."""
+    names = [f"v{k:02d}" for k in range(40)]
+    nodes = spark.createDataFrame([(n,) for n in names], "cand_id string")
+    edges = spark.createDataFrame([e for e in _edges(random.Random(6), names) if random.Random(str(e)).random() < 0.5], EDGE).coalesce(1)
+    want = {a: sorted(map(tuple, baselines.component_sweep(nodes, edges, a, (0.2, 0.6)).collect())) for a in (0.5, 1.0)}
+    limited = lambda e: graph.components(e, max_rounds=0, local_edges=4 * len(names))
+    monkeypatch.setattr(baselines, "components", limited)
+    assert edges.where("w_pos > 0.2").count() > 4 * len(names)
+    sweeps = baselines.component_sweeps(nodes, edges, (0.5, 1.0), (0.2, 0.6)).collect()
+    assert {a: sorted(tuple(r)[1:] for r in sweeps if r["alpha"] == a) for a in want} == want
+
+
 def test_form_matcher_meets_misspelt_headers(spark):
     rows = [("a", "country name", "code"), ("b", "country nane", "code"), ("c", "countrey name", "code"), ("d", "price", "amount"), ("e", "country name", "amount")]
     cands = spark.createDataFrame([(c, l, r, "string", "int" if c == "e" else "string") for c, l, r in rows], "cand_id string, l_header string, r_header string, l_type string, r_type string")

@@ -73,3 +73,25 @@ def test_samples_have_the_tables_and_edges_of_their_rows(spark):
     want = (cands.select("cand_id").distinct().count(), compat.signed_graph(cands, 1).count())
     got = {r["percent"]: (r["n_tables"], r["n_edges"]) for r in experiments.scale_seconds(spark, SF).collect()}
     assert got[20] == want and got[100] > want
+
+
+def test_all_methods_share_two_passes_over_the_sets(spark, monkeypatch):
+    """The matrix has the scores that each method has alone."""
+    cands, truth, g = _made(spark, 6)
+    b = experiments.Bench(spark, SF, g, SynthParams(theta_edge=0.5))
+    known = spark.createDataFrame([("C0", "1|r", 0.5, 0.5, 0.5)], experiments._SCORES)
+    monkeypatch.setattr(b, "known", lambda *which: known.where(F.lit(1 in which)))
+    flat = lambda df: sorted((r["case_id"], *(round(r[c], 12) for c in ("precision", "recall", "f"))) for r in df.collect())
+    alone = {name: flat(score()) for name, score in b.methods().items()}
+    passes, sizes = [], gathered.sizes
+    monkeypatch.setattr(gathered, "sizes", lambda *a, **k: passes.append(1) or sizes(*a, **k))
+    whole = b.matrix().cache()
+    assert len(passes) == 2
+    assert {name: flat(whole.where(F.col("method") == name)) for name in alone} == alone and len(alone["single_table"]) == 2
+
+
+def test_a_census_equals_the_rows(spark):
+    cands, truth, g = _made(spark, 7)
+    own, cases = gathered.census(g)
+    assert {c: n for (c, _), n in zip(g.tables, own.tolist())} == {r[0]: r[1] for r in cands.groupBy("cand_id").count().collect()}
+    assert cases == {r[0]: r[1] for r in truth.groupBy("case_id").count().collect()}
