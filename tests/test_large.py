@@ -84,3 +84,8 @@ def test_small_graphs_come_from_suppliers(spark, tmp_path, name):
     got = {(r[0][0], round(r["loss" if name == "relaxed_fivegraph" else "score"], 6)) for r in workloads.Q[name](spark, str(tmp_path)).collect()}
     one = {"cut_one_neg": 2.77, "cut_two_neg": 2.1, "exact_small": 2.1, "relaxed_fivegraph": 0.6}[name]
     assert got == {("4", round(2 * one, 6)), ("7", one)}
+
+
+@pytest.mark.parametrize("name", ["case_prf_synthesis", "case_summary_no_neg"])
+def test_case_queries_broadcast_no_values(spark, name):
+    assert not _value_broadcasts(workloads.Q[name](spark, SF))
